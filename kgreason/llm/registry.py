@@ -2,14 +2,18 @@
 
 from __future__ import annotations
 
-from . import chat
+from . import chat, linededup
 
 
 def queries() -> dict:
     return {
         "op3_chat_formatting": chat.op3_chat_formatting,
+        "op6_line_dedup": linededup.op6_line_dedup,
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op3_chat_formatting": chat.OP3_SQL}
+    return {
+        "op3_chat_formatting": chat.OP3_SQL,
+        "op6_line_dedup": linededup.OP6_SQL,
+    }
