@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
-from . import chat, linededup
+from . import chat, linededup, packing
 
 
 def queries() -> dict:
     return {
         "op3_chat_formatting": chat.op3_chat_formatting,
         "op6_line_dedup": linededup.op6_line_dedup,
+        "op9_best_fit_packing": packing.op9_best_fit_packing,
     }
 
 
