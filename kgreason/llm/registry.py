@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import chat, linededup, packing
+from . import chat, decontaminate, linededup, packing
 
 
 def queries() -> dict:
@@ -10,6 +10,7 @@ def queries() -> dict:
         "op3_chat_formatting": chat.op3_chat_formatting,
         "op6_line_dedup": linededup.op6_line_dedup,
         "op9_best_fit_packing": packing.op9_best_fit_packing,
+        "op10_benchmark_decontamination": decontaminate.op10_benchmark_decontamination,
     }
 
 
@@ -17,4 +18,5 @@ def oracle_sql() -> dict[str, str]:
     return {
         "op3_chat_formatting": chat.OP3_SQL,
         "op6_line_dedup": linededup.OP6_SQL,
+        "op10_benchmark_decontamination": decontaminate.OP10_SQL,
     }
