@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from . import chat, decontaminate, linededup, packing
+from . import chat, decontaminate, linededup, neardup, packing
 
 
 def queries() -> dict:
     return {
         "op3_chat_formatting": chat.op3_chat_formatting,
+        "op5_minhash_near_dedup": neardup.op5_minhash_near_dedup,
         "op6_line_dedup": linededup.op6_line_dedup,
         "op9_best_fit_packing": packing.op9_best_fit_packing,
         "op10_benchmark_decontamination": decontaminate.op10_benchmark_decontamination,
@@ -17,6 +18,7 @@ def queries() -> dict:
 def oracle_sql() -> dict[str, str]:
     return {
         "op3_chat_formatting": chat.OP3_SQL,
+        "op5_minhash_near_dedup": neardup.OP5_SQL,
         "op6_line_dedup": linededup.OP6_SQL,
         "op10_benchmark_decontamination": decontaminate.OP10_SQL,
     }
