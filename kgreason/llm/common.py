@@ -8,6 +8,8 @@ import uuid
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 
+from ..session import ship
+
 #: Bytes in [\x20\x09-\x0D]; bytes.split() and bytes.strip() use exactly these.
 SPACE_BYTES = b"\t\n\x0b\x0c\r "
 
@@ -16,6 +18,7 @@ SLICE_ROWS = 256
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    ship(spark)
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
