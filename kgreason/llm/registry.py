@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import chat, decontaminate, linededup, neardup, ordinal, packing, pii, quality, secretscan
+from . import chat, decontaminate, htmltext, linededup, neardup, ordinal, packing, pii, quality, secretscan
 
 
 def queries() -> dict:
@@ -10,6 +10,7 @@ def queries() -> dict:
         "op1_secret_scans": secretscan.op1_secret_scans,
         "op2_quality_rules": quality.op2_quality_rules,
         "op3_chat_formatting": chat.op3_chat_formatting,
+        "op4_html_extraction": htmltext.op4_html_extraction,
         "op5_minhash_near_dedup": neardup.op5_minhash_near_dedup,
         "op6_line_dedup": linededup.op6_line_dedup,
         "op7_quality_classifier": ordinal.op7_quality_classifier,
