@@ -8,7 +8,7 @@ link is confirmed on the full sets by exact counts.
 Documents of one shingle set collapse into a class before banding, so exact copies cost nothing more.  Within
 a band bucket no all-pairs list is made: members are first compared with the bucket's smallest id, links are merged
 into components, and later rounds compare only members of *different* components - the smallest of
-each component first, then whatever is left across components.  Members already in one component need no
+each component first, then whatever is left across components and can reach the threshold by sketches of the sets.  Members already in one component need no
 further comparison, so that large groups of copies cost rows in proportion to their size, and
 no candidate pair between different components is left unchecked.
 
@@ -32,6 +32,7 @@ from .common import materialize, mix64, signed, slices, table
 SHINGLE = 5
 BANDS, ROWS = 40, 4
 THRESHOLD = 75  # in hundredths
+CELLS = 1024  # of the sketch that bounds intersections
 
 _WORD_SEEDS = [int(x) for x in mix64(np.arange(1, 65, dtype=np.uint64), 7) | np.uint64(1)]
 
@@ -118,17 +119,20 @@ def signatures(docs: DataFrame, bands: int = BANDS, rows: int = ROWS) -> DataFra
 
 
 def _sets(docs: DataFrame, ids: DataFrame) -> DataFrame:
-    """(id, set) of the given ids, sets as bytes of sorted 64-bit hashes."""
+    """(id, set, bits, over) of the given ids: sets as bytes of sorted 64-bit hashes, and their sketches."""
 
     def scan(batches):
         for batch in batches:
             for part in slices(batch):
+                sets = [shingle_set(t) for t in part.column(1).to_pylist()]
+                sketches = [sketch_of(x) for x in sets]
                 yield pa.RecordBatch.from_arrays(
-                    [part.column(0), pa.array([shingle_set(t).tobytes() for t in part.column(1).to_pylist()], pa.binary())], ["id", "set"]
+                    [part.column(0), pa.array([x.tobytes() for x in sets], pa.binary()), pa.array([b for b, _ in sketches], pa.list_(pa.int64())), pa.array([o for _, o in sketches], pa.int64())],
+                    ["id", "set", "bits", "over"],
                 )
 
     wanted = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text").join(ids.select(F.col("id").alias("doc_id")), "doc_id", "left_semi")
-    return wanted.mapInArrow(scan, "id bigint, set binary")
+    return wanted.mapInArrow(scan, "id bigint, set binary, bits array<bigint>, over bigint")
 
 
 def confirm(pairs: DataFrame, sets: DataFrame, threshold: int = THRESHOLD) -> DataFrame:
@@ -182,10 +186,22 @@ def components(labels: DataFrame, links: DataFrame) -> DataFrame:
     return materialize(merged.select("id", F.coalesce("r", "label").alias("label")), "labels")
 
 
-def _cross_pairs(members: DataFrame, labels: DataFrame, whole: bool) -> DataFrame:
-    """Distinct pairs (a, b) of different components that share a bucket.
+def sketch_of(shingles: np.ndarray) -> tuple[np.ndarray, int]:
+    """(bits, over): for each of CELLS cells one bit if a shingle falls there and one if two do; over counts the rest.
 
-    Not whole: the smallest member of each bucket against the members of its other components.  Whole: all of them.
+    Of two sets, the common bits plus the smaller ``over`` are never fewer than the common shingles.
+    """
+    count = np.bincount((shingles & np.uint64(CELLS - 1)).astype(np.int64), minlength=CELLS)
+    bits = np.packbits(np.concatenate((count > 0, count > 1)), bitorder="little").view(np.int64)
+    return bits, int(np.maximum(count - 2, 0).sum())
+
+
+def _cross_pairs(members: DataFrame, labels: DataFrame, sketches: DataFrame, whole: bool, threshold: int) -> DataFrame:
+    """Distinct pairs (a, b) of different components that share a bucket and can reach the threshold.
+
+    Not whole: the smallest member of each bucket against the members of its other components.  Whole: all of them; the bound
+    on the intersection that sketches give is part of the join's condition, so that copies that differ too much are never
+    paired, whatever the size of their bucket.
     """
     own = members.join(labels, "id")
     open_ = own.groupBy("key").agg(F.min("label").alias("lo"), F.max("label").alias("hi"), F.min(F.struct("id", "label")).alias("first")).where("lo <> hi")
@@ -193,9 +209,12 @@ def _cross_pairs(members: DataFrame, labels: DataFrame, whole: bool) -> DataFram
     if not whole:
         pairs = own.where("label <> first.label").select(F.col("first.id").alias("x"), F.col("id").alias("y"))
     else:
-        other = own.select("key", F.col("id").alias("y"), F.col("label").alias("ly"), F.col("n").alias("m"))
-        bound = "label < ly and 100 * n >= {t} * m and 100 * m >= {t} * n".format(t=THRESHOLD)
-        pairs = own.join(other, "key").where(bound).select(F.col("id").alias("x"), "y")
+        # plain columns without nulls: as an array, each access adds checks, and the condition outgrows what the JIT compiles
+        words = [F.coalesce(F.col("bits")[i], F.lit(0).cast("bigint")).alias(f"w{i}") for i in range(CELLS // 32)]
+        own = own.drop("first").join(sketches.select("id", *words, F.coalesce("over", F.lit(0).cast("bigint")).alias("over")), "id")
+        other = own.select("key", *[F.col(c).alias(f"{c}_") for c in own.columns if c != "key"])
+        most = " + ".join(f"bit_count(w{i} & w{i}_)" for i in range(CELLS // 32)) + " + least(over, over_)"
+        pairs = own.join(other, "key").where("label < label_").where(f"{100 + threshold} * ({most}) >= {threshold} * (n + n_)").select(F.col("id").alias("x"), F.col("id_").alias("y"))
     return pairs.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct()
 
 
@@ -217,7 +236,7 @@ def near_duplicates(docs: DataFrame, bands: int = BANDS, rows: int = ROWS, thres
     labels = components(labels, materialize(confirm(pairs, sets, threshold), "links"))
     checked = materialize(pairs, "checked")
     for whole in (False, False, True):
-        pairs = materialize(_cross_pairs(members, labels, whole).join(checked, ["a", "b"], "left_anti"), "pairs")
+        pairs = materialize(_cross_pairs(members, labels, sets.drop("set"), whole, threshold).join(checked, ["a", "b"], "left_anti"), "pairs")
         if not pairs.isEmpty():
             labels = components(labels, materialize(confirm(pairs, sets, threshold), "links"))
             checked = checked.union(pairs)
