@@ -27,16 +27,6 @@ class KnowledgeGraph:
     def spark(self) -> SparkSession:
         return self.triples.sparkSession
 
-    def persist(self) -> KnowledgeGraph:
-        """Keeps the tables in memory, or on disk where that is full, so that several questions read them; a lost part is computed anew."""
-        for df in (self.triples, self.vectors, self.relations):
-            df.persist()
-        return self
-
-    def unpersist(self) -> None:
-        for df in (self.triples, self.vectors, self.relations):
-            df.unpersist()
-
     def edges(self, relation: str | list[str]) -> DataFrame:
         names = [relation] if isinstance(relation, str) else list(relation)
         return self.triples.where(F.col("r").isin(names))
@@ -53,6 +43,33 @@ def open_graph(spark: SparkSession, sf_dir: str, relations: list[str], dim: int
     return KnowledgeGraph(triples, vectors, relation_vectors(triples, vectors, dim, numeric, method), dim, numeric, gamma)
 
 
+def save_graph(kg: KnowledgeGraph, path: str) -> None:
+    """Writes the graph's tables: triples in a folder per relation (a question reads only its own), vectors in id order, so
+    that a lookup of one entity skips all row groups but one."""
+    kg.triples.write.mode("overwrite").partitionBy("r").parquet(f"{path}/triples")
+    kg.vectors.repartitionByRange("eid").sortWithinPartitions("eid").write.mode("overwrite").parquet(f"{path}/vectors")
+    kg.relations.coalesce(1).write.mode("overwrite").parquet(f"{path}/relations")
+
+
+def load_graph(spark: SparkSession, path: str, dim: int = 8, numeric: Numeric = Numeric(), gamma: float = 1.0) -> KnowledgeGraph:
+    element = numeric.element
+    triples = spark.read.schema("h_type string, h bigint, t_type string, t bigint, r string").parquet(f"{path}/triples")
+    vectors = spark.read.schema(f"eid bigint, vec array<{element}>").parquet(f"{path}/vectors")
+    relations = spark.read.schema(f"r string, vec array<{element}>").parquet(f"{path}/relations")
+    return KnowledgeGraph(triples.select("r", "h_type", "h", "t_type", "t"), vectors, relations, dim, numeric, gamma)
+
+
+def build_graph(spark: SparkSession, sf_dir: str, path: str, relations: list[str], dim: int = 8, binding: str = "composed", numeric: Numeric = Numeric(), method: str = "mean", gamma: float = 1.0) -> KnowledgeGraph:
+    """open_graph through files: triples first, vectors of their entities next, relation vectors last, each from what is written."""
+    build_triples(spark, sf_dir, relations).write.mode("overwrite").partitionBy("r").parquet(f"{path}/triples")
+    triples = spark.read.schema("h_type string, h bigint, t_type string, t bigint, r string").parquet(f"{path}/triples")
+    vectors = load_entity_vectors(entities_of(triples), Tables(spark, sf_dir).embeddings, dim, binding, numeric)
+    vectors.repartitionByRange("eid").sortWithinPartitions("eid").write.mode("overwrite").parquet(f"{path}/vectors")
+    vectors = spark.read.schema(f"eid bigint, vec array<{numeric.element}>").parquet(f"{path}/vectors")
+    relation_vectors(triples, vectors, dim, numeric, method).coalesce(1).write.mode("overwrite").parquet(f"{path}/relations")
+    return load_graph(spark, path, dim, numeric, gamma)
+
+
 def adjacency(triples: DataFrame, by: str = "h", typed: bool = True) -> DataFrame:
     """(h, tails): all neighbours of an entity in one row; for graphs without hubs, as joins use the flat edges."""
     other = "t" if by == "h" else "h"

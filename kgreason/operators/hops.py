@@ -51,14 +51,17 @@ def anchor_hop(kg: KnowledgeGraph, anchor: int, relation: str, role: DataFrame,
     return topk(anchor_scores(kg, anchor, relation, role, candidates, missing, impl), check_k(k), form, fan_in, workers)
 
 
-def rerank_hop(kg: KnowledgeGraph, previous: DataFrame, anchor: int, relation: str, k2: int, combine: str = "replace") -> DataFrame:
+def rerank_hop(kg: KnowledgeGraph, previous: DataFrame, anchor: int, relation: str, k2: int, combine: str = "replace", missing: str = "drop") -> DataFrame:
     """(eid, score, rank): survivors in the order of a second anchor; k2 below their number also filters.
 
+    Survivors that were scored with ``drop`` all have vectors, so their K rows are broadcast to the vectors; only with ``neg_inf`` an outer join is needed.
+
     combine: the new score alone, sum or minimum of both, or the first score kept while the order is that of the new one.
     """
     _one_of("combine", combine, COMBINE)
     own = previous.select("eid", F.col("score").alias("first"))
-    placed = lookup_vectors(own, kg.vectors, missing="neg_inf").crossJoin(F.broadcast(composite_of(kg, anchor, relation)))
+    placed = lookup_vectors(F.broadcast(own) if missing == "drop" else own, kg.vectors, missing=missing)
+    placed = placed.crossJoin(F.broadcast(composite_of(kg, anchor, relation)))
     both = placed.select("eid", "first", score_column(kg).alias("second"))
     score = {"replace": F.col("second"), "sum": F.col("first") + F.col("second"), "min": F.least("first", "second"), "keep_first": F.col("second")}[combine]
     best = topk_native(both.select("eid", "first", score.alias("score")), check_k(k2))
@@ -69,7 +72,7 @@ def expansion_scores(kg: KnowledgeGraph, heads: DataFrame, relation: str, role:
     """(head, eid, score): every survivor with every candidate; the survivors' composites are the broadcast side."""
     _one_of("candidates", candidates, CANDIDATES)
     rel = kg.relations.where(F.col("r") == relation).select(F.col("vec").alias("rv"))
-    comps = lookup_vectors(heads.select("eid"), kg.vectors).crossJoin(F.broadcast(rel)).select(F.col("eid").alias("head"), compose("vec", "rv").alias("comp"))
+    comps = lookup_vectors(F.broadcast(heads.select("eid")), kg.vectors).crossJoin(F.broadcast(rel)).select(F.col("eid").alias("head"), compose("vec", "rv").alias("comp"))
     placed = lookup_vectors(role.select("eid"), kg.vectors, missing=missing)
     if candidates == "linked":
         links = kg.edges(relation).select(F.col("h").alias("head"), F.col("t").alias("eid"))

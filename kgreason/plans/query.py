@@ -107,7 +107,7 @@ def hop1(kg: KnowledgeGraph, q: ThreeHopQuery, **options) -> DataFrame:
 
 
 def hop2(kg: KnowledgeGraph, q: ThreeHopQuery, first: DataFrame) -> DataFrame:
-    return rerank_hop(kg, first, eid_value(*q.anchor2), q.relation2, q.k2 or q.k, q.combine)
+    return rerank_hop(kg, first, eid_value(*q.anchor2), q.relation2, q.k2 or q.k, q.combine, q.missing)
 
 
 def hop3(kg: KnowledgeGraph, q: ThreeHopQuery, second: DataFrame) -> DataFrame:

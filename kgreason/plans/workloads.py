@@ -8,7 +8,8 @@ from pyspark.sql import DataFrame, SparkSession
 
 from ..functions.vectors import Numeric
 from ..ids import eid_value
-from ..operators.graph import KnowledgeGraph, open_graph
+from ..operators.graph import KnowledgeGraph, build_graph
+from ..session import scratch_path
 from .query import Hop, ThreeHopQuery, hop_plan, three_hop
 
 WORKLOADS: dict[str, ThreeHopQuery] = {
@@ -40,23 +41,16 @@ G3_RELATIONS = ["region_has_nation", "nation_hosts_customer", "customer_buys_par
 G3 = (eid_value("region", 1), eid_value("supplier", 5), 4)
 
 
-#: The last graphs opened, oldest first; one that leaves is unpersisted.
-_open: dict[tuple, KnowledgeGraph] = {}
-MAX_OPEN = 4
+#: Graphs built in this process, by session and parameters.
+_built: dict[tuple, KnowledgeGraph] = {}
 
 
 def shared_graph(spark: SparkSession, sf_dir: str, relations: list[str], dim: int = 8, binding: str = "composed", numeric: Numeric = Numeric()) -> KnowledgeGraph:
-    """The graph of these relations, built once for the questions of a session and kept in memory or on disk."""
+    """The graph of these relations, built once into the shared folder for all questions of a session."""
     key = (spark.sparkContext.applicationId, sf_dir, tuple(relations), dim, binding, numeric)
-    if key in _open:
-        _open[key] = _open.pop(key)
-        return _open[key]
-    for old in [k for k in _open if k[0] != key[0]]:
-        del _open[old]  # of a session that has ended
-    while len(_open) >= MAX_OPEN:
-        _open.pop(next(iter(_open))).unpersist()
-    _open[key] = open_graph(spark, sf_dir, relations, dim, binding, numeric).persist()
-    return _open[key]
+    if key not in _built:
+        _built[key] = build_graph(spark, sf_dir, scratch_path(spark, "graph"), relations, dim, binding, numeric)
+    return _built[key]
 
 
 def workload_graph(spark: SparkSession, sf_dir: str, name: str, dim: int = 8, binding: str = "composed", numeric: Numeric = Numeric()) -> KnowledgeGraph:

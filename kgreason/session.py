@@ -2,13 +2,44 @@
 
 from __future__ import annotations
 
+import atexit
 import os
+import shutil
 import tempfile
+import uuid
 import zipfile
 
 from pyspark.sql import SparkSession
 
 _shipped: set[str] = set()
+_local_dir: str | None = None
+
+
+def shared_dir(spark: SparkSession) -> str:
+    """Folder that the driver and all executors share: the one that the cluster names in ``spark.checkpoint.dir``.
+
+    Only where that is unset, in a local session, a temporary folder takes its place.
+    """
+    named = spark.conf.get("spark.checkpoint.dir", None)
+    if named:
+        return named.rstrip("/")
+    global _local_dir
+    if _local_dir is None:
+        if spark.sparkContext.master.split("[")[0] != "local":
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
+        folder = tempfile.mkdtemp(prefix="kgreason-")
+        atexit.register(shutil.rmtree, folder, ignore_errors=True)
+        _local_dir = "file://" + folder
+    return _local_dir
+
+
+def scratch_path(spark: SparkSession, label: str) -> str:
+    """A new path in the shared folder; where that is on this machine, what lies there goes when the process ends."""
+    path = f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex}"
+    local = path.removeprefix("file://").removeprefix("file:")
+    if local.startswith("/") and spark.sparkContext.master.split("[")[0] == "local":
+        atexit.register(shutil.rmtree, local, ignore_errors=True)
+    return path
 
 
 def local_session(cores: int | str = "*", **conf: str) -> SparkSession:
