@@ -2,13 +2,10 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
-
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 
-from ..session import ship
+from ..session import scratch_path, ship
 
 #: Bytes in [\x20\x09-\x0D]; bytes.split() and bytes.strip() use exactly these.
 SPACE_BYTES = b"\t\n\x0b\x0c\r "
@@ -22,44 +19,15 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """Folder that the driver and all executors share.
-
-    It is the one the cluster names in ``spark.checkpoint.dir``.  Only where that is unset (a local
-    session, where driver and executors are one process) a temporary folder takes its place.
-    """
-    named = spark.conf.get("spark.checkpoint.dir", None)
-    if named:
-        return named.rstrip("/")
-    global _local_dir
-    if _local_dir is None:
-        if not spark.sparkContext.master.startswith("local[") and spark.sparkContext.master != "local":
-            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
-        _local_dir = "file://" + tempfile.mkdtemp(prefix="kgreason-")
-    return _local_dir
-
-
-_local_dir: str | None = None
-
-
 def materialize(df: DataFrame, label: str = "t") -> DataFrame:
     """Writes df as Parquet to the shared folder and reads it again: lineage ends in a file that
     survives the loss of any executor."""
     spark = df.sparkSession
-    path = f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex}"
+    path = scratch_path(spark, label)
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
-def drop_path(df: DataFrame) -> None:
-    """Deletes the files of a materialized frame that nothing reads any more."""
-    spark = df.sparkSession
-    jvm = spark._jvm
-    for f in {x.rsplit("/", 1)[0] for x in df.inputFiles()}:
-        p = jvm.org.apache.hadoop.fs.Path(f)
-        p.getFileSystem(spark._jsc.hadoopConfiguration()).delete(p, True)
-
-
 def slices(batch, rows: int = SLICE_ROWS):
     """Cuts an Arrow batch, so that few Python strings live at a time."""
     for i in range(0, batch.num_rows, rows):

@@ -22,7 +22,7 @@ from pyspark.sql import functions as F
 from .common import slices, table
 from .features import SIZE, Rows, hashed
 
-MAX_ROWS = 16_000
+MAX_ROWS = 12_000
 GRADES = 3
 MIN_TAIL = 0.4  # P(top grade) from which a document is kept
 
@@ -55,12 +55,24 @@ def labelled_sample(docs: DataFrame, graded: DataFrame, max_rows: int = MAX_ROWS
 
 def collect_rows(sample: DataFrame) -> tuple[Rows, np.ndarray]:
     got = sample.toArrow()
-    order = np.lexsort((got["y"].to_numpy(), got["doc_id"].to_numpy())) if got.num_rows else np.zeros(0, np.int64)
-    index, value = got["index"].combine_chunks(), got["value"].combine_chunks()
     if not got.num_rows:
         return Rows.of([]), np.zeros(0, np.int64)
-    rows = Rows(index.flatten().to_numpy(), value.flatten().to_numpy(), index.offsets.to_numpy()[1:].astype(np.int64))
-    return rows.take(order), got["y"].to_numpy()[order]
+    order = np.lexsort((got["y"].to_numpy(), got["doc_id"].to_numpy()))
+    y = got["y"].to_numpy()[order]
+    # column by column and chunk by chunk into arrays of the final size, so that few copies live at a time
+    sizes = np.concatenate([np.diff(c.offsets.to_numpy()) for c in got["index"].chunks])
+    place = np.zeros(len(sizes), np.int64)
+    place[order] = np.cumsum(sizes[order]) - sizes[order]
+    index, value = np.empty(int(sizes.sum()), np.int32), np.empty(int(sizes.sum()), np.float32)
+    for name, target in (("index", index), ("value", value)):
+        row = 0
+        for chunk in got[name].chunks:
+            flat, offsets = chunk.values.to_numpy(), chunk.offsets.to_numpy()
+            for a, b in zip(offsets, offsets[1:], strict=False):
+                target[place[row] : place[row] + b - a] = flat[a:b]
+                row += 1
+        got = got.drop_columns([name])
+    return Rows(index, value, np.cumsum(sizes[order])), y
 
 
 def _sigmoid(x: np.ndarray) -> np.ndarray:

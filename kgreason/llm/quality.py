@@ -24,7 +24,7 @@ from .common import mix64, slices, table
 from .features import SIZE, Rows, hashed
 from .ordinal import _sigmoid, collect_rows, graded_labels, labelled_sample
 
-MAX_ROWS = 16_000
+MAX_ROWS = 12_000
 MIN_WORDS, MAX_REPEAT_PERCENT, WINDOW = 20, 30, 8
 MIN_PROBABILITY = 0.4
 
