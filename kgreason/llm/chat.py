@@ -19,8 +19,8 @@ from .common import table
 TURN, TEXT, PART, END = "<|turn|>", "<|text|>", "<|part|>", "<|end|>\n"
 
 #: Where a control string of this or another common template begins; a backslash goes in behind.
-_CONTROL = r"<(?=\||/?s>|/?<?/?SYS>)|\[(?=/?INST\])"
-_ESCAPED = r"([<\[])\\(?=\||/?s>|/?<?/?SYS>|/?INST\])"
+_CONTROL = r"<(?=\||/?(?:s|SYS)>)|\[(?=/?INST\])"
+_ESCAPED = r"([<\[])\\(?=\||/?(?:s|SYS)>|/?INST\])"
 
 
 def escape(text: Column) -> Column:
@@ -142,8 +142,8 @@ e as (
          lag(role) over (partition by conv_id order by turn nulls first, role, text) as before
   from c),
 f as (
-  select *, length(t2) + len(regexp_extract_all(t2, '<\||</?s>|</?<?/?SYS>|\[/?INST\]')) as tl,
-         length(r2) + len(regexp_extract_all(r2, '<\||</?s>|</?<?/?SYS>|\[/?INST\]')) as rl
+  select *, length(t2) + len(regexp_extract_all(t2, '<\||</?(?:s|SYS)>|\[/?INST\]')) as tl,
+         length(r2) + len(regexp_extract_all(r2, '<\||</?(?:s|SYS)>|\[/?INST\]')) as rl
   from e)
 select conv_id, count(*) as n_turns,
        sha256(string_agg(role || chr(10) || text || chr(10), '' order by turn nulls first, role, text)) as turns_sha256,
