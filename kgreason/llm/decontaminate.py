@@ -141,6 +141,21 @@ def covered(spans: Column) -> Column:
     )["n"]
 
 
+def merged(spans: Column) -> Column:
+    """Spans (at, length) as disjoint, non-adjacent runs (first, last), last exclusive."""
+    return F.aggregate(
+        F.sort_array(spans),
+        F.expr("cast(array() as array<struct<first:int,last:int>>)"),
+        lambda a, s: F.when(
+            (F.size(a) > 0) & (F.element_at(a, -1)["last"] >= s["at"]),
+            F.concat(
+                F.slice(a, F.lit(1), F.size(a) - 1),
+                F.array(F.struct(F.element_at(a, -1)["first"].alias("first"), F.greatest(F.element_at(a, -1)["last"], (s["at"] + s["length"]).cast("int")).alias("last"))),
+            ),
+        ).otherwise(F.concat(a, F.array(F.struct(s["at"].cast("int").alias("first"), (s["at"] + s["length"]).cast("int").alias("last"))))),
+    )
+
+
 def contamination(docs: DataFrame, benchmark: DataFrame, n: int = WINDOW, max_broadcast_windows: int = MAX_BROADCAST_WINDOWS) -> DataFrame:
     """Per document: doc_id, n_words, n_hit (words inside occurrences of windows), items (sorted item_ids as strings), spans."""
     counts, hits = find_hits(docs, benchmark, n, max_broadcast_windows)
@@ -174,12 +189,13 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, mode: str = "documents"
     joined = docs.join(spans, docs["doc_id"] == spans["__id"], "left")
     word, gap = r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]|[A-Z]", r"[\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]"
     pieces = F.regexp_extract_all("text", F.lit(rf"((?:{word})+|(?:{gap})+)"), F.lit(1))
-    hit = F.expr("flatten(transform(__spans, s -> sequence(s.at, s.at + s.length - 1)))")
-    joined = joined.withColumn("__pieces", F.when(F.col("__spans").isNotNull(), pieces)).withColumn("__hit", F.when(F.col("__spans").isNotNull(), F.array_distinct(hit)))
-    first_is_word = F.when(F.col("__pieces")[0].rlike(rf"^(?:{word})"), 0).otherwise(1)
-    joined = joined.withColumn("__first", first_is_word)
-    kept = F.expr("array_join(filter(__pieces, (p, i) -> (i - __first) % 2 != 0 or not array_contains(__hit, cast((i - __first) div 2 as int))), '')")
-    return joined.withColumn("text", F.when(F.col("__spans").isNotNull(), kept).otherwise(F.col("text"))).drop("__id", "__spans", "__pieces", "__hit", "__first")
+    joined = joined.withColumn("__pieces", F.when(F.col("__spans").isNotNull(), pieces)).withColumn("__runs", F.when(F.col("__spans").isNotNull(), merged(F.col("__spans"))))
+    joined = joined.withColumn("__first", F.when(F.col("__pieces")[0].rlike(rf"^(?:{word})"), 0).otherwise(1))
+    # piece i is word (i - first) / 2, or what stands between that word and the next
+    kept = F.expr(
+        "array_join(filter(__pieces, (p, i) -> not exists(__runs, m -> (i - __first) div 2 >= m.first and (i - __first) div 2 + (i - __first) % 2 < m.last and i >= __first)), '')"
+    )
+    return joined.withColumn("text", F.when(F.col("__spans").isNotNull(), kept).otherwise(F.col("text"))).drop("__id", "__spans", "__pieces", "__runs", "__first")
 
 
 def op10_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
