@@ -1,0 +1,154 @@
+"""Secrets, personal data and quality counts against the plain reading of their rules."""
+
+import hashlib
+import random
+import re
+import sys
+from collections import Counter
+
+import numpy as np
+import pytest
+
+from kgreason.llm import ordinal, pii, quality, secretscan
+from kgreason.llm.common import table
+
+
+def sha(parts):
+    return hashlib.sha256(",".join(parts).encode()).hexdigest()
+
+
+ASSIGN = re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.I | re.A)
+EMAIL = re.compile(r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+")
+IP = re.compile(r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)")
+CARD = re.compile(r"[0-9]([\x20-]?[0-9])+")
+PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
+
+
+def plain_secrets(text):
+    found = [(m.start(), 0, m.end(), "assign") for m in ASSIGN.finditer(text) if len(m[2]) >= 6]
+    found += [(m.start(), 1, m.end(), "access") for m in re.finditer(r"AKIA[A-Z0-9]+", text) if len(m[0]) >= 20]
+    found += [(m.start(), 2, m.end(), "hex") for m in re.finditer(r"[0-9a-f]+", text) if len(m[0]) >= 24]
+    return [f"{k}:{a}:{b}" for a, _, b, k in sorted(found)]
+
+
+def plain_personal(text):
+    found = [(0, m.start(), m.end(), "email") for m in EMAIL.finditer(text)]
+    found += [(1, m.start(), m.end(), "ip") for m in IP.finditer(text) if all(int(p) <= 255 for p in m[0].split("."))]
+    for m in CARD.finditer(text):
+        d = re.sub("[ -]", "", m[0])
+        total = sum(sum(divmod(int(c) * (1 + i % 2), 10)) for i, c in enumerate(reversed(d)))
+        if 16 <= len(d) <= 19 and total % 10 == 0:
+            found.append((2, m.start(), m.end(), "card"))
+    found += [(3, m.start(), m.end(), "phone") for m in PHONE.finditer(text) if 8 <= len(re.sub("[^0-9]", "", m[0])) <= 15]
+    return [f"{k}:{a}:{b}" for _, a, b, k in sorted(found)]
+
+
+sys.set_int_max_str_digits(0)
+
+NASTY = [
+    "0" * 5000 + ".1.1.1",
+    "", None, "token=token:abcdefg", "PASSWORD = 'hunter2x' paſsword=abcdefgh", "AKIA" + "B" * 16 + " AKIAAKIA" + "C" * 12, "é" * 30 + "deadbeef" * 3, "api_key:abc api-key:abcdefgh apikey=\"x.y=z/+1\"",
+    "a@b.c x@@y.zz .@a.b a@b a@b..c me@x.y@z.w first.last+tag@mail.example.co.uk.", "1.2.3.4.5.6.7.8 256.1.1.1 001.002.003.004 1.2.3", "4111 1111 1111 1111 4111-1111-1111-1112 0000000000000000 1 2 3 4",
+    "+1 (449) 555-7462 +49 30 1234567 + 12345678 +1234 +1" + "2" * 20 + " +12345678 call\n+33 1 23 45 67 89", "x" * 50_000 + "@" + "y" * 10 + ".de", "9" * 5000 + ".1.1.1", "@" * 3000, "+1-" * 2000,
+]
+
+
+def test_scans_equal_plain_reading(spark, make, folder):
+    rng = random.Random(4)
+    signs = "ab1 2.3@+-()token=:pasword\"'AKIA09f\n"
+    texts = NASTY + ["".join(rng.choice(signs) for _ in range(rng.randrange(300))) for _ in range(150)]
+    sf = folder(list(enumerate(texts)))
+    own = {r["doc_id"]: r for r in secretscan.op1_secret_scans(spark, sf).collect()}
+    per = {r["doc_id"]: r for r in pii.op8_pii(spark, sf).collect()}
+    assert len(own) == len(per) == len(texts)
+    for i, t in enumerate(texts):
+        s, p = plain_secrets(t or ""), plain_personal(t or "")
+        assert own[i]["base_sha256"] == sha(s), t
+        assert per[i]["base_sha256"] == sha(p), t
+        assert set(s) <= set(own[i]["spans"].split(",")) | {""} and set(p) <= set(per[i]["spans"].split(",")) | {""}
+        n = Counter(x.split(":")[0] for x in p)
+        assert [per[i][f"n_{k}"] for k in pii.BASE_KINDS] == [n[k] for k in pii.BASE_KINDS]
+
+
+def test_novel_secrets():
+    key = "x9Kq2LmP8vTz4RbN7wYc1HsD5gJf3QaE"
+    text = f"# settings\nclient_secret_value -> {key}\nauthorization handler connection_configuration_manager\n"
+    spans = secretscan.novel_spans(text, secretscan.base_spans(text))
+    assert [text[a:b] for a, b, _ in spans] == [key]
+    repeated = f"cache {key} warm {key}\nsecret store {key}\n"
+    assert secretscan.novel_spans(repeated, []) == []  # it is part of the surroundings
+    assert secretscan.novel_spans("secret configuration_repository_Connection1_handler_manager", []) == []
+
+
+def test_redaction(spark, make):
+    out = secretscan.redact_secrets(make([(1, "a token=abcdef123 b"), (2, None), (3, "")])).orderBy("doc_id").collect()
+    assert [r["text"] for r in out] == ["a [secret] b", None, ""]
+
+
+def test_weak_supervision():
+    counts = {pii.pattern_of("ssn", (1, 0, 1, 0, 1)): 40, pii.pattern_of("ssn", (-1, 0, 0, -1, -1)): 60, pii.pattern_of("email", (1, 1, 0, 0, 1)): 200, pii.pattern_of("name", (1, 1, 1, 0, 1)): 30, pii.pattern_of("name", (0, 1, 0, -1, -1)): 30}
+    good = pii.verdicts(counts)
+    assert pii.pattern_of("ssn", (1, 0, 1, 0, 1)) in good and pii.pattern_of("ssn", (-1, 0, 0, -1, -1)) not in good
+    assert pii.pattern_of("name", (1, 1, 1, 0, 1)) in good and pii.pattern_of("name", (0, 1, 0, -1, -1)) not in good
+    assert pii.verdicts({}) == set()
+    for p in counts:
+        kind, vote = pii.unpack(p)
+        assert pii.pattern_of(pii.KINDS[kind], vote) == p
+
+
+def test_added_personal_spans(spark, make):
+    rows = [(i, f"my SSN: 123-45-67{i:02d} and call (555) 123-45{i:02d} thanks Mr. James Miller") for i in range(10, 40)] + [(1, "version 123-45-6789-1 of 999.1")]
+    found = {r["doc_id"]: [s["kind"] for s in r["spans"]] for r in pii.find_personal_data(make(rows)).collect()}
+    assert found[1] == [] and "ssn" in found[12] and "name" in found[12]
+
+
+def brute_counts(text):
+    text = text or ""
+    words = re.findall(r"[^\x20\x09-\x0D]+", text)
+    grams = [tuple(words[i : i + 8]) for i in range(len(words) - 7)]
+    often, hit = Counter(grams), set()
+    for i, g in enumerate(grams):
+        if often[g] > 1:
+            hit |= set(range(i, i + 8))
+    lines, dup = text.split("\n"), 0
+    for i, line in enumerate(lines):
+        dup += bool(re.search(r"[^\x20\x09-\x0D]", line)) and line in lines[:i]
+    return len(words), sum(map(len, words)), len(re.findall(r"[#*$%&|<>]", text)), dup, len(hit)
+
+
+def test_rule_counts():
+    rng = random.Random(2)
+    texts = [None, "", " \n\t", "a", "x y z", "é # * $", "a b\na b\n\n \n \na b", "w " * 40]
+    texts += ["".join(rng.choice(["a ", "b ", "c\n", "d#", "\t", "ü "]) for _ in range(rng.randrange(120))) for _ in range(60)]
+    for t in texts:
+        assert quality.rule_counts(t) == brute_counts(t), t
+
+
+def test_quality_holds_out(spark, sf):
+    """Trained on a part of the labelled rows, judged on the rest."""
+    docs, labels = table(spark, sf.replace("sf0.001", "sf0.1"), "documents"), table(spark, sf.replace("sf0.001", "sf0.1"), "labels")
+    seen, rest = labels.where("doc_id % 3 > 0"), labels.where("doc_id % 3 = 0")
+    truth = {r["doc_id"]: r["grade"] for r in ordinal.graded_labels(rest).collect()}
+    held = docs.where("doc_id % 3 = 0")
+    own = {r["doc_id"]: r for r in ordinal.score(held, ordinal.train(docs, seen)).select("doc_id", "expected_grade", "quality_kept").collect()}
+    kept = {g: np.mean([own[i]["quality_kept"] for i, x in truth.items() if x == g]) for g in range(3)}
+    assert kept[2] > 0.95 and kept[0] < 0.35 and kept[1] < 0.35
+    grade = {g: np.mean([own[i]["expected_grade"] for i, x in truth.items() if x == g]) for g in range(3)}
+    assert grade[0] < grade[1] + 0.2 < grade[2]
+    rules = {r["doc_id"]: r for r in quality.apply_rules(held, quality.train(docs, seen)).collect()}
+    p = {g: np.mean([rules[i]["probability"] for i, x in truth.items() if x == g]) for g in range(3)}
+    assert p[2] > 0.85 and p[0] < 0.4 and p[1] < 0.4
+
+
+@pytest.mark.parametrize("labels", [[], [(1, 1, 0)], [(1, None, None), (2, 1, 0), (None, 0, 1)]])
+def test_without_labels(spark, folder, labels):
+    text = " ".join(f"word{i}" for i in range(30))
+    sf = folder([(1, text), (2, text), (3, None), (4, "")], labels)
+    assert {r["doc_id"]: r["kept"] for r in quality.op2_quality_rules(spark, sf).collect()} == {1: True, 2: True, 3: False, 4: False}
+    assert [r["kept"] for r in ordinal.op7_quality_classifier(spark, sf).collect()] == [True] * 4
+
+
+def test_empty_tables(spark, folder):
+    sf = folder()
+    for q in (secretscan.op1_secret_scans, pii.op8_pii, quality.op2_quality_rules, ordinal.op7_quality_classifier):
+        assert q(spark, sf).count() == 0
