@@ -49,6 +49,10 @@ def hashed(text: str | None, n: int = 3) -> tuple[np.ndarray, np.ndarray]:
     return np.concatenate(index).astype(np.int32), np.concatenate(value).astype(np.float32)
 
 
+#: A feature counts in training from so many rows on; rarer ones only let a row be learnt by heart.
+MIN_ROWS = 5
+
+
 @dataclass
 class Rows:
     """Sparse rows, one behind the other."""
@@ -79,3 +83,8 @@ class Rows:
         """Sum of rows times errors."""
         sizes = np.diff(np.concatenate(([0], self.ends)))
         return np.bincount(self.index, weights=self.value * np.repeat(errors, sizes), minlength=size)
+
+    def common(self, least: int = MIN_ROWS) -> Rows:
+        """The rows with features of fewer than ``least`` rows set to nothing; their weights then stay 0."""
+        often = np.bincount(self.index, minlength=2 * SIZE) >= least
+        return Rows(self.index, self.value * often[self.index], self.ends)

@@ -89,9 +89,9 @@ class Ordinal:
         return _sigmoid(np.asarray(scores)[:, None] - self.thresholds[None, :])
 
 
-def fit_ordinal(rows: Rows, grades: np.ndarray, n_grades: int = GRADES, epochs: int = 15, batch: int = 128, rate: float = 0.5, seed: int = 1) -> Ordinal:
+def fit_ordinal(rows: Rows, grades: np.ndarray, n_grades: int = GRADES, epochs: int = 40, batch: int = 128, rate: float = 0.5, seed: int = 1) -> Ordinal:
     """Minibatch gradient ascent of the likelihood, with steps scaled by past gradients; gaps between thresholds stay positive as exponentials."""
-    rng = np.random.default_rng(seed)
+    rng, rows = np.random.default_rng(seed), rows.common()
     w, gw = np.zeros(2 * SIZE), np.full(2 * SIZE, 1e-8)
     share = np.cumsum(np.bincount(grades, minlength=n_grades) + 1.0)[:-1] / (len(grades) + n_grades)
     cut = np.log(share / (1 - share))

@@ -83,9 +83,9 @@ class Logistic:
         return _sigmoid(self.scale * np.asarray(scores, dtype=np.float64) + self.shift)
 
 
-def fit_logistic(rows: Rows, good: np.ndarray, epochs: int = 15, batch: int = 128, rate: float = 0.5, seed: int = 1) -> Logistic:
+def fit_logistic(rows: Rows, good: np.ndarray, epochs: int = 40, batch: int = 128, rate: float = 0.5, seed: int = 1) -> Logistic:
     """Minibatch steps scaled by past gradients on three quarters of the rows; the rest calibrates by Newton steps."""
-    rng = np.random.default_rng(seed)
+    rng, rows = np.random.default_rng(seed), rows.common()
     order = rng.permutation(len(good))
     fit, held = order[len(order) // 4 :], order[: len(order) // 4]
     w, gw, bias, gb = np.zeros(2 * SIZE), np.full(2 * SIZE, 1e-8), 0.0, 1e-8
