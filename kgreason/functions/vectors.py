@@ -115,7 +115,8 @@ def relation_vectors(triples: DataFrame, vectors: DataFrame, dim: int, numeric:
     for i in range(dim):
         d = F.col("vt")[i] - F.col("vh")[i]
         if method == "median":
-            parts.append(F.percentile(d, 0.5).cast(numeric.element))
+            middle = F.percentile(d, 0.5)
+            parts.append(F.floor(middle).cast("bigint") if numeric.mode == "fixed" else middle)
         elif method != "mean":
             raise ValueError(f"unknown method {method!r}")
         elif numeric.mode == "fixed":

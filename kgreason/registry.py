@@ -9,7 +9,6 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import oracles as sql
-from .functions.vectors import Numeric
 from .ids import eid_value, key_of
 from .operators.graph import degrees, graph_profile, one_hop, open_graph, relation_profile, role_members, type_cube
 from .operators.hops import expand_hop_loop, suggest_links
@@ -109,7 +108,7 @@ def relation_vectors_mean(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def relation_vectors_median(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _flat(open_graph(spark, sf_dir, W1.relations(), numeric=Numeric("double"), method="median").relations, "r").withColumn("x", F.round("x", 9))
+    return _flat(open_graph(spark, sf_dir, W1.relations(), method="median").relations, "r")
 
 
 # ---------------------------------------------------------------- hops
@@ -249,7 +248,8 @@ def events_sliding(spark: SparkSession, sf_dir: str) -> DataFrame:
 def events_session(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .streaming.edges import session_edges
 
-    return session_edges(Tables(spark, sf_dir).events, "30 minutes")
+    own = session_edges(Tables(spark, sf_dir).events, "30 minutes")
+    return own.withColumns({c: F.col(c).cast("string") for c in ("first", "last")})
 
 
 def edges_asof(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -380,6 +380,17 @@ def oracle_sql() -> dict[str, str]:
     )
     hop1_same = {n: ask(W1, 1) for n in ("hop1_anchor_native", "hop1_anchor_heap_tree2", "hop1_anchor_heap_tree4", "hop1_anchor_funnel", "hop1_shared_list_baseline", "hop1_full_sort_baseline")}
     whole_same = {n: ask(W1) for n in ("hop3_expand_per_head", "three_hop_w1_simple", "hop3_one_plan_per_head")}
+    median = "d as (select r, i, cast(floor(median(vt.vec[i] - vh.vec[i])) as bigint) as x from base join vec vh on vh.eid = h join vec vt on vt.eid = t, (select unnest(range(1, 9)) as i) group by r, i)"
+    heap = [
+        "et as (select distinct event_type, dense_rank() over (order by event_type) - 1 as k from events)",
+        "cs as (select et.event_type, list_transform(range(1, 9), lambda i: v.vec[i] + w.vec[i]) as comp from et join vec v on v.eid = 11000000000000 + et.k, relv w where w.r = 'type_attracts_user')",
+        f"st as (select c.event_type as anchor, v.eid, {sql._score('c.comp', 'v.vec', 8)} as score from (select distinct event_type, 10000000000000 + user_id as eid from events) e join cs c on c.event_type = e.event_type join vec v on v.eid = e.eid)",
+    ]
+    sessions = (
+        "with e as (select *, case when ts <= lag(ts) over (partition by user_id order by ts) + interval 30 minute then 0 else 1 end as new from events), "
+        "s as (select *, sum(new) over (partition by user_id order by ts rows unbounded preceding) as n from e) "
+        "select user_id, cast(cast(min(ts) as timestamp) as varchar) as first, cast(cast(max(ts) + interval 30 minute as timestamp) as varchar) as last, count(*) as events from s group by user_id, n"
+    )
     windows = "select event_type, cast(cast(first as timestamp) as varchar) as first, count(distinct user_id) as edges from ({}) group by event_type, first"
     return {
         "triples_profile": f"select r, count(*) as edges, count(distinct h) as heads, count(distinct t) as tails from ({sql.triples_sql(list(RELATIONS))}) group by r",
@@ -398,6 +409,9 @@ def oracle_sql() -> dict[str, str]:
         "entity_vectors_composed": st(g(w1), f"select eid, {flat} from vec"),
         "entity_vectors_native": st(g(W2.relations(), binding="native"), f"select eid, {flat} from vec"),
         "relation_vectors_mean": st(g(w1), f"select r, {flat} from relv"),
+        "relation_vectors_median": st([*g(w1), median], "select r, i - 1 as i, x from d"),
+        "events_session": sessions,
+        "stream_topk": st(g(W4.relations()) + heap, f"select anchor, eid, score, row_number() over (partition by anchor order by score desc, eid) as rank from st qualify row_number() over (partition by anchor order by score desc, eid) <= {K}"),
         **hop1_same,
         "hop1_linked_only": ask(replace(W1, candidates1="linked"), 1),
         "hop1_unlinked_only": ask(replace(W1, candidates1="unlinked"), 1),
