@@ -51,6 +51,24 @@ def anchor_hop(kg: KnowledgeGraph, anchor: int, relation: str, role: DataFrame,
     return topk(anchor_scores(kg, anchor, relation, role, candidates, missing, impl), check_k(k), form, fan_in, workers)
 
 
+def anchor_hop_pruned(kg: KnowledgeGraph, anchor: int, relation: str, role: DataFrame, k: int, prefix: int = 2, share: float = 0.05) -> DataFrame:
+    """Hop 1 in two phases, with the same answer: the K-th score of a share of the role bounds what the rest has to reach, and the
+    distance over leading coordinates, which never exceeds the whole one, drops who cannot before the whole vector is scored.
+
+    Pays where vectors are wide and their leading coordinates are a column of their own.  A share of fewer than K members bounds nothing.
+    """
+    if not 0 < prefix <= kg.dim:
+        raise ValueError(f"prefix must be between 1 and {kg.dim}")
+    comp = F.broadcast(composite_of(kg, anchor, relation))
+    placed = lookup_vectors(role.select("eid"), kg.vectors).crossJoin(comp)
+    some = placed.where(F.pmod(F.xxhash64("eid"), F.lit(10_000)) < int(share * 10_000)).select("eid", score_column(kg).alias("score"))
+    bound = topk_native(some, check_k(k)).agg(F.when(F.count("*") >= k, F.min("score")).otherwise(F.lit(float("-inf"))).alias("bound"))
+    head = translation_score(F.col("comp"), F.col("vec"), prefix, kg.numeric, kg.gamma)
+    # both distances fall as coordinates are left out, so that equal ones stay
+    left = placed.crossJoin(F.broadcast(bound)).where(head >= F.col("bound"))
+    return topk_native(left.select("eid", score_column(kg).alias("score")), k)
+
+
 def rerank_hop(kg: KnowledgeGraph, previous: DataFrame, anchor: int, relation: str, k2: int, combine: str = "replace", missing: str = "drop") -> DataFrame:
     """(eid, score, rank): survivors in the order of a second anchor; k2 below their number also filters.
 

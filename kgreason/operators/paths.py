@@ -34,9 +34,12 @@ def frontier_bound(k: int, hops: int, policy: str = "per_path") -> int:
     raise ValueError("there is no bound without pruning")
 
 
-def _expand(kg: KnowledgeGraph, frontier: DataFrame, edges: DataFrame, scorer: str, dim: int) -> DataFrame:
-    """All simple one-edge extensions with their scores."""
-    step = frontier.join(edges, frontier["last"] == edges["h"]).where(~F.array_contains("path", F.col("t")))
+def _expand(kg: KnowledgeGraph, frontier: DataFrame, edges: DataFrame, scorer: str, dim: int, keys: list[str] | None = None, last: bool = False) -> DataFrame:
+    """All simple one-edge extensions with their scores; keys go along, and at the last level of many pairs only edges into the goal count."""
+    on = frontier["last"] == edges["h"]
+    if last:
+        on = on & (frontier["__goal"] == edges["t"])
+    step = frontier.join(edges, on).where(~F.array_contains("path", F.col("t")))
     ends = lookup_vectors(step.withColumn("eid", F.col("t")), kg.vectors.withColumnRenamed("vec", "tv"))
     if scorer != "untyped":
         ends = ends.join(F.broadcast(kg.relations.select(F.col("r").alias("r"), F.col("vec").alias("rv"))), "r")
@@ -66,6 +69,7 @@ def _expand(kg: KnowledgeGraph, frontier: DataFrame, edges: DataFrame, scorer: s
     else:
         pvec = F.col("pvec")
     return ends.select(
+        *(keys or []),
         F.array_append("path", F.col("t")).alias("path"),
         F.array_append("rels", F.col("r")).alias("rels"),
         pvec.alias("pvec"),
@@ -163,12 +167,35 @@ def exact_paths(kg: KnowledgeGraph, source: int, target: int, hops: int, directi
     return k_best_paths(kg, source, target, hops, 1, prune="none", scorer=scorer, direction=direction)
 
 
-def k_best_paths_many(kg: KnowledgeGraph, pairs: list[tuple[int, int]], hops: int, k: int, **options) -> DataFrame:
-    """Answers for several (source, target) pairs, with both as columns; the pairs are the caller's short list."""
-    out = None
-    for s, t in pairs:
-        own = k_best_paths(kg, s, t, hops, k, **options).withColumns({"source": F.lit(s).cast("bigint"), "target": F.lit(t).cast("bigint")})
-        out = own if out is None else out.unionByName(own)
-    if out is None:
-        raise ValueError("no pairs")
-    return out
+def k_best_paths_many(kg: KnowledgeGraph, pairs: DataFrame, hops: int, k: int, prune: str = "per_path", scorer: str = "translate_sum", direction: str = "out") -> DataFrame:
+    """(source, target, path, rels, score, hops, rank) for every pair (source, target), as one plan: pairs run beside each other, each with its own beam."""
+    check_k(k)
+    for name, value, known in (("prune", prune, PRUNE), ("scorer", scorer, SCORERS), ("direction", direction, ("out", "both"))):
+        if value not in known:
+            raise ValueError(f"unknown {name} {value!r}; known: {', '.join(known)}")
+    if direction == "both":
+        kg = undirected(kg)
+    edges = kg.triples.select("h", "r", "t")
+    keys = ["source", "target"]
+    frontier = (
+        pairs.select(*keys)
+        .distinct()
+        .join(kg.vectors.withColumnRenamed("eid", "source"), "source")
+        .select(*keys, F.array("source").alias("path"), F.expr("cast(array() as array<string>)").alias("rels"), F.col("vec").alias("pvec"), F.col("vec").alias("lvec"), F.col("source").alias("last"), F.lit(0.0).alias("score"))
+    )
+    order = [F.col("score").desc(), F.col("path").asc(), F.col("rels").asc()]
+    hits = None
+    for level in range(1, hops + 1):
+        # the pair travels inside the path's row; at the last level its target is part of the join
+        own = frontier.withColumn("__goal", F.col("target")) if level == hops else frontier
+        grown = _expand(kg, own, edges, scorer, kg.dim, keys, last=level == hops)
+        found = grown.where("last = target").select(*keys, "path", "rels", "score", F.lit(level).alias("hops"))
+        hits = found if hits is None else hits.unionByName(found)
+        if level < hops:
+            rest = grown.where("last <> target")
+            if prune != "none":
+                by = [*keys, "parent", "parent_rels"] if prune == "per_path" else keys
+                rest = rest.withColumn("__r", F.row_number().over(Window.partitionBy(*by).orderBy(*order))).where(F.col("__r") <= k).drop("__r")
+            frontier = rest.drop("parent", "parent_rels")
+    ranked = hits.withColumn("rank", F.row_number().over(Window.partitionBy(*keys).orderBy(*order)))
+    return ranked if prune == "none" else ranked.where(F.col("rank") <= k)

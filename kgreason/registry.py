@@ -5,14 +5,14 @@ from __future__ import annotations
 from collections.abc import Callable
 from dataclasses import replace
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import oracles as sql
 from .ids import eid_value, key_of
 from .operators.graph import degrees, graph_profile, one_hop, open_graph, relation_profile, role_members, type_cube
-from .operators.hops import expand_hop_loop, suggest_links
-from .operators.paths import exact_paths, k_best_paths
+from .operators.hops import anchor_hop_pruned, expand_hop_loop, suggest_links
+from .operators.paths import exact_paths, k_best_paths, k_best_paths_many
 from .operators.topk import merge_cost
 from .plans import measures
 from .plans import workloads as w
@@ -67,6 +67,40 @@ def graph_data_sheet(spark: SparkSession, sf_dir: str) -> DataFrame:
     return graph_profile(w.workload_graph(spark, sf_dir, "w1"))
 
 
+def graph_rollup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Edges by head type and relation, with subtotals."""
+    own = build_triples(spark, sf_dir, SMALL).rollup("h_type", "r").agg(F.count("*").alias("edges"))
+    return own
+
+
+def degree_pivot(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Largest degree of each relation at either end, side by side."""
+    own = degrees(build_triples(spark, sf_dir, ["nation_hosts_customer", "customer_buys_from_supplier", "brand_has_part"]))
+    return own.groupBy("r").pivot("end", ["h", "t"]).agg(F.max("degree"))
+
+
+def score_gaps(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Hop 1's list with the gap to the next score, the running sum and the share of the best."""
+    kg = w.workload_graph(spark, sf_dir, "w1")
+    order = Window.orderBy("rank")
+    best = hop1(kg, W1)
+    return best.select(
+        "eid", "rank", (F.col("score") - F.coalesce(F.lead("score").over(order), F.col("score"))).alias("gap"), F.sum("score").over(order.rowsBetween(Window.unboundedPreceding, 0)).alias("running"), (F.col("score") - F.first("score").over(order)).alias("behind")
+    )
+
+
+def role_set_operations(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Customers that buy from supplier 1 and not from supplier 2, those that buy from both, and the rest of either."""
+    edges = build_triples(spark, sf_dir, ["customer_buys_from_supplier"])
+    one, two = (edges.where(F.col("t") == eid_value("supplier", i)).select(F.col("h").alias("eid")) for i in (1, 2))
+    named = [("only", one.exceptAll(two)), ("both", one.intersect(two)), ("either", one.union(two).distinct())]
+    out = None
+    for name, df in named:
+        own = df.withColumn("part", F.lit(name))
+        out = own if out is None else out.unionByName(own)
+    return out
+
+
 def role_customers(spark: SparkSession, sf_dir: str) -> DataFrame:
     return role_members(build_triples(spark, sf_dir, ["nation_hosts_customer"]), "nation_hosts_customer")
 
@@ -118,6 +152,22 @@ def _hop1(spark: SparkSession, sf_dir: str, q=W1, name: str = "w1", binding: str
     return hop1(w.workload_graph(spark, sf_dir, name, binding=binding), q, **options)
 
 
+def hop1_pruned_by_prefix(spark: SparkSession, sf_dir: str) -> DataFrame:
+    kg = w.workload_graph(spark, sf_dir, "w1")
+    return anchor_hop_pruned(kg, eid_value(*W1.anchor1), W1.relation1, role_members(kg.triples, W1.relation1), W1.k)
+
+
+def paths_many_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    kg = w.shared_graph(spark, sf_dir, w.G1_RELATIONS)
+    pairs = spark.createDataFrame([w.G1[:2], w.G2[:2]], "source bigint, target bigint")
+    return _shown(k_best_paths_many(kg, pairs, 3, 5, direction="both"))
+
+
+def _many_sql() -> str:
+    parts = [f"select cast({s} as bigint) as source, cast({t} as bigint) as target, * from ({sql.path_sql(w.G1_RELATIONS, s, t, 3, 5, 'per_path', True)})" for s, t, _ in (w.G1, w.G2)]
+    return " union all ".join(parts)
+
+
 def _hop2(spark: SparkSession, sf_dir: str, q) -> DataFrame:
     kg = w.workload_graph(spark, sf_dir, "w1")
     return hop2(kg, q, hop1(kg, q))
@@ -305,6 +355,10 @@ def queries() -> dict[str, Query]:
         "triples_profile": triples_profile,
         "relation_degrees": relation_degrees,
         "graph_cube": graph_cube,
+        "graph_rollup": graph_rollup,
+        "degree_pivot": degree_pivot,
+        "score_gaps": score_gaps,
+        "role_set_operations": role_set_operations,
         "graph_data_sheet": graph_data_sheet,
         "role_customers": role_customers,
         "role_union": role_union,
@@ -320,6 +374,7 @@ def queries() -> dict[str, Query]:
         "hop1_anchor_funnel": q1(W1, form="heap_funnel", workers=16),
         "hop1_shared_list_baseline": q1(W1, form="shared_list"),
         "hop1_full_sort_baseline": q1(W1, form="full_sort"),
+        "hop1_pruned_by_prefix": hop1_pruned_by_prefix,
         "hop1_linked_only": q1(replace(W1, candidates1="linked")),
         "hop1_unlinked_only": q1(replace(W1, candidates1="unlinked")),
         "hop1_missing_vectors": q1(W7, name="w2", binding="native"),
@@ -345,6 +400,7 @@ def queries() -> dict[str, Query]:
         "paths_translate_end_g1": path(w.G1_RELATIONS, w.G1, K, "per_path", True, "translate_end"),
         "paths_untyped_g2": path(w.G1_RELATIONS, w.G2, K, "per_path", True, "untyped", typed=False),
         "paths_beam_h4_g3": path(w.G3_RELATIONS, w.G3, K, "global", False),
+        "paths_many_pairs": paths_many_pairs,
         "beam_recall_g1": beam_recall_g1,
         "dim_overlap": dim_overlap,
         "work_counters": work_counters,
@@ -378,7 +434,7 @@ def oracle_sql() -> dict[str, str]:
         ],
         "select * from hop3",
     )
-    hop1_same = {n: ask(W1, 1) for n in ("hop1_anchor_native", "hop1_anchor_heap_tree2", "hop1_anchor_heap_tree4", "hop1_anchor_funnel", "hop1_shared_list_baseline", "hop1_full_sort_baseline")}
+    hop1_same = {n: ask(W1, 1) for n in ("hop1_anchor_native", "hop1_anchor_heap_tree2", "hop1_anchor_heap_tree4", "hop1_anchor_funnel", "hop1_shared_list_baseline", "hop1_full_sort_baseline", "hop1_pruned_by_prefix")}
     whole_same = {n: ask(W1) for n in ("hop3_expand_per_head", "three_hop_w1_simple", "hop3_one_plan_per_head")}
     median = "d as (select r, i, cast(floor(median(vt.vec[i] - vh.vec[i])) as bigint) as x from base join vec vh on vh.eid = h join vec vt on vt.eid = t, (select unnest(range(1, 9)) as i) group by r, i)"
     heap = [
@@ -398,6 +454,17 @@ def oracle_sql() -> dict[str, str]:
             sql.triples_sql(["nation_hosts_customer", "customer_buys_from_supplier", "page_links_target"])
         ),
         "graph_cube": f"select h_type, t_type, count(*) as edges, cast(grouping(h_type, t_type) as bigint) as grouping from ({sql.triples_sql(SMALL)}) group by cube (h_type, t_type)",
+        "graph_rollup": f"select h_type, r, count(*) as edges from ({sql.triples_sql(SMALL)}) group by rollup (h_type, r)",
+        "degree_pivot": "with e as ({}) select r, (select max(n) from (select count(*) as n from e x where x.r = e.r group by x.h)) as h, (select max(n) from (select count(*) as n from e x where x.r = e.r group by x.t)) as t from (select distinct r from e) e".format(
+            sql.triples_sql(["nation_hosts_customer", "customer_buys_from_supplier", "brand_has_part"])
+        ),
+        "score_gaps": st(
+            g(w1) + sql.hop1_ctes(W1),
+            "select eid, rank, score - coalesce(lead(score) over (order by rank), score) as gap, sum(score) over (order by rank rows unbounded preceding) as running, score - first_value(score) over (order by rank) as behind from hop1",
+        ),
+        "role_set_operations": "with e as ({}), a as (select h as eid from e where t = {}), b as (select h as eid from e where t = {}) select eid, 'only' as part from (select * from a except select * from b) union all select eid, 'both' from (select * from a intersect select * from b) union all select eid, 'either' from (select * from a union select * from b)".format(
+            sql.edge_sql("customer_buys_from_supplier"), eid_value("supplier", 1), eid_value("supplier", 2)
+        ),
         "graph_data_sheet": st(
             g(w1),
             "select 'edges' as property, count(*) as value from triples union all select 'entities', count(*) from ent union all select 'relations', count(*) from relv union all select 'elements', (select count(*) from triples) + (select count(*) from ent) union all select * from (values ('dimensions', 8), ('edge_record_bytes', 24), ('vector_record_bytes', 72)) x(p, v)",
@@ -433,6 +500,7 @@ def oracle_sql() -> dict[str, str]:
         "paths_translate_end_g1": sql.path_sql(w.G1_RELATIONS, *w.G1, K, "per_path", True, "translate_end"),
         "paths_untyped_g2": sql.path_sql(w.G1_RELATIONS, *w.G2, K, "per_path", True, "untyped"),
         "paths_beam_h4_g3": sql.path_sql(w.G3_RELATIONS, *w.G3, K, "global", False),
+        "paths_many_pairs": _many_sql(),
         "beam_recall_g1": _recall_sql(),
         "dim_overlap": _dim_overlap_sql(),
         "work_counters": st(

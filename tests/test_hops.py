@@ -5,7 +5,7 @@ import math
 import pytest
 from helpers import hand_graph
 
-from kgreason.operators.hops import anchor_hop, expand_hop, expand_hop_loop, rerank_hop, suggest_links
+from kgreason.operators.hops import anchor_hop, anchor_hop_pruned, expand_hop, expand_hop_loop, rerank_hop, suggest_links
 
 A, B, P1, P2, P3, P4, U1, U2, U3 = range(1, 10)
 EDGES = [("r1", A, P1), ("r1", A, P2), ("r1", A, P3), ("r1", A, P4), ("r2", B, P2), ("r3", P1, U1), ("r3", P2, U2), ("r3", P3, U3)]
@@ -70,3 +70,17 @@ def test_bad_parts(spark, kg):
         rerank_hop(kg, role(spark, P1), B, "r2", 1, "mix")
     assert anchor_hop(kg, A, "r1", role(spark), 3).count() == 0
     assert anchor_hop(kg, 999, "r1", role(spark, P1), 3).count() == 0
+
+
+def test_pruning_is_exact(spark, sf):
+    from kgreason.operators.graph import role_members
+    from kgreason.plans import workloads as w
+    from kgreason.ids import eid_value
+
+    kg, q = w.workload_graph(spark, sf, "w1"), w.WORKLOADS["w1"]
+    everyone = role_members(kg.triples, q.relation1)
+    whole = sorted(map(tuple, anchor_hop(kg, eid_value(*q.anchor1), q.relation1, everyone, 10).collect()))
+    for prefix, share in ((1, 0.3), (4, 0.5), (8, 0.01)):
+        assert sorted(map(tuple, anchor_hop_pruned(kg, eid_value(*q.anchor1), q.relation1, everyone, 10, prefix, share).collect())) == whole
+    with pytest.raises(ValueError):
+        anchor_hop_pruned(kg, 1, q.relation1, everyone, 10, 9)

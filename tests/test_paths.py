@@ -90,7 +90,13 @@ def test_bounds():
 
 
 def test_many_and_roles(spark, kg):
-    many = k_best_paths_many(kg, [(S, T), (A, T)], 2, 5)
+    pairs = spark.createDataFrame([(S, T), (A, T), (A, T), (T, A)], "source bigint, target bigint")
+    for prune in ("per_path", "global", "none"):
+        many = k_best_paths_many(kg, pairs, 2, 2, prune)
+        for s, t in ((S, T), (A, T)):
+            own = [(tuple(r["path"]), r["score"]) for r in many.where(f"source = {s}").orderBy("rank").collect()]
+            assert own == [(tuple(r["path"]), r["score"]) for r in k_best_paths(kg, s, t, 2, 2, prune).orderBy("rank").collect()]
+    many = k_best_paths_many(kg, pairs, 2, 5)
     assert {(r["source"], tuple(r["path"])) for r in many.collect()} == {(S, (S, T)), (S, (S, A, T)), (S, (S, B, T)), (A, (A, T)), (A, (A, B, T))}
     role = spark.createDataFrame([(T,), (B,)], "eid bigint")
     assert paths(k_best_paths(kg, S, T, 2, 9, target_role=role)) == {(S, T), (S, B), (S, A, T), (S, A, B)}
