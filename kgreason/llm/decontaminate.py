@@ -7,7 +7,7 @@ broadcast hash join - only while the benchmark has at most ``max_broadcast_windo
 a shuffled one.  Hits are verified word by word against the item before they count.
 
 Defined results: null or empty text has no words, is never hit and is kept; items without words have no
-windows; rows repeating a doc_id are counted as one document's; duplicate items count by item_id; empty
+windows; rows repeating a doc_id are counted as one document's, rows with a null doc_id have no hits; duplicate items count by item_id; empty
 tables on either side give no hits; further columns pass through ``decontaminate`` untouched.
 """
 
@@ -15,13 +15,14 @@ from __future__ import annotations
 
 import functools
 
-from pyspark.sql import Column, DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import materialize, table
 
 WINDOW = 10
 MAX_BROADCAST_WINDOWS = 2_000_000  # 50 bytes each
+MAX_BROADCAST_HITS = 1_000_000  # hits to verify, at most 40 bytes each
 
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 _BREAKS = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
@@ -114,13 +115,15 @@ def find_hits(docs: DataFrame, benchmark: DataFrame, n: int = WINDOW, max_broadc
     found = materialize(found.select("doc_id", "at", "length", "hash"), "window-hits")
     counts = found.where(F.col("at") == -1).select("doc_id", F.col("hash").alias("n_words"))
     maybe = found.where(F.col("at") >= 0)
-    return counts, _verified(words, maybe, hashed, small)
+    few = maybe.count() <= MAX_BROADCAST_HITS
+    return counts, _verified(docs, maybe, hashed, small, few)
 
 
-def _verified(words: DataFrame, maybe: DataFrame, hashed: DataFrame, small: bool) -> DataFrame:
-    """Keeps the hits whose words are those of the item."""
+def _verified(docs: DataFrame, maybe: DataFrame, hashed: DataFrame, small: bool, few: bool) -> DataFrame:
+    """Keeps the hits whose words are those of the item.  Few hits go to the texts; many make the texts come to them, before they are split into words."""
     by_doc = maybe.groupBy("doc_id").agg(F.collect_set(F.struct("at", "length", "hash")).alias("hits"))
-    again = words.join(by_doc, "doc_id")
+    joined = docs.select("doc_id", "text").join(F.broadcast(by_doc) if few else by_doc, "doc_id")
+    again = joined.select("doc_id", words_of(F.col("text")).alias("words"), "hits")
     grams = again.select(
         "doc_id",
         F.explode(F.expr("transform(hits, h -> struct(h.at as at, h.length as length, h.hash as hash, array_join(slice(words, h.at + 1, h.length), ' ') as gram))")).alias("h"),

@@ -185,6 +185,7 @@ TEXTS = [
 @pytest.mark.parametrize("limit", [decontaminate.MAX_BROADCAST_WINDOWS, 0])
 def test_hits(spark, folder, limit, monkeypatch):
     monkeypatch.setattr(decontaminate.contamination, "__defaults__", (10, limit))
+    monkeypatch.setattr(decontaminate, "MAX_BROADCAST_HITS", limit)
     sf = folder(TEXTS, benchmark=ITEMS)
     own = {r["doc_id"]: (r["n_words"], r["n_hit"], r["n_items"], r["items_sha256"], r["contaminated"]) for r in decontaminate.op10_benchmark_decontamination(spark, sf).collect()}
     assert own == brute_hits(TEXTS, ITEMS)
