@@ -86,8 +86,12 @@ def rerank_hop(kg: KnowledgeGraph, previous: DataFrame, anchor: int, relation: s
     return best.select("eid", (F.col("first") if combine == "keep_first" else F.col("score")).alias("score"), "rank")
 
 
-def expansion_scores(kg: KnowledgeGraph, heads: DataFrame, relation: str, role: DataFrame, candidates: str = "role", missing: str = "drop", impl: str = "auto") -> DataFrame:
-    """(head, eid, score): every survivor with every candidate; the survivors' composites are the broadcast side."""
+def expansion_scores(kg: KnowledgeGraph, heads: DataFrame, relation: str, role: DataFrame, candidates: str = "role", missing: str = "drop", impl: str = "auto", k: int | None = None, bound_share: float = 0.0) -> DataFrame:
+    """(head, eid, score): every survivor with every candidate; the survivors' composites are the broadcast side.
+
+    With bound_share and K, rows that cannot be among a head's K best are left out as they are scored: the K-th score of a share of
+    the role bounds them.  Tasks then sort about K / share rows a head in place of the whole role; the K best stay the same.
+    """
     _one_of("candidates", candidates, CANDIDATES)
     rel = kg.relations.where(F.col("r") == relation).select(F.col("vec").alias("rv"))
     comps = lookup_vectors(F.broadcast(heads.select("eid")), kg.vectors).crossJoin(F.broadcast(rel)).select(F.col("eid").alias("head"), compose("vec", "rv").alias("comp"))
@@ -95,6 +99,13 @@ def expansion_scores(kg: KnowledgeGraph, heads: DataFrame, relation: str, role:
     if candidates == "linked":
         links = kg.edges(relation).select(F.col("h").alias("head"), F.col("t").alias("eid"))
         pairs = links.join(F.broadcast(comps), "head").join(placed, "eid")
+    elif bound_share and k and candidates == "role":
+        some = placed.where(F.pmod(F.xxhash64("eid"), F.lit(10_000)) < max(1, int(bound_share * 10_000))).crossJoin(F.broadcast(comps))
+        best = topk_grouped(some.select("head", "eid", score_column(kg, impl).alias("score")), k, ["head"])
+        bounds = best.groupBy("head").agg(F.min("score").alias("bound"), F.count("*").alias("n")).where(F.col("n") >= k).select("head", "bound")
+        bounded = comps.join(F.broadcast(bounds), "head", "left").select("head", "comp", F.coalesce("bound", F.lit(float("-inf"))).alias("bound"))
+        pairs = placed.crossJoin(F.broadcast(bounded))
+        return pairs.select("head", "eid", score_column(kg, impl).alias("score"), "bound").where("score >= bound").drop("bound")
     else:
         pairs = placed.crossJoin(F.broadcast(comps))
     scored = pairs.select("head", "eid", score_column(kg, impl).alias("score"))
@@ -115,9 +126,9 @@ def shape_output(per_head: DataFrame, k: int, output: str) -> DataFrame:
     return topk_native(per_head.groupBy("eid").agg(F.max("score").alias("score")), k).select("eid", "score", "rank")
 
 
-def expand_hop(kg: KnowledgeGraph, heads: DataFrame, relation: str, role: DataFrame, k: int, candidates: str = "role", output: str = "per_head", missing: str = "drop", impl: str = "auto") -> DataFrame:
+def expand_hop(kg: KnowledgeGraph, heads: DataFrame, relation: str, role: DataFrame, k: int, candidates: str = "role", output: str = "per_head", missing: str = "drop", impl: str = "auto", bound_share: float = 0.0) -> DataFrame:
     """The K best candidates of each survivor, shaped as asked."""
-    scored = expansion_scores(kg, heads, relation, role, candidates, missing, impl)
+    scored = expansion_scores(kg, heads, relation, role, candidates, missing, impl, k, bound_share)
     return shape_output(topk_grouped(scored, check_k(k), ["head"]), k, output)
 
 

@@ -33,6 +33,7 @@ class ThreeHopQuery:
     combine: str = "replace"
     output: str = "per_head"
     missing: str = "drop"
+    bound_share: float = 0.0  # share of role 3 that bounds the scores of the rest before lists are sorted; for large roles
 
     @classmethod
     def from_spec(cls, spec: dict) -> ThreeHopQuery:
@@ -112,7 +113,7 @@ def hop2(kg: KnowledgeGraph, q: ThreeHopQuery, first: DataFrame) -> DataFrame:
 
 def hop3(kg: KnowledgeGraph, q: ThreeHopQuery, second: DataFrame) -> DataFrame:
     role = role_members(kg.triples, q.role3 or q.relation3, q.role3_end)
-    return expand_hop(kg, second, q.relation3, role, q.k, q.candidates3, q.output)
+    return expand_hop(kg, second, q.relation3, role, q.k, q.candidates3, q.output, bound_share=q.bound_share)
 
 
 def three_hop(kg: KnowledgeGraph, q: ThreeHopQuery, **options) -> DataFrame:

@@ -24,7 +24,7 @@ WORKLOADS: dict[str, ThreeHopQuery] = {
     # pages of a domain, then of a language, then link targets
     "w5": ThreeHopQuery(("domain", 0), "domain_has_page", ("lang", 1), "lang_has_page", "page_links_target", k=10),
     # documents of a language, then of a source, then tokens: the largest expansion
-    "w6": ThreeHopQuery(("lang", 1), "lang_has_doc", ("source", 0), "source_has_doc", "doc_mentions_token", k=10),
+    "w6": ThreeHopQuery(("lang", 1), "lang_has_doc", ("source", 0), "source_has_doc", "doc_mentions_token", k=10, bound_share=0.02),
 }
 
 #: Conversations in which users speak, re-ranked by the assistant: a chain of two hops.

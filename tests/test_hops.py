@@ -84,3 +84,14 @@ def test_pruning_is_exact(spark, sf):
         assert sorted(map(tuple, anchor_hop_pruned(kg, eid_value(*q.anchor1), q.relation1, everyone, 10, prefix, share).collect())) == whole
     with pytest.raises(ValueError):
         anchor_hop_pruned(kg, 1, q.relation1, everyone, 10, 9)
+
+
+def test_bound_keeps_the_best(spark, sf):
+    from dataclasses import replace
+
+    from kgreason.plans import workloads as w
+    from kgreason.plans.query import three_hop
+
+    kg, q = w.workload_graph(spark, sf, "w6"), w.WORKLOADS["w6"]
+    plain, bounded = (sorted(map(tuple, three_hop(kg, replace(q, bound_share=x)).collect())) for x in (0.0, 0.1))
+    assert plain == bounded and len(plain) == 100
