@@ -28,7 +28,8 @@ from pyspark.sql import functions as F
 from .common import materialize, slices, table
 
 CAPACITY = 2048
-SALTS = 64
+#: Groups that the pieces of one length are dealt to: as many as the session shuffles to, within these bounds.  The driver gets capacity * salts counts.
+MIN_SALTS, MAX_SALTS = 64, 4096
 
 
 def default_tokenizer() -> str:
@@ -139,17 +140,18 @@ def minimum_bin_slack(counts: dict[int, int], capacity: int = CAPACITY) -> Layou
     return Layout(*({k: c[i] for k, c in cols.items()} for i in range(4)), n_bins)
 
 
-def pack(pieces: DataFrame, capacity: int = CAPACITY, salts: int = SALTS) -> DataFrame:
+def pack(pieces: DataFrame, capacity: int = CAPACITY, salts: int | None = None) -> DataFrame:
     """pieces (any columns, with ``length``) with sequence_id and offset added.
 
     What the driver gets are counts by (length, salt): capacity * salts numbers at most.
     """
     keys = [c for c in pieces.columns if c in ("doc_id", "piece")]
+    salts = salts or min(MAX_SALTS, max(MIN_SALTS, int(pieces.sparkSession.conf.get("spark.sql.shuffle.partitions"))))
     dealt = pieces.withColumn("__salt", F.pmod(F.xxhash64(*keys), F.lit(salts)).cast("int"))
-    found = dealt.groupBy("length", "__salt").count().collect()
+    found = dealt.groupBy("length", "__salt").count().toArrow()
     groups = np.zeros((capacity + 1, salts), np.int64)
-    for r in found:
-        groups[r["length"], r["__salt"]] = r["count"]
+    if found.num_rows:
+        groups[found["length"].to_numpy(), found["__salt"].to_numpy()] = found["count"].to_numpy()
     before = np.cumsum(groups, axis=1) - groups
     layout = minimum_bin_slack({int(k): int(groups[k].sum()) for k in np.flatnonzero(groups.sum(axis=1))}, capacity)
     sent = pieces.sparkSession.sparkContext.broadcast((before, layout))
