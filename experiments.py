@@ -95,7 +95,7 @@ class Bench:
             say("x5", form="lock_funnel", workers=workers, seconds=timed_run(lambda: topk(rows, K, "heap_funnel", workers=workers), 2))
             for fan_in in (2, 4):
                 cost = merge_cost(workers, K, fan_in)
-                say("x5", form="tree", workers=workers, fan_in=fan_in, rounds=cost["rounds"], rows_in_a_task=cost["rows_in_a_task"], seconds=timed_run(lambda: topk(rows, K, "heap_tree", fan_in, workers), 2))
+                say("x5", form="tree", moved_records=measures.moved(spark, lambda: run_noop(topk(rows, K, "heap_tree", fan_in, workers)))["shuffle_records"] - 2_000_000, workers=workers, fan_in=fan_in, rounds=cost["rounds"], rows_in_a_task=cost["rows_in_a_task"], seconds=timed_run(lambda: topk(rows, K, "heap_tree", fan_in, workers), 2))
         for workers in (65536, 1_048_576):  # rows that one reducer takes, against a tree's
             say("x5", form="model", workers=workers, funnel_rows=workers * K, tree64_rows=merge_cost(workers, K, 64)["rows_in_a_task"])
 

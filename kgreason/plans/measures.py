@@ -107,3 +107,26 @@ def partition_skew(df: DataFrame) -> DataFrame:
     """One row (partitions, largest, median): rows of the partitions of a plan's result."""
     sizes = df.groupBy(F.spark_partition_id().alias("p")).agg(F.count("*").alias("n"))
     return sizes.agg(F.count("*").alias("partitions"), F.max("n").alias("largest"), F.percentile_approx("n", 0.5).alias("median"))
+
+
+def stage_totals(spark: SparkSession) -> dict[str, int]:
+    """Shuffle bytes and records, spilled bytes, tasks and their milliseconds over all stages that the session still remembers."""
+    sc = spark.sparkContext
+    stages = sc._jsc.sc().statusStore().stageList(None, False, False, sc._gateway.new_array(sc._jvm.double, 0), None).iterator()
+    out = dict.fromkeys(("shuffle_bytes", "shuffle_records", "spilled_bytes", "tasks", "task_ms"), 0)
+    while stages.hasNext():
+        s = stages.next()
+        out["shuffle_bytes"] += s.shuffleWriteBytes()
+        out["shuffle_records"] += s.shuffleReadRecords()
+        out["spilled_bytes"] += s.diskBytesSpilled()
+        out["tasks"] += s.numCompleteTasks()
+        out["task_ms"] += s.executorRunTime()
+    return out
+
+
+def moved(spark: SparkSession, run: Callable[[], object]) -> dict[str, int]:
+    """What a run adds to those totals."""
+    before = stage_totals(spark)
+    run()
+    after = stage_totals(spark)
+    return {k: after[k] - before[k] for k in after}

@@ -124,6 +124,8 @@ def test_measures(spark, sf):
     times = measures.timed_hops(kg, w.WORKLOADS["w1"])
     assert set(times) == {"hop1", "hop2", "hop3"} and all(t > 0 for t in times.values())
     assert measures.scaling_curve(lambda c: 8 / c, [1, 2, 4]) == [(1, 8.0, 1.0), (2, 4.0, 2.0), (4, 2.0, 4.0)]
+    big, small = (measures.moved(spark, lambda n=n: spark.range(n).repartition(5).count()) for n in (20_000, 200))
+    assert big["shuffle_records"] >= 20_000 > small["shuffle_records"] and big["tasks"] > 0
     skew = measures.partition_skew(spark.range(100).repartition(4)).first()
     assert skew["partitions"] == 4 and skew["largest"] >= skew["median"]
 
