@@ -22,10 +22,8 @@ CHECKPOINT_FROM = 4
 
 
 def frontier_bound(k: int, hops: int, policy: str = "per_path") -> int:
-    """Paths that enter the last level at most, with the bound for the sum over levels where that is what a buffer has to hold.
-
-    The geometric sum has no closed form at K = 1, where a level holds one path.
-    """
+    """Size of a path buffer by the published estimate, (K^(H-1) - 1) / (K - 1), which has no value at K = 1, where each of the H - 1 levels holds one path;
+    with one beam for all paths it is K a level.  See frontier_limit for what a level can really hold."""
     check_k(k)
     if policy == "per_path":
         return hops - 1 if k == 1 else (k ** (hops - 1) - 1) // (k - 1)
@@ -34,6 +32,14 @@ def frontier_bound(k: int, hops: int, policy: str = "per_path") -> int:
     raise ValueError("there is no bound without pruning")
 
 
+def frontier_limit(k: int, level: int, policy: str = "per_path") -> int:
+    """Most paths that leave a level: K^level when K are kept per path, K when K are kept in all."""
+    check_k(k)
+    if policy not in ("per_path", "global"):
+        raise ValueError("there is no limit without pruning")
+    return k**level if policy == "per_path" else k
+
+
 def _expand(kg: KnowledgeGraph, frontier: DataFrame, edges: DataFrame, scorer: str, dim: int, keys: list[str] | None = None, last: bool = False) -> DataFrame:
     """All simple one-edge extensions with their scores; keys go along, and at the last level of many pairs only edges into the goal count."""
     on = frontier["last"] == edges["h"]

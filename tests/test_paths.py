@@ -6,7 +6,7 @@ import numpy as np
 import pytest
 from helpers import hand_graph
 
-from kgreason.operators.paths import exact_paths, frontier_bound, k_best_paths, k_best_paths_many
+from kgreason.operators.paths import exact_paths, frontier_bound, frontier_limit, k_best_paths, k_best_paths_many
 
 S, A, B, T = 1, 2, 3, 4
 EDGES = [("e", S, A), ("e", A, T), ("e", S, T), ("e", A, B), ("e", B, S), ("e", B, T), ("e", S, B)]
@@ -85,6 +85,7 @@ def test_against_enumeration(spark):
 
 def test_bounds():
     assert frontier_bound(50, 3) == 51 and frontier_bound(1, 4) == 3 and frontier_bound(10, 3, "global") == 20
+    assert frontier_limit(50, 2) == 2500 and frontier_limit(50, 2, "global") == 50
     with pytest.raises(ValueError):
         frontier_bound(5, 3, "none")
 
