@@ -83,11 +83,8 @@ class Logistic:
         return _sigmoid(self.scale * np.asarray(scores, dtype=np.float64) + self.shift)
 
 
-def fit_logistic(rows: Rows, good: np.ndarray, epochs: int = 40, batch: int = 128, rate: float = 0.5, seed: int = 1) -> Logistic:
-    """Minibatch steps scaled by past gradients on three quarters of the rows; the rest calibrates by Newton steps."""
-    rng, rows = np.random.default_rng(seed), rows.common()
-    order = rng.permutation(len(good))
-    fit, held = order[len(order) // 4 :], order[: len(order) // 4]
+def _weights(rows: Rows, good: np.ndarray, fit: np.ndarray, rng: np.random.Generator, epochs: int, batch: int, rate: float) -> tuple[np.ndarray, float]:
+    """Weights and bias by minibatch steps scaled by past gradients."""
     w, gw, bias, gb = np.zeros(2 * SIZE), np.full(2 * SIZE, 1e-8), 0.0, 1e-8
     for _ in range(epochs):
         own = rng.permutation(fit)
@@ -100,7 +97,15 @@ def fit_logistic(rows: Rows, good: np.ndarray, epochs: int = 40, batch: int = 12
             w += rate * g / np.sqrt(gw)
             gb += err.mean() ** 2
             bias += 0.1 * err.mean() / np.sqrt(gb)
-    w = w.astype(np.float32)
+    return w.astype(np.float32), bias
+
+
+def fit_logistic(rows: Rows, good: np.ndarray, epochs: int = 40, batch: int = 128, rate: float = 0.5, seed: int = 1) -> Logistic:
+    """Fits three quarters of the rows, calibrates on the rest by Newton steps, then fits all rows for the weights that the calibration is applied to."""
+    rng, rows = np.random.default_rng(seed), rows.common()
+    order = rng.permutation(len(good))
+    fit, held = order[len(order) // 4 :], order[: len(order) // 4]
+    w, bias = _weights(rows, good, fit, rng, epochs, batch, rate)
     s, y = rows.take(held).dot(w) + bias, good[held]
     # targets a little inside 0 and 1, as Platt has it, keep the slope finite
     hi, lo = (y.sum() + 1) / (y.sum() + 2), 1 / (len(y) - y.sum() + 2)
@@ -115,6 +120,7 @@ def fit_logistic(rows: Rows, good: np.ndarray, epochs: int = 40, batch: int = 12
             break
     if ab[0] <= 0:  # too few held rows to tell
         ab = np.array([1.0, 0.0])
+    w, bias = _weights(rows, good, order, rng, epochs, batch, rate)
     return Logistic(w, bias, float(ab[0]), float(ab[0] * bias + ab[1]))
 
 
