@@ -6,10 +6,15 @@ Each is a lazy plan; composites of head and relation are computed once, on a sid
 
 from __future__ import annotations
 
+import math
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.scoring import compose, or_minus_infinity, translation_score
+from ..session import ship
 from .graph import KnowledgeGraph
 from .lookup import lookup_vectors
 from .topk import check_k, topk, topk_grouped, topk_native
@@ -143,6 +148,70 @@ def expand_hop_loop(kg: KnowledgeGraph, heads: list[int], relation: str, role: D
     return out.select("head", "eid", "score", "rank")
 
 
-def suggest_links(kg: KnowledgeGraph, relation: str, heads: DataFrame, role: DataFrame, k: int) -> DataFrame:
-    """Missing links: the best candidates that a head is not linked with yet."""
-    return expand_hop(kg, heads, relation, role, k, candidates="unlinked")
+#: Heads or candidates that one group of suggest_links scores against each other, about.
+BLOCK = 4096
+
+
+def _suggest_block(k: int, dim: int, gamma: float, unit: float):
+    """For applyInArrow over a block of heads, a block of candidates and the links between them: K best unlinked ones of each head."""
+
+    def run(rows: pa.Table) -> pa.Table:
+        what, ids, other = (rows[c].to_numpy() for c in ("what", "eid", "other"))
+        vectors = rows["vec"].combine_chunks()
+
+        def side(kind: int) -> tuple[np.ndarray, np.ndarray]:
+            at = np.flatnonzero(what == kind)
+            at = at[np.argsort(ids[at], kind="stable")]
+            return ids[at], vectors.take(pa.array(at)).flatten().to_numpy(zero_copy_only=False).reshape(len(at), -1)[:, :dim]
+
+        (heads, comps), (tails, places) = side(0), side(1)
+        out: list[tuple] = [(np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0))]
+        if len(heads) and len(tails):
+            links = what == 2
+            h, t = np.searchsorted(heads, ids[links]), np.searchsorted(tails, other[links])
+            known = (heads[np.minimum(h, len(heads) - 1)] == ids[links]) & (tails[np.minimum(t, len(tails) - 1)] == other[links])
+            h, t = h[known], t[known]
+            order = np.argsort(h, kind="stable")
+            h, t = h[order], t[order]
+            for a in range(0, len(heads), 256):
+                b = min(a + 256, len(heads))
+                total = np.zeros((b - a, len(tails)), comps.dtype)
+                for i in range(dim):
+                    total += np.abs(comps[a:b, i, None] - places[None, :, i])
+                score = gamma - total / unit
+                free = np.ones(score.shape, bool)
+                x, y = np.searchsorted(h, (a, b))
+                free[h[x:y] - a, t[x:y]] = False
+                # linked ones last; candidates lie by id, which a stable sort keeps among equal scores
+                best = np.lexsort((-score, ~free), axis=1)[:, :k]
+                line = np.repeat(np.arange(b - a), best.shape[1])
+                best = best.ravel()
+                own = free[line, best]
+                line, best = line[own], best[own]
+                out.append((heads[a + line], tails[best], score[line, best].astype(np.float64)))
+        return pa.table(dict(zip(("head", "eid", "score"), (pa.array(np.concatenate(c)) for c in zip(*out, strict=True)), strict=True)))
+
+    return run
+
+
+def suggest_links(kg: KnowledgeGraph, relation: str, heads: DataFrame, role: DataFrame, k: int, block: int = BLOCK) -> DataFrame:
+    """Missing links: the K best candidates that a head is not linked with yet, for any number of heads.
+
+    Heads and candidates are counted and dealt to blocks; each pair of blocks is a group that scores its own pairs and hands on K rows a
+    head.  What is shuffled is each head once for each block of candidates, the other way round, and the links, never the pairs.
+    """
+    check_k(k)
+    ship(kg.spark)
+    rel = kg.relations.where(F.col("r") == relation).select(F.col("vec").alias("rv"))
+    n_heads, n_tails = (max(1, math.ceil(x.count() / block)) for x in (heads, role))
+    deal = lambda column, n: F.pmod(F.xxhash64(column), F.lit(n)).cast("int")
+    every = lambda n: F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
+    none = F.lit(None).cast("bigint")
+    comps = lookup_vectors(heads.select("eid"), kg.vectors).crossJoin(F.broadcast(rel))
+    comps = comps.select(deal("eid", n_heads).alias("a"), every(n_tails).alias("b"), F.lit(0).alias("what"), "eid", none.alias("other"), compose("vec", "rv").alias("vec"))
+    placed = lookup_vectors(role.select("eid"), kg.vectors)
+    placed = placed.select(every(n_heads).alias("a"), deal("eid", n_tails).alias("b"), F.lit(1).alias("what"), "eid", none.alias("other"), "vec")
+    links = kg.edges(relation).select(deal("h", n_heads).alias("a"), deal("t", n_tails).alias("b"), F.lit(2).alias("what"), F.col("h").alias("eid"), F.col("t").alias("other"), F.lit(None).cast(f"array<{kg.numeric.element}>").alias("vec"))
+    pairs = comps.unionByName(placed).unionByName(links)
+    scored = pairs.groupBy("a", "b").applyInArrow(_suggest_block(k, kg.dim, kg.gamma, kg.numeric.unit), "head bigint, eid bigint, score double")
+    return shape_output(topk_grouped(scored, k, ["head"]), k, "per_head")

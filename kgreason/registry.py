@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import oracles as sql
-from .ids import eid_value, key_of
+from .ids import eid_value
 from .operators.graph import degrees, graph_profile, one_hop, open_graph, relation_profile, role_members, type_cube
 from .operators.hops import anchor_hop_pruned, expand_hop_loop, suggest_links
 from .operators.paths import exact_paths, k_best_paths, k_best_paths_many
@@ -193,7 +193,7 @@ def hop3_one_plan_per_head(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def suggest_links_l1(spark: SparkSession, sf_dir: str) -> DataFrame:
     kg = w.workload_graph(spark, sf_dir, "w1")
-    heads = role_members(kg.triples, "nation_hosts_customer").where(key_of("eid") < 20)
+    heads = role_members(kg.triples, "nation_hosts_customer")
     return suggest_links(kg, "customer_buys_from_supplier", heads, role_members(kg.triples, "customer_buys_from_supplier"), 3)
 
 

@@ -1,11 +1,13 @@
 """The hand fixture: every score follows from the definition."""
 
 import math
+import random
 
 import pytest
-from helpers import hand_graph
+from helpers import duck, duck_rows, hand_graph, rows_of
 
 from kgreason.operators.hops import anchor_hop, anchor_hop_pruned, expand_hop, expand_hop_loop, rerank_hop, suggest_links
+from kgreason.registry import oracle_sql, queries
 
 A, B, P1, P2, P3, P4, U1, U2, U3 = range(1, 10)
 EDGES = [("r1", A, P1), ("r1", A, P2), ("r1", A, P3), ("r1", A, P4), ("r2", B, P2), ("r3", P1, U1), ("r3", P2, U2), ("r3", P3, U3)]
@@ -95,3 +97,26 @@ def test_bound_keeps_the_best(spark, sf):
     kg, q = w.workload_graph(spark, sf, "w6"), w.WORKLOADS["w6"]
     plain, bounded = (sorted(map(tuple, three_hop(kg, replace(q, bound_share=x)).collect())) for x in (0.0, 0.1))
     assert plain == bounded and len(plain) == 100
+
+
+@pytest.mark.parametrize("block", [3, 4096])
+def test_links_for_all_heads(spark, block):
+    rng = random.Random(6)
+    heads, tails = list(range(1, 24)), list(range(101, 118))
+    vectors = {i: (rng.randrange(5), rng.randrange(5)) for i in heads + tails if i not in (5, 105)}
+    edges = [("r", h, t) for h in heads for t in tails if rng.random() < 0.3 or h == 7]
+    own = hand_graph(spark, edges, vectors, {"r": (1, 0)}, 2)
+    found = suggest_links(own, "r", role(spark, *heads), role(spark, *tails), 3, block).collect()
+    expected = []
+    for h in set(heads) - {5}:
+        scores = [(-(1.0 - abs(vectors[h][0] + 1 - vectors[t][0]) - abs(vectors[h][1] - vectors[t][1])), t) for t in tails if t in vectors and ("r", h, t) not in edges]
+        expected += [(h, t, -s, i + 1) for i, (s, t) in enumerate(sorted(scores)[:3])]
+    assert sorted((r["head"], r["eid"], r["score"], r["rank"]) for r in found) == sorted(expected)
+
+
+def test_links_query_covers_all_customers(spark, sf):
+    found = queries()["suggest_links"](spark, sf)
+    cut = " and t % 1000000000000 < 20"
+    whole = oracle_sql()["suggest_links"].replace(cut, "")
+    assert found.where("head % 1000000000000 >= 20").count() > 0
+    assert rows_of(found) == duck_rows(duck(sf), whole)
