@@ -200,28 +200,106 @@ class _Lines:
         return "\n".join(self.lines).strip("\n")
 
 
-def _table_rows(node: Node) -> list[list[Node]]:
-    """Rows of visible cells, those of nested tables left to them."""
-    rows, stack = [], [iter(node.children)]
+_SECTIONS = ("tbody", "thead", "tfoot")
+
+
+def _holders_of_cells(node: Node) -> set[int]:
+    """Ids of the elements in a table, other than sections, that have rows or cells of it somewhere inside."""
+    found: set[int] = set()
+    path, stack = [], [iter(node.children)]
     while stack:
         x = next(stack[-1], None)
         if x is None:
             stack.pop()
-        elif not isinstance(x, str) and visible(x):
-            if x.tag == "tr":
-                rows.append([c for c in x.children if not isinstance(c, str) and c.tag in ("td", "th") and visible(c)])
-            elif x.tag in ("tbody", "thead", "tfoot"):
+            if path:
+                path.pop()
+        elif not isinstance(x, str) and visible(x) and x.tag not in ("table", "caption", "colgroup", "col"):
+            if x.tag in ("td", "th", "tr"):
+                for y in reversed(path):
+                    if y in found:
+                        break
+                    found.add(y)
+            if x.tag not in ("td", "th"):
+                path.append(id(x))
                 stack.append(iter(x.children))
-    return rows
+    return found
+
+
+def _table_parts(node: Node) -> tuple[list[list[Node]], list, list[Node]]:
+    """Rows of visible cells, what stands outside them, and captions; forms and the like around rows or cells are looked through.
+
+    Nested tables are left to their cells. A row inside such an element of a row continues that row.
+    """
+    rows: list[list[Node]] = []
+    stray, captions = [], []
+    holders = _holders_of_cells(node)
+    stack: list[tuple] = [(iter(node.children), None)]
+    while stack:
+        children, row = stack[-1]
+        x = next(children, None)
+        if x is None:
+            stack.pop()
+        elif isinstance(x, str):
+            if x.strip():
+                stray.append(x)
+        elif not visible(x):
+            continue
+        elif x.tag in ("td", "th"):
+            if row is None:
+                rows.append(row := [])
+                stack[-1] = (children, row)
+            row.append(x)
+        elif x.tag == "tr":
+            if row is None:
+                rows.append(row := [])
+            stack.append((iter(x.children), row))
+        elif x.tag in _SECTIONS:
+            stack.append((iter(x.children), None))
+        elif x.tag == "caption":
+            captions.append(x)
+        elif id(x) in holders:
+            stack.append((iter(x.children), row))
+        else:
+            stray.append(x)
+    return [r for r in rows if r], stray, captions
 
 
-def _aligned(rows: list[list[str]]) -> list[str]:
-    """Cells of one line each, padded to their column."""
+def _runs_on(cell: Node) -> bool:
+    """Whether a cell is one line but for nested tables of one row, which run on in it."""
+    stack = [cell]
+    while stack:
+        for x in stack.pop().children:
+            if isinstance(x, str) or not visible(x):
+                continue
+            if x.tag == "table" and len(_table_parts(x)[0]) > 1 or x.tag in ("br", "hr") or x.tag in BLOCK and x.tag not in ("table", "tr", *_SECTIONS):
+                return False
+            stack.append(x)
+    return True
+
+
+def _cells(row: list[Node], depth: int) -> list[list[str]]:
+    """The lines of each cell of a row."""
+    out = []
+    for c in row:
+        lines = render(c, depth).split("\n")
+        if len(lines) > 1 and len(row) > 1 and _runs_on(c):
+            lines = [" ".join(x for line in lines for x in line.split())]
+        out.append(lines)
+    return out
+
+
+def _aligned(rows: list[list[list[str]]]) -> list[str]:
+    """Cells as blocks of lines beside each other, padded to their column."""
     width: dict[int, int] = {}
     for row in rows:
         for i, c in enumerate(row[:-1]):
-            width[i] = max(width.get(i, 0), len(c))
-    return [" | ".join(c.ljust(width.get(i, 0)) if i < len(row) - 1 else c for i, c in enumerate(row)).rstrip() for row in rows]
+            width[i] = max(width.get(i, 0), *map(len, c))
+    out = []
+    for row in rows:
+        for k in range(max(map(len, row))):
+            line = [c[k] if k < len(c) else "" for c in row]
+            out.append(" | ".join(c.ljust(width.get(i, 0)) if i < len(row) - 1 else c for i, c in enumerate(line)).rstrip())
+    return out
 
 
 MAX_DEPTH = 200  # nested tables beyond that are laid out as plain blocks
@@ -279,10 +357,8 @@ def render(root: Node, depth: int = 0) -> str:
         if tag in BLOCK:
             out.end(tag in SPACED and not (len(lists) > 0 and tag in ("ul", "ol", "p")))
         if tag == "table" and node is not root and depth < MAX_DEPTH:
-            rows = _table_rows(node)
+            rows, stray, caption = _table_parts(node)
             if rows:
-                caption = [c for c in node.children if not isinstance(c, str) and c.tag == "caption" and visible(c)]
-                stray = [c for c in node.children if isinstance(c, str) and c.strip()] + [c for c in node.children if not isinstance(c, str) and c.tag not in ("tr", "tbody", "thead", "tfoot", "caption", "colgroup", "col")]
                 for c in stray:  # what stands in a table outside its cells comes before it
                     holder = Node("div")
                     holder.children = [c]
@@ -292,9 +368,12 @@ def render(root: Node, depth: int = 0) -> str:
                 for c in caption:
                     out.verbatim(render(c, depth + 1))
                     out.end()
-                for line in _aligned([[" ".join(render(c, depth + 1).split()) for c in row] for row in rows]):
-                    out.verbatim(" " * out.indent + line)
-                    out.end()
+                for line in _aligned([_cells(row, depth + 1) for row in rows]):
+                    if line:
+                        out.verbatim(" " * out.indent + line)
+                        out.end()
+                    elif out.lines and out.lines[-1]:
+                        out.lines.append("")
                 out.end(True)
                 continue
         if tag == "pre":

@@ -38,6 +38,28 @@ def test_pages(page, text):
     assert page_text(page) == text
 
 
+TABLES = [
+    ("<table><tr>Note <td>a<td>b</table>", "Note\na | b"),
+    ("<table><tbody>Over <i>all</i><tr><td>a</table>", "Over\nall\na"),
+    ("<table><tr><form><td>a</td><td>b</td></form></tr></table>", "a | b"),
+    ("<table><tr><td>x</td><form><td>a</td></form><td>y</td></tr></table>", "x | a | y"),
+    ("<table><tbody><form><tr><td>a<td>b</tr><tr><td>cc<td>d</tr></form></table>", "a  | b\ncc | d"),
+    ("<table><tr><td><h1>T</h1><p>one<p>two<ul><li>x<li>y</ul></table>", "T\n\none\n\ntwo\n\n- x\n- y"),
+    ("<table><tr><td><table><tr><td>aa<td>b<tr><td>c<td>d</table></table>", "aa | b\nc  | d"),
+    ("<table><tr><td><p>one<p>two<td>side</table>", "one | side\n    |\ntwo |"),
+    ("<table><tr></tr></table>", ""),
+]
+
+
+@pytest.mark.parametrize("page,text", TABLES)
+def test_tables_keep_all_text(page, text):
+    assert page_text(page) == text
+
+
+def test_deep_wrappers_in_tables():
+    assert page_text("<table>" + "<div>" * 5000 + "<tr><td>x").split() == ["x"]
+
+
 def test_deep_and_long():
     assert page_text("<div>" * 20_000 + "x") == "x"
     assert page_text("<table><tr><td>" * 400 + "x").count("x") == 1
