@@ -11,6 +11,7 @@ overlap those of the patterns; an empty table gives an empty table; further colu
 
 from __future__ import annotations
 
+import bisect
 import re
 
 import pyarrow as pa
@@ -45,7 +46,12 @@ response result return role root route rule runtime schema scheme scope script s
 """.split()
 _PRIMER = " ".join(IDENTIFIERS).encode()
 
-_CUE = re.compile(r"(?:key|secret|token|passw|passphrase|auth|credential|bearer|private|signature|webhook)[^\n]{0,48}?(?<![A-Za-z0-9+/_=-])([A-Za-z0-9+/_=-]{20,200})(?![A-Za-z0-9+/_=-])", re.I | re.A)
+_CUE = re.compile(r"key|secret|token|passw|passphrase|auth|credential|bearer|private|signature|webhook", re.I | re.A)
+_TOKEN = re.compile(r"(?<![A-Za-z0-9+/_=-])[A-Za-z0-9+/_=-]{20,}")
+REACH = 48  # characters of a line between a cue, or a candidate behind it, and the next candidate
+_KEY_BLOCK = re.compile(r"-----BEGIN [^\n-]*(?:PRIVATE|SECRET) KEY[^\n-]*-----[\x20\t\r]*\n")
+_KEY_LINE = re.compile(r"[\x20\t]*([A-Za-z0-9+/_=-]+)[\x20\t\r]*(?:\n|$)")
+_KEY_HEADER = re.compile(r"[\x20\t\r]*(?:[A-Za-z-]+:[^\n]*)?\n")
 AROUND = 1500  # characters of text on each side that prime the compressor
 MIN_NOVELTY = 0.72  # marginal compressed bytes a byte: of random base64 about 0.8, of hex about 0.6, of words below 0.5
 MIN_CLASSES = 3  # of lower case, upper case, digits
@@ -61,11 +67,64 @@ def base_spans(text: str) -> list[tuple[int, int, str]]:
     return found
 
 
-def novelty(text: str, start: int, end: int) -> float:
-    """Marginal compressed bytes of text[start:end] against its line, for each of its bytes."""
+def key_blocks(text: str) -> list[tuple[int, int]]:
+    """Runs of lines below the opening line of a key block, each run as one span; short lines count where the closing line follows."""
+    found = []
+    for m in _KEY_BLOCK.finditer(text) if "-----BEGIN " in text else ():
+        at, start, end, long_end = m.end(), None, None, None
+        while not text.startswith("-----", at):
+            if line := _KEY_LINE.match(text, at):
+                start = line.start(1) if start is None else start
+                end = line.end(1)
+                long_end = end if end - line.start(1) >= 20 else long_end
+            elif start is not None or not (line := _KEY_HEADER.match(text, at)):
+                break
+            if line.end() == at:
+                break
+            at = line.end()
+        end = end if text.startswith("-----END", at) else long_end
+        if end is not None and end - start >= 20:
+            found.append((start, end))
+    return found
+
+
+def candidates(text: str) -> list[tuple[int, int]]:
+    """Spans of key blocks and of all long tokens within reach of a cue, or of a candidate before them on the line."""
+    cues = [m.end() for m in _CUE.finditer(text)]
+    if not cues:
+        return []
+    blocks = key_blocks(text)
+    found, i, j, last = list(blocks), 0, 0, -1
+    for m in _TOKEN.finditer(text):
+        a, b = m.span()
+        while i < len(cues) and cues[i] <= a:
+            last = max(last, cues[i])
+            i += 1
+        while j < len(blocks) and blocks[j][1] <= a:
+            j += 1
+        if 0 <= last and a - last <= REACH and text.find("\n", last, a) < 0:
+            last = b
+            if j == len(blocks) or b <= blocks[j][0]:
+                found.append((a, b))
+    return sorted(found)
+
+
+def _without(text: str, start: int, end: int, copies: list[tuple[int, int]]) -> str:
+    """text[start:end] without the parts that lie in copies, which are sorted."""
+    pieces, at = [], start
+    for a, b in copies[bisect.bisect_left(copies, start, key=lambda c: c[1]) :]:
+        if a >= end:
+            break
+        pieces.append(text[at : max(at, a)])
+        at = max(at, b)
+    return "".join([*pieces, text[at:end]])
+
+
+def novelty(text: str, start: int, end: int, copies: list[tuple[int, int]] = ()) -> float:
+    """Marginal compressed bytes of text[start:end] against its line, for each of its bytes; copies prime nothing."""
     line = text.rfind("\n", max(0, start - 200), start) + 1 or max(0, start - 200)
-    before, candidate = text[line:start].encode("utf-8", "replace"), text[start:end].encode("utf-8", "replace")
-    around = (text[max(0, start - AROUND) : start] + "\n" + text[end : end + AROUND]).encode("utf-8", "replace")
+    before, candidate = _without(text, line, start, copies).encode("utf-8", "replace"), text[start:end].encode("utf-8", "replace")
+    around = (_without(text, max(0, start - AROUND), start, copies) + "\n" + _without(text, end, min(len(text), end + AROUND), copies)).encode("utf-8", "replace")
     primed = zstandard.ZstdCompressor(
         level=12,
         dict_data=zstandard.ZstdCompressionDict(_PRIMER + b"\n" + around, dict_type=zstandard.DICT_TYPE_RAWCONTENT),
@@ -77,17 +136,24 @@ def novelty(text: str, start: int, end: int) -> float:
 
 
 def novel_spans(text: str, taken: list[tuple[int, int, str]], min_novelty: float = MIN_NOVELTY) -> list[tuple[int, int, str]]:
+    """Novel candidates; copies of a candidate that follow a cue too, or are assigned, do not prime it, others do."""
+    cued, same = candidates(text), {}
+    for a, b in cued:
+        same.setdefault(text[a:b], []).append((a, b))
+    for x, _, kind in taken if cued else ():
+        if kind == "assign" and (m := ASSIGN.match(text, x)) and m[2] in same:
+            same[m[2]].append(m.span(2))
+    for copies in same.values():
+        copies.sort()
     found = []
-    for m in _CUE.finditer(text):
-        a, b = m.span(1)
-        own = m[1]
+    for a, b in cued:
+        own = text[a:b]
         classes = (own.lower() != own) + (own.upper() != own) + any(c.isdigit() for c in own)
-        if classes >= MIN_CLASSES and all(b <= x or a >= y for x, y, _ in taken) and novelty(text, a, b) >= min_novelty:
+        if classes >= MIN_CLASSES and all(b <= x or a >= y for x, y, _ in taken) and novelty(text, a, b, same[own]) >= min_novelty:
             found.append((a, b, "novel"))
     return found
 
 
-
 def scan_secrets(docs: DataFrame) -> DataFrame:
     """(doc_id, spans): every row with its array of (start, end, kind), by start."""
 

@@ -80,6 +80,27 @@ def test_novel_secrets():
     assert secretscan.novel_spans("secret configuration_repository_Connection1_handler_manager", []) == []
 
 
+def novel_texts(text):
+    return [text[a:b] for a, b, _ in secretscan.novel_spans(text, secretscan.base_spans(text))]
+
+
+def test_every_token_after_a_cue():
+    rng = random.Random(8)
+    signs = "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789"
+    token = lambda n: "".join(rng.choice(signs) for _ in range(n))
+    long = token(342)
+    assert novel_texts(f"signature {long} end") == [long]
+    parts = [token(40), token(120), token(342)]
+    assert novel_texts("Authorization: Bearer " + ".".join(parts)) == parts
+    assert novel_texts(f"key configuration_connection_manager {parts[0]}") == [parts[0]]  # behind one that fails
+    body = "\n".join([token(64), token(64), token(12)])
+    assert novel_texts(f"-----BEGIN PRIVATE KEY-----\n{body}\n-----END PRIVATE KEY-----\nplain\n") == [body]
+    assert novel_texts(f"-----BEGIN PRIVATE KEY-----\n{body}\n") == [body[:129]]
+    twice = f"secret {parts[0]} here\nthe token is {parts[0]}\n"
+    assert novel_texts(twice) == [parts[0]] * 2
+    assert novel_texts(f"hello\n{parts[0]}") == []
+
+
 def test_redaction(spark, make):
     out = secretscan.redact_secrets(make([(1, "a token=abcdef123 b"), (2, None), (3, "")])).orderBy("doc_id").collect()
     assert [r["text"] for r in out] == ["a [secret] b", None, ""]
