@@ -5,6 +5,7 @@ from dataclasses import replace
 import pytest
 from helpers import duck, duck_rows, rows_of
 
+from kgreason import oracles as sql
 from kgreason.functions.vectors import Numeric, bind_planted
 from kgreason.ids import eid_value
 from kgreason.operators.graph import inverse_edges, load_graph, open_graph, role_members, sample_triples, save_graph
@@ -13,7 +14,7 @@ from kgreason.plans import measures
 from kgreason.plans import workloads as w
 from kgreason.plans.query import Hop, ThreeHopQuery, hop1, hop2, hop_plan, three_hop, three_hop_simple
 from kgreason.registry import oracle_sql, queries
-from kgreason.sources.tables import build_triples
+from kgreason.sources.tables import RELATIONS, build_triples
 
 W1 = w.WORKLOADS["w1"]
 
@@ -157,3 +158,10 @@ def test_helpers(spark, sf):
 
 def test_every_oracle_has_a_query():
     assert set(oracle_sql()) <= set(queries())
+
+
+@pytest.mark.parametrize("name", ["graph_cube", "graph_rollup"])
+def test_cube_covers_all_relations(spark, sf, name):
+    small = sql.triples_sql([r for r in RELATIONS if r != "doc_mentions_token"])
+    assert small in (whole := oracle_sql()[name])
+    assert rows_of(queries()[name](spark, sf)) == duck_rows(duck(sf), whole.replace(small, sql.triples_sql(list(RELATIONS))))
