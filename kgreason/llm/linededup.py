@@ -22,7 +22,7 @@ import struct
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import SPACE_BYTES, materialize, mix64, signed, slices, table
@@ -142,23 +142,33 @@ class Shard:
 # ---------------------------------------------------------------- plans
 
 
-def _holders(docs: DataFrame, min_chars: int) -> DataFrame:
-    """(h1, h2, doc_id): each key of a row once."""
+def _copy_of() -> Column:
+    """What stands for the id of rows without one: a hash of their text, null in others.
+
+    Rows that share it lose the same lines: without an id, every repeated line goes.
+    """
+    return F.when(F.col("doc_id").isNull(), F.xxhash64(F.col("text")))
+
+
+def _holders(docs: DataFrame, min_chars: int, nulls: bool = False) -> DataFrame:
+    """(h1, h2, doc_id, copy): each key of a row once; rows with a null doc_id only if asked for."""
 
     def scan(batches):
         for batch in batches:
             for part in slices(batch, 1024):
-                ids, hashes = [], []
-                for doc_id, text in zip(part.column(0).to_pylist(), part.column(1).to_pylist(), strict=True):
-                    if doc_id is not None and text:
+                ids, copies, hashes = [], [], []
+                for doc_id, text, copy in zip(*(part.column(i).to_pylist() for i in range(3)), strict=True):
+                    if (nulls or doc_id is not None) and text:
                         own = set(line_hashes(text, min_chars)[2])
                         hashes.extend(own)
                         ids.extend([doc_id] * len(own))
+                        copies.extend([copy] * len(own))
                 if ids:
                     h1, h2 = _split(hashes)
-                    yield pa.RecordBatch.from_arrays([pa.array(signed(h1)), pa.array(signed(h2)), pa.array(ids, pa.int64())], ["h1", "h2", "doc_id"])
+                    yield pa.RecordBatch.from_arrays([pa.array(signed(h1)), pa.array(signed(h2)), pa.array(ids, pa.int64()), pa.array(copies, pa.int64())], ["h1", "h2", "doc_id", "copy"])
 
-    return docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text").mapInArrow(scan, "h1 bigint, h2 bigint, doc_id bigint")
+    own = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text").withColumn("copy", _copy_of())
+    return own.mapInArrow(scan, "h1 bigint, h2 bigint, doc_id bigint, copy bigint")
 
 
 def repeated_lines(docs: DataFrame, min_docs: int = 3, min_chars: int = 20) -> DataFrame:
@@ -249,25 +259,26 @@ def _out_schema(docs: DataFrame):
 def _probe_by_shard(docs: DataFrame, index: DataFrame, n_shards: int, min_chars: int, n_salts: int) -> DataFrame:
     """The exact way for an index above the broadcast bound: keys travel to their shard, hits travel back to the documents."""
     salted = (
-        _holders(docs, min_chars)
+        _holders(docs, min_chars, nulls=True)
         .withColumn("shard", F.pmod("h1", F.lit(n_shards)).cast("int"))
-        .withColumn("salt", F.pmod(F.xxhash64("doc_id"), F.lit(n_salts)).cast("int"))
+        .withColumn("salt", F.pmod(F.xxhash64("doc_id", "copy"), F.lit(n_salts)).cast("int"))
     )
     copies = index.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(n_salts - 1))))
 
     def probe(left, right):
-        empty = pa.table({"doc_id": pa.array([], pa.int64()), "h1": pa.array([], pa.int64()), "h2": pa.array([], pa.int64())})
+        empty = pa.table({"doc_id": pa.array([], pa.int64()), "copy": pa.array([], pa.int64()), "h1": pa.array([], pa.int64()), "h2": pa.array([], pa.int64())})
         if not left.num_rows or not right.num_rows:
             return empty
         shard = Shard.from_bytes(right["blob"][0].as_py())
-        h1, h2, ids = (left[c].to_numpy().astype(np.int64) for c in ("h1", "h2", "doc_id"))
+        h1, h2 = (left[c].to_numpy().astype(np.int64) for c in ("h1", "h2"))
+        ids, null = left["doc_id"].fill_null(0).to_numpy(), left["doc_id"].is_null().to_numpy()
         known, _, last = shard.probe(h1.view(np.uint64), h2.view(np.uint64))
-        at = known & (last != ids)
-        return pa.table({"doc_id": ids[at], "h1": h1[at], "h2": h2[at]})
+        return left.select(["doc_id", "copy", "h1", "h2"]).filter(pa.array(known & ((last != ids) | null)))
 
-    hits = salted.groupBy("shard", "salt").cogroup(copies.groupBy("shard", "salt")).applyInArrow(probe, "doc_id bigint, h1 bigint, h2 bigint")
-    by_doc = hits.groupBy("doc_id").agg(F.collect_set(F.struct("h1", "h2")).alias("__hits")).withColumnRenamed("doc_id", "__id")
-    joined = docs.join(by_doc, docs["doc_id"].cast("bigint") == by_doc["__id"], "left").drop("__id")
+    hits = salted.groupBy("shard", "salt").cogroup(copies.groupBy("shard", "salt")).applyInArrow(probe, "doc_id bigint, copy bigint, h1 bigint, h2 bigint")
+    by_doc = hits.groupBy(F.col("doc_id").alias("__id"), F.col("copy").alias("__of")).agg(F.collect_set(F.struct("h1", "h2")).alias("__hits"))
+    same = F.col("doc_id").cast("bigint").eqNullSafe(F.col("__id")) & F.col("__copy").eqNullSafe(F.col("__of"))
+    joined = docs.withColumn("__copy", _copy_of()).join(by_doc, same, "left").drop("__id", "__of", "__copy")
     schema = _out_schema(docs)
 
     def apply(batches):
@@ -290,7 +301,7 @@ def dedup_lines(docs: DataFrame, min_docs: int = 3, min_chars: int = 20, shard_k
     """docs with ``text`` reduced to its kept lines, and n_lines, n_dropped (counts of lines) added.
 
     A line whose key is in min_docs documents or more stays in the largest doc_id that holds it alone.  Rows with a
-    null doc_id are never the holder; on the path for large indexes, they keep their lines.
+    null doc_id are never the holder and lose such lines, whatever the size of the index.
     """
     lines = materialize(repeated_lines(docs, min_docs, min_chars), "lines")
     n_keys = lines.count()

@@ -57,6 +57,15 @@ def test_lines_odd_rows(spark, make):
     assert linededup.dedup_lines(named).columns == ["doc_id", "text", "h1", "shard", "n_chars", "n_lines", "n_dropped"]
 
 
+@pytest.mark.parametrize("options", [{}, {"max_index_bytes": 0, "shard_keys": 2, "n_salts": 3}])
+def test_lines_of_rows_without_id(spark, make, options):
+    line, other = "a line of more than twenty signs", "one more line of twenty signs and more"
+    rows = [(1, line), (2, line), (2**60 + 1, f"{line}\n{other}"), (None, f"{line}\nown"), (None, f"{line}\n{other}"), (None, f"{line}\n{other}"), (None, None), (0, line)]
+    out = [(r["doc_id"], r["n_dropped"], r["text"]) for r in linededup.dedup_lines(make(rows), **options).collect()]
+    expected = [(1, 1, ""), (2, 1, ""), (2**60 + 1, 0, f"{line}\n{other}"), (None, 1, "own"), (None, 1, other), (None, 1, other), (None, 0, ""), (0, 1, "")]
+    assert sorted(out, key=repr) == sorted(expected, key=repr)
+
+
 def test_perfect_hash():
     rng = np.random.default_rng(8)
     for n in (0, 1, 2, 65, 5000):
