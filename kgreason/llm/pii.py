@@ -114,9 +114,12 @@ def loose_candidates(text: str) -> list[tuple[str, int, int, int]]:
     """(kind, start, end, shape vote) of candidates that no base pattern names."""
     found = []
     if _TITLE.search(text) or _FIRST.search(text):
-        for m in _NAME.finditer(text):
-            if m[1] or m[2] in FIRST_NAMES:
+        m = _NAME.search(text)
+        while m:
+            own = m[1] or m[2] in FIRST_NAMES
+            if own:
                 found.append(("name", m.start(2), m.end(3), 0))
+            m = _NAME.search(text, m.end() if own else m.start(3))  # the second word of no name may begin one
     if _TWO_DIGITS.search(text):
         for m in _LOCAL_PHONE.finditer(text):
             found.append(("local_phone", m.start(), m.end(), 1 if m[0][0] == "(" else 0))

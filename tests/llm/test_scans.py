@@ -123,6 +123,12 @@ def test_added_personal_spans(spark, make):
     assert found[1] == [] and "ssn" in found[12] and "name" in found[12]
 
 
+def test_names_behind_capitalised_words():
+    for text, name in [("Contact John Smith now", "John Smith"), ("Dear Anna Schmidt,", "Anna Schmidt"), ("Kontakt Hans Becker", "Hans Becker"), ("Thank Dr Novak Lee", "Novak Lee"), ("Dear Good Mr James Miller", "James Miller")]:
+        assert [text[a:b] for k, a, b, _ in pii.loose_candidates(text) if k == "name"] == [name]
+    assert [x for x in pii.loose_candidates("Big Red Barn near John") if x[0] == "name"] == []
+
+
 def brute_counts(text):
     text = text or ""
     words = re.findall(r"[^\x20\x09-\x0D]+", text)
