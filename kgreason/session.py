@@ -9,7 +9,8 @@ import tempfile
 import uuid
 import zipfile
 
-from pyspark.sql import SparkSession
+from py4j.protocol import Py4JError
+from pyspark.sql import DataFrame, SparkSession
 
 _shipped: set[str] = set()
 _local_dir: str | None = None
@@ -34,14 +35,51 @@ def shared_dir(spark: SparkSession) -> str:
 
 
 def scratch_path(spark: SparkSession, label: str) -> str:
-    """A new path in the shared folder; where that is on this machine, what lies there goes when the process ends."""
+    """A new path in the shared folder; what lies there goes when the process ends."""
     path = f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex}"
     local = path.removeprefix("file://").removeprefix("file:")
     if local.startswith("/") and spark.sparkContext.master.split("[")[0] == "local":
         atexit.register(shutil.rmtree, local, ignore_errors=True)
+    else:
+        atexit.register(remove, spark, path)
     return path
 
 
+def remove(spark: SparkSession, path: str) -> None:
+    """Deletes a folder of any file system, if it is there and the session still lives."""
+    try:
+        jvm = spark.sparkContext._jvm
+        where = jvm.org.apache.hadoop.fs.Path(path)
+        where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
+    except (AttributeError, OSError, Py4JError):  # the session has ended: the cluster's own rules for old files apply
+        return
+
+
+class Scratch:
+    """Tables that one operator writes on its way to a result, and that go once the result is written."""
+
+    def __init__(self, spark: SparkSession):
+        self.spark, self.paths = spark, []
+
+    def write(self, df: DataFrame, label: str) -> DataFrame:
+        """df as Parquet in the shared folder, read again: lineage ends in a file that survives the loss of any executor."""
+        path = scratch_path(self.spark, label)
+        df.write.parquet(path)
+        self.paths.append(path)
+        return self.spark.read.schema(df.schema).parquet(path)
+
+    def drop(self) -> None:
+        for path in self.paths:
+            remove(self.spark, path)
+        self.paths = []
+
+    def finish(self, df: DataFrame, label: str) -> DataFrame:
+        """Writes the result and removes what it came from; its own table goes when the process ends."""
+        out = Scratch(self.spark).write(df, label)
+        self.drop()
+        return out
+
+
 def local_session(cores: int | str = "*", **conf: str) -> SparkSession:
     """A local session for tests and benchmarks."""
     base = {
