@@ -1,17 +1,17 @@
-"""Line de-duplication by a sharded minimal perfect hash over repeated line hashes.
-
-Pass 1 hashes the lines of each document once (128 bits of the stripped, A-Z lower-cased line) and counts
-the documents of each hash; hashes in fewer than ``min_docs`` documents drop out before anything is
-indexed.  The remaining ones are dealt to shards; each shard becomes one binary row: a minimal perfect
-hash with arrays of fingerprints, counts and last documents beside it.  Pass 2 scans the documents and
-probes those arrays, so that texts are neither shuffled nor joined.  The index goes to the tasks as a
-broadcast only while it measures at most ``max_index_bytes``; a larger one is probed shard by shard: the
-(hash, doc) pairs go to the shard, salted so that no line's documents meet in one task, and only
-hits come back to the documents.
-
-Defined results: null or empty text is one empty line; rows repeating a doc_id count as one document;
-rows with a null doc_id do not count as holders and keep their lines unless others share them; an empty
-table gives an empty table; further columns pass through ``dedup_lines`` untouched.
+"""Line de-duplication by a sharded minimal perfect hash over distinct line hashes.
+
+Pass 1 hashes the lines of each document once (128 bits of the stripped, A-Z lower-cased line) and counts the rows and
+the documents of each hash.  Hashes that stand in one row only need no place, as not being found says the same; all others are
+dealt to shards, and each shard becomes one binary row: a minimal perfect hash with arrays of fingerprints, document counts and
+last documents beside it.  Pass 2 scans the documents and probes those arrays; the counts found there decide, so that
+texts are neither shuffled nor joined with lines.  The index goes to the tasks as a broadcast only while it measures at most
+``max_index_bytes``; a larger one is probed shard by shard: the (hash, document) pairs travel to the shard and stream
+past its arrays in sorted partitions, so that a task holds one shard and one batch, and a shard whose lines stand in very many rows is
+copied to as many partitions as its rows ask for.  Only hits come back to the documents.  Both ways give the same rows.
+
+Defined results: null or empty text is one empty line; rows repeating a doc_id count as one document; rows with a null
+doc_id are never holders and lose every line that min_docs documents hold; an empty table gives an empty table;
+further columns pass through, one that has the name of an added column as ``input_<name>``.
 """
 
 from __future__ import annotations
@@ -25,10 +25,11 @@ import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import SPACE_BYTES, materialize, mix64, signed, slices, table
+from .common import SPACE_BYTES, Scratch, arrow, mix64, signed, slices, spare, table
 
-SHARD_KEYS = 100_000  # keys of a shard, at which it is about 3 MB
+SHARD_KEYS = 100_000  # keys of a shard, at which it is about 2 MB
 MAX_INDEX_BYTES = 96 << 20
+SHARD_ROWS = 2_000_000  # rows of indexed lines that one copy of a shard is meant to see
 
 
 def line_key(line: bytes, min_chars: int) -> bytes | None:
@@ -150,67 +151,86 @@ def _copy_of() -> Column:
     return F.when(F.col("doc_id").isNull(), F.xxhash64(F.col("text")))
 
 
-def _holders(docs: DataFrame, min_chars: int, nulls: bool = False) -> DataFrame:
-    """(h1, h2, doc_id, copy): each key of a row once; rows with a null doc_id only if asked for."""
+def _holders(docs: DataFrame, min_chars: int, salts: np.ndarray | None = None) -> DataFrame:
+    """(h1, h2, doc_id, copy[, shard, salt]): each key of a row once; ``salts`` says how many copies each shard has."""
+    sent = docs.sparkSession.sparkContext.broadcast(salts) if salts is not None else None
 
     def scan(batches):
+        copies = sent.value if sent is not None else None
         for batch in batches:
             for part in slices(batch, 1024):
-                ids, copies, hashes = [], [], []
+                ids, stand_ins, hashes = [], [], []
                 for doc_id, text, copy in zip(*(part.column(i).to_pylist() for i in range(3)), strict=True):
-                    if (nulls or doc_id is not None) and text:
+                    if text:
                         own = set(line_hashes(text, min_chars)[2])
                         hashes.extend(own)
                         ids.extend([doc_id] * len(own))
-                        copies.extend([copy] * len(own))
-                if ids:
-                    h1, h2 = _split(hashes)
-                    yield pa.RecordBatch.from_arrays([pa.array(signed(h1)), pa.array(signed(h2)), pa.array(ids, pa.int64()), pa.array(copies, pa.int64())], ["h1", "h2", "doc_id", "copy"])
+                        stand_ins.extend([copy] * len(own))
+                if not ids:
+                    continue
+                h1, h2 = _split(hashes)
+                arrays = [pa.array(signed(h1)), pa.array(signed(h2)), pa.array(ids, pa.int64()), pa.array(stand_ins, pa.int64())]
+                if copies is not None:
+                    who = np.array([x if x is not None else y for x, y in zip(ids, stand_ins, strict=True)], np.int64).view(np.uint64)
+                    shard = _shard_of(h1, len(copies))
+                    salt = mix64(who, 3) % copies[shard].astype(np.uint64)
+                    arrays += [pa.array(shard.astype(np.int32)), pa.array(salt.astype(np.int32))]
+                yield pa.RecordBatch.from_arrays(arrays, ["h1", "h2", "doc_id", "copy", "shard", "salt"][: len(arrays)])
 
     own = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text").withColumn("copy", _copy_of())
-    return own.mapInArrow(scan, "h1 bigint, h2 bigint, doc_id bigint, copy bigint")
+    return arrow(own, scan, "h1 bigint, h2 bigint, doc_id bigint, copy bigint" + (", shard int, salt int" if salts is not None else ""))
 
 
-def repeated_lines(docs: DataFrame, min_docs: int = 3, min_chars: int = 20) -> DataFrame:
-    """(h1, h2, n_docs, last_doc) of the keys found in at least min_docs documents."""
-    return (
-        _holders(docs, min_chars)
-        .groupBy("h1", "h2")
-        .agg(F.countDistinct("doc_id").alias("n_docs"), F.max("doc_id").alias("last_doc"))
-        .where(F.col("n_docs") >= min_docs)
-    )
+def counted_lines(docs: DataFrame, min_chars: int = 20) -> DataFrame:
+    """(h1, h2, n_docs, last_doc, n_rows) of the keys that stand in two rows or more."""
+    counted = _holders(docs, min_chars).groupBy("h1", "h2").agg(F.countDistinct("doc_id").alias("n_docs"), F.max("doc_id").alias("last_doc"), F.count("*").alias("n_rows"))
+    return counted.where(F.col("n_rows") >= 2)
 
 
 def build_index(lines: DataFrame, n_shards: int) -> DataFrame:
-    """(shard, blob) of (h1, h2, n_docs, last_doc)."""
+    """(shard, blob, n_rows) of (h1, h2, n_docs, last_doc, n_rows)."""
 
     def build(key, rows):
         h1, h2 = (rows[c].to_numpy().astype(np.int64).view(np.uint64) for c in ("h1", "h2"))
-        shard = Shard.build(h1, h2, rows["n_docs"].to_numpy(), rows["last_doc"].to_numpy())
-        return pa.table({"shard": pa.array([key[0].as_py()], pa.int32()), "blob": pa.array([shard.to_bytes()], pa.binary())})
+        shard = Shard.build(h1, h2, np.minimum(rows["n_docs"].to_numpy(), 2**32 - 1), rows["last_doc"].fill_null(0).to_numpy())
+        total = int(rows["n_rows"].to_numpy().sum())
+        return pa.table({"shard": pa.array([key[0].as_py()], pa.int32()), "blob": pa.array([shard.to_bytes()], pa.binary()), "n_rows": pa.array([total], pa.int64())})
 
     dealt = lines.withColumn("shard", F.pmod("h1", F.lit(n_shards)).cast("int"))
-    return dealt.groupBy("shard").applyInArrow(build, "shard int, blob binary")
+    return dealt.groupBy("shard").applyInArrow(build, "shard int, blob binary, n_rows bigint")
 
 
 def _shard_of(h1: np.ndarray, n_shards: int) -> np.ndarray:
     return np.mod(h1.view(np.int64), n_shards)
 
 
-def _hits_of(shards: dict[int, Shard], n_shards: int, h1: np.ndarray, h2: np.ndarray, ids: np.ndarray, null: np.ndarray) -> np.ndarray:
-    """Whether each (key, document) is a repeated line outside its last document."""
-    drop = np.zeros(len(h1), bool)
-    shard = _shard_of(h1, n_shards)
-    for s in np.unique(shard):
-        if (table_ := shards.get(int(s))) is not None:
-            at = np.flatnonzero(shard == s)
-            known, _, last = table_.probe(h1[at], h2[at])
-            drop[at] = known & ((last != ids[at]) | null[at])
-    return drop
+def _dropped(shard: Shard, h1: np.ndarray, h2: np.ndarray, ids: np.ndarray, null: np.ndarray, min_docs: int) -> np.ndarray:
+    """Whether each (key, document) goes: the count at the key's place reaches min_docs and the document is not the last there."""
+    known, count, last = shard.probe(h1, h2)
+    return known & (count >= min_docs) & ((last != ids) | null)
 
 
-def _probe_broadcast(docs: DataFrame, index: DataFrame, n_shards: int, min_chars: int) -> DataFrame:
-    blobs = docs.sparkSession.sparkContext.broadcast({r["shard"]: bytes(r["blob"]) for r in index.collect()})
+def _reduced(part: pa.RecordBatch, texts: list, gone: list[set[int]], drop: tuple[str, ...] = ()) -> pa.RecordBatch:
+    """part with the lines at the given places taken out of its texts, and counts of lines added."""
+    n_lines, kept = [], []
+    for text, places in zip(texts, gone, strict=True):
+        lines = (text or "").split("\n")
+        n_lines.append(len(lines))
+        kept.append("\n".join([x for i, x in enumerate(lines) if i not in places]) if places else (text or ""))
+    columns = {n: part.column(i) for i, n in enumerate(part.schema.names) if n not in drop}
+    columns |= {"text": pa.array(kept, pa.string()), "n_lines": pa.array(n_lines, pa.int64()), "n_dropped": pa.array([len(x) for x in gone], pa.int64())}
+    return pa.RecordBatch.from_arrays(list(columns.values()), list(columns))
+
+
+def _out_schema(docs: DataFrame):
+    base = docs.select("*", F.lit(0).cast("bigint").alias("n_lines"), F.lit(0).cast("bigint").alias("n_dropped")).schema
+    for f in base.fields:
+        f.nullable = True
+    return base
+
+
+def _probe_broadcast(docs: DataFrame, index: DataFrame, n_shards: int, min_chars: int, min_docs: int) -> DataFrame:
+    blobs = docs.sparkSession.sparkContext.broadcast({r["shard"]: bytes(r["blob"]) for r in index.select("shard", "blob").collect()})
 
     def scan(batches):
         shards = {k: Shard.from_bytes(v) for k, v in blobs.value.items()}
@@ -219,99 +239,108 @@ def _probe_broadcast(docs: DataFrame, index: DataFrame, n_shards: int, min_chars
                 names = part.schema.names
                 texts = part.column(names.index("text")).to_pylist()
                 ids = part.column(names.index("doc_id")).to_pylist()
-                split, owner, flat = [], [], []
+                owner, place, flat = [], [], []
                 for k, text in enumerate(texts):
-                    lines, at, hashes = line_hashes(text, min_chars)
-                    split.append((lines, at))
+                    _, at, hashes = line_hashes(text, min_chars)
                     owner.extend([k] * len(at))
+                    place.extend(at)
                     flat.extend(hashes)
-                drops: dict[int, list[bool]] = {}
+                gone: list[set[int]] = [set() for _ in texts]
                 if flat:
                     h1, h2 = _split(flat)
-                    own = np.array([ids[k] or 0 for k in owner], np.int64)
+                    who = np.array([ids[k] or 0 for k in owner], np.int64)
                     null = np.array([ids[k] is None for k in owner], bool)
-                    for k, d in zip(owner, _hits_of(shards, n_shards, h1, h2, own, null).tolist(), strict=True):
-                        drops.setdefault(k, []).append(d)
-                n_lines, n_dropped, kept = [], [], []
-                for k, (lines, at) in enumerate(split):
-                    gone = {i for i, d in zip(at, drops.get(k, ()), strict=False) if d}
-                    n_lines.append(len(lines))
-                    n_dropped.append(len(gone))
-                    kept.append("\n".join([x for i, x in enumerate(lines) if i not in gone]) if gone else (texts[k] or ""))
-                yield _with(part, kept, n_lines, n_dropped)
-
-    return docs.mapInArrow(scan, _out_schema(docs))
-
-
-def _with(part, kept, n_lines, n_dropped) -> pa.RecordBatch:
-    columns = {n: part.column(i) for i, n in enumerate(part.schema.names)}
-    columns |= {"text": pa.array(kept, pa.string()), "n_lines": pa.array(n_lines, pa.int64()), "n_dropped": pa.array(n_dropped, pa.int64())}
-    return pa.RecordBatch.from_arrays(list(columns.values()), list(columns))
+                    shard = _shard_of(h1, n_shards)
+                    for s in np.unique(shard):
+                        if (own := shards.get(int(s))) is not None:
+                            at = np.flatnonzero(shard == s)
+                            for i in at[_dropped(own, h1[at], h2[at], who[at], null[at], min_docs)]:
+                                gone[owner[i]].add(place[i])
+                yield _reduced(part, texts, gone)
 
+    return arrow(docs, scan, _out_schema(docs))
 
-def _out_schema(docs: DataFrame):
-    base = docs.select("*", F.lit(0).cast("bigint").alias("n_lines"), F.lit(0).cast("bigint").alias("n_dropped")).schema
-    for f in base.fields:
-        f.nullable = True
-    return base
 
+def _hits_by_shard(docs: DataFrame, index: DataFrame, n_shards: int, min_chars: int, min_docs: int, shard_rows: int) -> DataFrame:
+    """(doc_id, copy, h1, h2) of the lines that go: keys travel to a copy of their shard and stream past it."""
+    salts = np.ones(n_shards, np.int32)  # one number for each shard
+    for r in index.where(F.col("n_rows") > shard_rows).select("shard", "n_rows").toLocalIterator():
+        salts[r["shard"]] = math.ceil(r["n_rows"] / shard_rows)
+    sizes = docs.sparkSession.sparkContext.broadcast(salts)
+
+    def copies(batches):
+        for batch in batches:
+            for one in slices(batch, 1):
+                n = int(sizes.value[one.column(0)[0].as_py()])
+                for k in range(n):
+                    yield pa.RecordBatch.from_arrays([one.column(0), pa.array([k], pa.int32()), one.column(1)], ["shard", "salt", "blob"])
 
-def _probe_by_shard(docs: DataFrame, index: DataFrame, n_shards: int, min_chars: int, n_salts: int) -> DataFrame:
-    """The exact way for an index above the broadcast bound: keys travel to their shard, hits travel back to the documents."""
-    salted = (
-        _holders(docs, min_chars, nulls=True)
-        .withColumn("shard", F.pmod("h1", F.lit(n_shards)).cast("int"))
-        .withColumn("salt", F.pmod(F.xxhash64("doc_id", "copy"), F.lit(n_salts)).cast("int"))
-    )
-    copies = index.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(n_salts - 1))))
-
-    def probe(left, right):
-        empty = pa.table({"doc_id": pa.array([], pa.int64()), "copy": pa.array([], pa.int64()), "h1": pa.array([], pa.int64()), "h2": pa.array([], pa.int64())})
-        if not left.num_rows or not right.num_rows:
-            return empty
-        shard = Shard.from_bytes(right["blob"][0].as_py())
-        h1, h2 = (left[c].to_numpy().astype(np.int64) for c in ("h1", "h2"))
-        ids, null = left["doc_id"].fill_null(0).to_numpy(), left["doc_id"].is_null().to_numpy()
-        known, _, last = shard.probe(h1.view(np.uint64), h2.view(np.uint64))
-        return left.select(["doc_id", "copy", "h1", "h2"]).filter(pa.array(known & ((last != ids) | null)))
-
-    hits = salted.groupBy("shard", "salt").cogroup(copies.groupBy("shard", "salt")).applyInArrow(probe, "doc_id bigint, copy bigint, h1 bigint, h2 bigint")
+    def probe(batches):
+        at, shard = None, None
+        for batch in batches:
+            where = batch.column(0).to_numpy().astype(np.int64) << 32 | batch.column(1).to_numpy()
+            edges = [0, *(np.flatnonzero(where[1:] != where[:-1]) + 1).tolist(), len(where)]
+            for a, b in zip(edges, edges[1:], strict=False):
+                if a == b:
+                    continue
+                if where[a] != at:
+                    at, shard = where[a], None
+                part = batch.slice(a, b - a)
+                blobs = part.column(2)
+                if blobs[0].is_valid:  # sorts first
+                    shard = Shard.from_bytes(blobs[0].as_py())
+                    part = part.slice(1)
+                if shard is None or not part.num_rows:
+                    continue  # a shard without a line that stands twice
+                h1, h2 = (part.column(i).to_numpy().astype(np.int64).view(np.uint64) for i in (3, 4))
+                ids, null = part.column(5).fill_null(0).to_numpy(), part.column(5).is_null().to_numpy(zero_copy_only=False)
+                go = pa.array(_dropped(shard, h1, h2, ids, null, min_docs))
+                yield pa.RecordBatch.from_arrays([part.column(i).filter(go) for i in (5, 6, 3, 4)], ["doc_id", "copy", "h1", "h2"])
+
+    nothing = [F.lit(None).cast("bigint").alias(c) for c in ("h1", "h2", "doc_id", "copy")]
+    blobs = arrow(index.select("shard", "blob"), copies, "shard int, salt int, blob binary").select("shard", "salt", "blob", *nothing)
+    keys = _holders(docs, min_chars, salts).select("shard", "salt", F.lit(None).cast("binary").alias("blob"), "h1", "h2", "doc_id", "copy")
+    sorted_ = blobs.unionByName(keys).repartition("shard", "salt").sortWithinPartitions("shard", "salt", F.col("blob").isNull())
+    return arrow(sorted_, probe, "doc_id bigint, copy bigint, h1 bigint, h2 bigint")
+
+
+def _apply_hits(docs: DataFrame, hits: DataFrame, min_chars: int) -> DataFrame:
     by_doc = hits.groupBy(F.col("doc_id").alias("__id"), F.col("copy").alias("__of")).agg(F.collect_set(F.struct("h1", "h2")).alias("__hits"))
     same = F.col("doc_id").cast("bigint").eqNullSafe(F.col("__id")) & F.col("__copy").eqNullSafe(F.col("__of"))
     joined = docs.withColumn("__copy", _copy_of()).join(by_doc, same, "left").drop("__id", "__of", "__copy")
-    schema = _out_schema(docs)
 
-    def apply(batches):
+    def scan(batches):
         for batch in batches:
             for part in slices(batch, 1024):
-                n_lines, n_dropped, kept = [], [], []
-                for text, hits_ in zip(part.column("text").to_pylist(), part.column("__hits").to_pylist(), strict=True):
-                    lines, at, hashes = line_hashes(text, min_chars)
-                    bad = {((x["h1"] & (2**64 - 1)) << 64) | (x["h2"] & (2**64 - 1)) for x in hits_ or ()}
-                    gone = {i for i, h in zip(at, hashes, strict=True) if h in bad}
-                    n_lines.append(len(lines))
-                    n_dropped.append(len(gone))
-                    kept.append("\n".join([x for i, x in enumerate(lines) if i not in gone]) if gone else (text or ""))
-                yield _with(part.drop_columns(["__hits"]), kept, n_lines, n_dropped)
+                texts, gone = part.column(part.schema.names.index("text")).to_pylist(), []
+                for text, own in zip(texts, part.column(part.schema.names.index("__hits")).to_pylist(), strict=True):
+                    bad = {((x["h1"] & (2**64 - 1)) << 64) | (x["h2"] & (2**64 - 1)) for x in own or ()}
+                    _, at, hashes = line_hashes(text, min_chars) if bad else ([], [], [])
+                    gone.append({i for i, h in zip(at, hashes, strict=True) if h in bad})
+                yield _reduced(part, texts, gone, ("__hits",))
+
+    return arrow(joined, scan, _out_schema(docs))
 
-    return joined.mapInArrow(apply, schema)
 
+ADDED = ("n_lines", "n_dropped")
 
-def dedup_lines(docs: DataFrame, min_docs: int = 3, min_chars: int = 20, shard_keys: int = SHARD_KEYS, max_index_bytes: int = MAX_INDEX_BYTES, n_salts: int | None = None) -> DataFrame:
+
+def dedup_lines(docs: DataFrame, min_docs: int = 3, min_chars: int = 20, shard_keys: int = SHARD_KEYS, max_index_bytes: int = MAX_INDEX_BYTES, shard_rows: int = SHARD_ROWS) -> DataFrame:
     """docs with ``text`` reduced to its kept lines, and n_lines, n_dropped (counts of lines) added.
 
     A line whose key is in min_docs documents or more stays in the largest doc_id that holds it alone.  Rows with a
     null doc_id are never the holder and lose such lines, whatever the size of the index.
     """
-    lines = materialize(repeated_lines(docs, min_docs, min_chars), "lines")
-    n_keys = lines.count()
-    n_shards = max(1, math.ceil(n_keys / shard_keys))
-    index = materialize(build_index(lines, n_shards), "line-index")
+    docs, work = spare(docs, (*ADDED, "__copy", "__hits", "__id", "__of")), Scratch(docs.sparkSession)
+    lines = work.write(counted_lines(docs, min_chars), "lines")
+    n_shards = max(1, math.ceil(lines.count() / shard_keys))
+    index = work.write(build_index(lines, n_shards), "line-index")
     size = index.agg(F.coalesce(F.sum(F.length("blob")), F.lit(0))).first()[0]
     if size <= max_index_bytes:
-        return _probe_broadcast(docs, index, n_shards, min_chars)
-    salts = n_salts or max(4, int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")) // n_shards)
-    return _probe_by_shard(docs, index, n_shards, min_chars, salts)
+        out = _probe_broadcast(docs, index, n_shards, min_chars, min_docs)
+        work.drop()
+        return out
+    return _apply_hits(docs, work.finish(_hits_by_shard(docs, index, n_shards, min_chars, min_docs, shard_rows), "line-hits"), min_chars)
 
 
 def op6_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
