@@ -10,13 +10,15 @@ a band bucket no all-pairs list is made: members are first compared with the buc
 into components, and later rounds compare only members of *different* components - the smallest of
 each component first, then whatever is left across components and can reach the threshold by sketches of the sets.  Members already in one component need no
 further comparison, so that large groups of copies cost rows in proportion to their size, and
-no candidate pair between different components is left unchecked.
+no candidate pair between different components is left unchecked.  What is left of a large bucket is dealt to blocks, and each
+pair of blocks is a group of its own, so that no task tests more than BLOCK^2 pairs of sketches at a time.
 
 With bands of 4 coordinates and 40 bands, a pair of similarity 0.75 misses all bands with probability (1 - 0.75^4)^40 = 2.5e-7.
 
-Defined results: null or empty text has an empty set, is linked with nothing and is kept; a text of fewer than 5
-words is one shingle; rows repeating a doc_id are one document (its links are those of all its rows); null
-doc_ids are passed through unlinked; an empty table gives an empty table; further columns are ignored.
+Defined results: every row gives a row; null or empty text has an empty set, is linked with nothing and is kept; a text of fewer
+than 5 words is one shingle; rows repeating a doc_id, and rows without one, are linked each by its own text; a component's id is its
+smallest doc_id, null where none of its rows has one, and then the row of the smallest text hash is kept; an empty table gives an empty
+table; further columns are ignored by ``near_duplicates`` and pass through ``drop_near_duplicates``, whatever their names.
 """
 
 from __future__ import annotations
@@ -24,17 +26,19 @@ from __future__ import annotations
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import materialize, mix64, signed, slices, table
+from .common import Scratch, arrow, keyed, mix64, renamed_back, row_keys, same_row, signed, slices, spare, table
 
 SHINGLE = 5
 BANDS, ROWS = 40, 4
 THRESHOLD = 75  # in hundredths
 CELLS = 1024  # of the sketch that bounds intersections
+BUCKET = 1024  # members from which on a bucket is dealt to blocks
+BLOCK = 4096  # members of a block, about
 
-_WORD_SEEDS = [int(x) for x in mix64(np.arange(1, 65, dtype=np.uint64), 7) | np.uint64(1)]
+_WORD_FACTOR = int(mix64(np.ones(1, dtype=np.uint64), 7)[0] | np.uint64(1))
 
 
 def shingle_set(text: str | None, size: int = SHINGLE) -> np.ndarray:
@@ -46,7 +50,7 @@ def shingle_set(text: str | None, size: int = SHINGLE) -> np.ndarray:
     n = max(1, len(words) - size + 1)
     out = np.full(n, len(words) if len(words) < size else size, np.uint64)
     for j in range(min(size, len(words))):
-        out = out * np.uint64(_WORD_SEEDS[0]) + h[j : j + n]
+        out = out * np.uint64(_WORD_FACTOR) + h[j : j + n]
         out ^= out >> np.uint64(29)
     return np.unique(mix64(out))
 
@@ -93,33 +97,35 @@ def _digest(shingles: np.ndarray) -> tuple[int, int]:
 
 
 def signatures(docs: DataFrame, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
-    """(doc_id, n_shingles, s1, s2, bands) of every row: size and 128-bit digest of its set, and its band keys."""
+    """(doc_id, text_hash, n_shingles, s1, s2, bands) of every row: size and 128-bit digest of its set, and its band keys."""
 
     def scan(batches):
         for batch in batches:
             for part in slices(batch):
-                ids, n, s1, s2, keys = [], [], [], [], []
-                for doc_id, text in zip(part.column(0).to_pylist(), part.column(1).to_pylist(), strict=True):
+                n, s1, s2, keys = [], [], [], []
+                for text in part.column(1).to_pylist():
                     own = shingle_set(text)
                     a, b = _digest(own)
-                    ids.append(doc_id)
                     n.append(len(own))
                     s1.append(a)
                     s2.append(b)
                     keys.append(signed(band_keys(signature(own, bands * rows), bands)) if len(own) else np.zeros(0, np.int64))
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array(ids, pa.int64()), pa.array(n, pa.int64()), pa.array(signed(np.array(s1, np.uint64))), pa.array(signed(np.array(s2, np.uint64))), pa.array(keys, pa.list_(pa.int64()))],
-                    ["doc_id", "n_shingles", "s1", "s2", "bands"],
+                    [part.column(0), part.column(2), pa.array(n, pa.int64()), pa.array(signed(np.array(s1, np.uint64))), pa.array(signed(np.array(s2, np.uint64))), pa.array(keys, pa.list_(pa.int64()))],
+                    ["doc_id", "text_hash", "n_shingles", "s1", "s2", "bands"],
                 )
 
-    return docs.select(F.col("doc_id").cast("bigint"), "text").mapInArrow(scan, "doc_id bigint, n_shingles bigint, s1 bigint, s2 bigint, bands array<bigint>")
+    return arrow(keyed(docs), scan, "doc_id bigint, text_hash bigint, n_shingles bigint, s1 bigint, s2 bigint, bands array<bigint>")
 
 
 # ---------------------------------------------------------------- exact confirmation
 
 
-def _sets(docs: DataFrame, ids: DataFrame) -> DataFrame:
-    """(id, set, bits, over) of the given ids: sets as bytes of sorted 64-bit hashes, and their sketches."""
+def _sets(docs: DataFrame, wanted: DataFrame, repeated: bool) -> DataFrame:
+    """(id, set, bits, over) of the rows wanted, (__id, __hash, id): sets as bytes of sorted 64-bit hashes, and their sketches.
+
+    repeated: some rows share id and text, so that one of them has to be taken.
+    """
 
     def scan(batches):
         for batch in batches:
@@ -131,8 +137,9 @@ def _sets(docs: DataFrame, ids: DataFrame) -> DataFrame:
                     ["id", "set", "bits", "over"],
                 )
 
-    wanted = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text").join(ids.select(F.col("id").alias("doc_id")), "doc_id", "left_semi")
-    return wanted.mapInArrow(scan, "id bigint, set binary, bits array<bigint>, over bigint")
+    own = keyed(docs)
+    texts = own.join(wanted, same_row(own, wanted)).select("id", "text")
+    return arrow(texts.dropDuplicates(["id"]) if repeated else texts, scan, "id bigint, set binary, bits array<bigint>, over bigint")
 
 
 def confirm(pairs: DataFrame, sets: DataFrame, threshold: int = THRESHOLD) -> DataFrame:
@@ -155,35 +162,34 @@ def confirm(pairs: DataFrame, sets: DataFrame, threshold: int = THRESHOLD) -> Da
 
     left = pairs.join(sets.select(F.col("id").alias("a"), F.col("set").alias("sa")), "a")
     both = left.join(sets.select(F.col("id").alias("b"), F.col("set").alias("sb")), "b")
-    return both.select("a", "b", "sa", "sb").mapInArrow(scan, "a bigint, b bigint")
+    return arrow(both.select("a", "b", "sa", "sb"), scan, "a bigint, b bigint")
 
 
 # ---------------------------------------------------------------- components
 
 
-def components(labels: DataFrame, links: DataFrame) -> DataFrame:
+def components(labels: DataFrame, links: DataFrame, work: Scratch) -> DataFrame:
     """(id, label) after merging labels along links (a, b); a label is the smallest id of its component.
 
     Works on the graph of labels: rounds of taking the smallest neighbour and following labels to labels, until none changes.
     """
     ends = links.join(labels.select(F.col("id").alias("a"), F.col("label").alias("la")), "a").join(labels.select(F.col("id").alias("b"), F.col("label").alias("lb")), "b")
-    edges = materialize(ends.where("la <> lb").select(F.least("la", "lb").alias("u"), F.greatest("la", "lb").alias("v")).distinct(), "edges")
+    edges = work.write(ends.where("la <> lb").select(F.least("la", "lb").alias("u"), F.greatest("la", "lb").alias("v")).distinct(), "edges")
     if edges.isEmpty():
         return labels
     both = edges.union(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
-    roots = both.groupBy("u").agg(F.least(F.col("u"), F.min("v")).alias("r"))
-    roots = materialize(roots, "roots")
+    roots = work.write(both.groupBy("u").agg(F.least(F.col("u"), F.min("v")).alias("r")), "roots")
     while True:
         # smallest root among the neighbours, then the root of that root
         near = both.join(roots.select(F.col("u").alias("v"), F.col("r").alias("rv")), "v").groupBy("u").agg(F.min("rv").alias("rv"))
         step = roots.join(near, "u").select("u", F.least("r", "rv").alias("n"), F.col("r").alias("old"))
         jump = roots.select(F.col("u").alias("n"), F.col("r").alias("rr"))
-        new = materialize(step.join(jump, "n", "left").select("u", F.least("n", F.coalesce("rr", "n")).alias("r"), "old"), "roots")
+        new = work.write(step.join(jump, "n", "left").select("u", F.least("n", F.coalesce("rr", "n")).alias("r"), "old"), "roots")
         roots = new.select("u", "r")
         if new.where("r <> old").isEmpty():
             break
     merged = labels.join(roots.select(F.col("u").alias("label"), "r"), "label", "left")
-    return materialize(merged.select("id", F.coalesce("r", "label").alias("label")), "labels")
+    return work.write(merged.select("id", F.coalesce("r", "label").alias("label")), "labels")
 
 
 def sketch_of(shingles: np.ndarray) -> tuple[np.ndarray, int]:
@@ -196,62 +202,125 @@ def sketch_of(shingles: np.ndarray) -> tuple[np.ndarray, int]:
     return bits, int(np.maximum(count - 2, 0).sum())
 
 
-def _cross_pairs(members: DataFrame, labels: DataFrame, sketches: DataFrame, whole: bool, threshold: int) -> DataFrame:
+def block_pairs(threshold: int = THRESHOLD):
+    """For applyInArrow over (i, j, block, id, label, n, bits, over): pairs (x, y) of different labels, one from block i and one from block j, that can reach the threshold by their sketches."""
+
+    def run(rows: pa.Table) -> pa.Table:
+        rows = rows.combine_chunks()
+        ids, label, n, over, block = (rows[c].to_numpy() for c in ("id", "label", "n", "over", "block"))
+        bits = rows["bits"].combine_chunks().flatten().to_numpy().reshape(len(ids), -1).view(np.uint64)
+        i, j = rows["i"][0].as_py(), rows["j"][0].as_py()
+        out = [(np.zeros(0, np.int64), np.zeros(0, np.int64))]
+
+        def side(which: int) -> np.ndarray:
+            at = np.flatnonzero(block == which)
+            return at[np.argsort(label[at], kind="stable")]
+
+        left, right = side(i), side(j)
+        for a in left:
+            # within one block each pair is met from its smaller label, across blocks from either side
+            others = right[np.searchsorted(label[right], label[a], side="right") :] if i == j else right[label[right] != label[a]]
+            small, large = np.minimum(n[others], n[a]), np.maximum(n[others], n[a])
+            others = others[100 * small >= threshold * large]
+            most = np.bitwise_count(bits[others] & bits[a]).sum(axis=1, dtype=np.int64) + np.minimum(over[others], over[a])
+            hit = others[(100 + threshold) * most >= threshold * (n[others] + n[a])]
+            if len(hit):
+                out.append((np.full(len(hit), ids[a]), ids[hit]))
+        x, y = (np.concatenate(c) for c in zip(*out, strict=True))
+        return pa.table({"x": pa.array(x, pa.int64()), "y": pa.array(y, pa.int64())})
+
+    return run
+
+
+def _cross_pairs(members: DataFrame, labels: DataFrame, sketches: DataFrame, whole: bool, threshold: int, work: Scratch, bucket: int = BUCKET, block: int = BLOCK) -> DataFrame:
     """Distinct pairs (a, b) of different components that share a bucket and can reach the threshold.
 
-    Not whole: the smallest member of each bucket against the members of its other components.  Whole: all of them; the bound
-    on the intersection that sketches give is part of the join's condition, so that copies that differ too much are never
-    paired, whatever the size of their bucket.
+    Not whole: the smallest member of each bucket against the members of its other components.  Whole: all of them, unless the bound
+    on the intersection that sketches give is too low: inside the join's condition for buckets of up to ``bucket`` members,
+    in groups of two blocks for larger ones, so that neither rows nor the work of a task grow with the square of a bucket.
     """
     own = members.join(labels, "id")
-    open_ = own.groupBy("key").agg(F.min("label").alias("lo"), F.max("label").alias("hi"), F.min(F.struct("id", "label")).alias("first")).where("lo <> hi")
-    own = own.join(open_.select("key", "first"), "key")
+    stats = own.groupBy("key").agg(F.min("label").alias("lo"), F.max("label").alias("hi"), F.min(F.struct("id", "label")).alias("first"), F.count("*").alias("size"))
+    open_ = work.write(stats.where("lo <> hi").select("key", "first", "size"), "open")
+    own = own.join(open_, "key")
     if not whole:
         pairs = own.where("label <> first.label").select(F.col("first.id").alias("x"), F.col("id").alias("y"))
     else:
         # plain columns without nulls: as an array, each access adds checks, and the condition outgrows what the JIT compiles
         words = [F.coalesce(F.col("bits")[i], F.lit(0).cast("bigint")).alias(f"w{i}") for i in range(CELLS // 32)]
-        own = own.drop("first").join(sketches.select("id", *words, F.coalesce("over", F.lit(0).cast("bigint")).alias("over")), "id")
-        other = own.select("key", *[F.col(c).alias(f"{c}_") for c in own.columns if c != "key"])
+        few = own.where(F.col("size") <= bucket).select("key", "id", "n", "label")
+        few = few.join(sketches.select("id", *words, F.coalesce("over", F.lit(0).cast("bigint")).alias("over")), "id")
+        other = few.select("key", *[F.col(c).alias(f"{c}_") for c in few.columns if c != "key"])
         most = " + ".join(f"bit_count(w{i} & w{i}_)" for i in range(CELLS // 32)) + " + least(over, over_)"
-        pairs = own.join(other, "key").where("label < label_").where(f"{100 + threshold} * ({most}) >= {threshold} * (n + n_)").select(F.col("id").alias("x"), F.col("id_").alias("y"))
+        pairs = few.join(other, "key").where("label < label_").where(f"{100 + threshold} * ({most}) >= {threshold} * (n + n_)").select(F.col("id").alias("x"), F.col("id_").alias("y"))
+        many = own.where(F.col("size") > bucket)
+        if not many.isEmpty():
+            blocks = F.ceil(F.col("size") / block).cast("int")
+            dealt = many.withColumn("block", F.pmod(F.xxhash64("id"), blocks).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), blocks - 1)))
+            dealt = dealt.select("key", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "id", "label", "n").join(sketches.select("id", "bits", "over"), "id")
+            large = dealt.groupBy("key", "i", "j").applyInArrow(block_pairs(threshold), "x bigint, y bigint")
+            pairs = pairs.unionByName(large)
     return pairs.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct()
 
 
-def near_duplicates(docs: DataFrame, bands: int = BANDS, rows: int = ROWS, threshold: int = THRESHOLD) -> DataFrame:
-    """(doc_id, n_shingles, component_id, kept) of every document."""
-    found = materialize(signatures(docs, bands, rows), "signatures")
-    real = found.where("doc_id is not null and n_shingles > 0")
-    # A class: the documents of one set; its smallest doc_id stands for it.
-    classes = materialize(real.groupBy("s1", "s2").agg(F.min("doc_id").alias("rep")), "classes")
-    reps = classes.select(F.col("rep").alias("doc_id")).distinct()
-    buckets = real.join(reps, "doc_id", "left_semi").select(F.col("doc_id").alias("id"), F.col("n_shingles").alias("n"), F.explode("bands").alias("key"))
+def _linked(docs: DataFrame, work: Scratch, bands: int, rows: int, threshold: int, bucket: int, block: int) -> tuple[DataFrame, DataFrame]:
+    """(signatures of every row; (doc_id, text_hash, copies, component_id, first) of each distinct pair of id and text with a set).
+
+    first: whether the pair is the one of its component that stays; copies: the rows that share it.
+    """
+    found = work.write(signatures(docs, bands, rows), "signatures")
+    real = found.where("n_shingles > 0")
+    keys = work.write(real.groupBy("doc_id", "text_hash", "s1", "s2").agg(F.count("*").alias("copies")), "keys")
+    repeated = not keys.where("copies > 1").isEmpty()
+    # A class: the rows of one set; one of them stands for it, under a number that the written table fixes.
+    stands = keys.groupBy("s1", "s2").agg(F.min(F.struct("doc_id", "text_hash")).alias("one"))
+    classes = work.write(stands.select("s1", "s2", F.col("one.doc_id").alias("__id"), F.col("one.text_hash").alias("__hash"), F.monotonically_increasing_id().alias("id")), "classes")
+    named = classes.select("__id", "__hash", "id")
+    buckets = real.join(named, same_row(real, named)).select("id", F.col("n_shingles").alias("n"), F.explode("bands").alias("key"))
     shared = buckets.groupBy("key").agg(F.min("id").alias("lo"), F.max("id").alias("hi")).where("lo <> hi").select("key")
-    members = materialize(buckets.join(shared, "key").select("key", "id", "n").distinct(), "members")
-    labels = materialize(members.select("id").distinct().withColumn("label", F.col("id")), "labels")
-    sets = materialize(_sets(docs, labels), "sets")
+    members = work.write(buckets.join(shared, "key").select("key", "id", "n").distinct(), "members")
+    labels = work.write(members.select("id").distinct().withColumn("label", F.col("id")), "labels")
+    sets = work.write(_sets(docs, named.join(labels.select("id"), "id", "left_semi"), repeated), "sets")
     # First each member with one partner: the smallest id that it shares a bucket with.
     lows = members.groupBy("key").agg(F.min("id").alias("a"))
     pairs = members.join(lows, "key").where("a <> id").groupBy(F.col("id").alias("b")).agg(F.min("a").alias("a")).select("a", "b")
-    labels = components(labels, materialize(confirm(pairs, sets, threshold), "links"))
-    checked = materialize(pairs, "checked")
+    checked = work.write(pairs, "checked")
+    labels = components(labels, work.write(confirm(checked, sets, threshold), "links"), work)
     for whole in (False, False, True):
-        pairs = materialize(_cross_pairs(members, labels, sets.drop("set"), whole, threshold).join(checked, ["a", "b"], "left_anti"), "pairs")
+        pairs = work.write(_cross_pairs(members, labels, sets.drop("set"), whole, threshold, work, bucket, block).join(checked, ["a", "b"], "left_anti"), "pairs")
         if not pairs.isEmpty():
-            labels = components(labels, materialize(confirm(pairs, sets, threshold), "links"))
+            labels = components(labels, work.write(confirm(pairs, sets, threshold), "links"), work)
             checked = checked.union(pairs)
-    by_class = classes.join(labels.select(F.col("id").alias("rep"), "label"), "rep", "left").select("s1", "s2", F.coalesce("label", "rep").alias("label"))
-    linked = real.select("doc_id", "s1", "s2").join(by_class, ["s1", "s2"])
-    out = found.join(linked.groupBy("doc_id").agg(F.min("label").alias("label")), "doc_id", "left").groupBy("doc_id").agg(
-        F.max("n_shingles").alias("n_shingles"), F.min(F.coalesce("label", "doc_id")).alias("component_id")
-    )
-    return out.withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
+    by_class = classes.join(labels, "id", "left").select("s1", "s2", F.coalesce("label", "id").alias("label"))
+    linked = work.write(keys.join(by_class, ["s1", "s2"]).select("doc_id", "text_hash", "copies", "label"), "linked")
+    heads = linked.groupBy("label").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "text_hash")).alias("head"))
+    placed = linked.join(heads, "label")
+    is_first = F.col("doc_id").eqNullSafe(F.col("head.doc_id")) & (F.col("text_hash") == F.col("head.text_hash"))
+    return found, placed.select("doc_id", "text_hash", "copies", F.col("head.doc_id").alias("component_id"), is_first.alias("first"))
+
+
+def near_duplicates(docs: DataFrame, bands: int = BANDS, rows: int = ROWS, threshold: int = THRESHOLD, bucket: int = BUCKET, block: int = BLOCK) -> DataFrame:
+    """(doc_id, n_shingles, component_id, kept) of every row."""
+    work = Scratch(docs.sparkSession)
+    found, linked = _linked(docs, work, bands, rows, threshold, bucket, block)
+    right = row_keys(linked, "component_id", "first")
+    own = found.join(right, same_row(found, right), "left")
+    kept = F.coalesce(F.col("doc_id") == F.col("component_id"), F.col("first"), F.lit(True))
+    return work.finish(own.select("doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"), kept.alias("kept")), "near-duplicates")
 
 
 def drop_near_duplicates(docs: DataFrame) -> DataFrame:
-    """docs without those that are not the smallest doc_id of their component."""
-    gone = near_duplicates(docs).where(~F.col("kept")).select(F.col("doc_id").alias("__gone"))
-    return docs.join(gone, docs["doc_id"] == gone["__gone"], "left_anti")
+    """docs with one row of each component: that of the smallest doc_id, of equal ones that of the smallest text hash, of equal texts any."""
+    work = Scratch(docs.sparkSession)
+    linked = work.finish(_linked(docs, work, BANDS, ROWS, THRESHOLD, BUCKET, BLOCK)[1].where("not first or copies > 1"), "decisions")
+    own = spare(docs, ("text_hash", "__id", "__hash", "__n")).withColumn("text_hash", F.xxhash64("text"))
+    gone = row_keys(linked.where("not first"))
+    out = own.join(gone, same_row(own, gone), "left_anti")
+    twins = row_keys(linked.where("first"))
+    if not twins.isEmpty():  # rows that share id and text: one of each stays
+        first = out.join(twins, same_row(out, twins), "left_semi").withColumn("__n", F.row_number().over(Window.partitionBy("doc_id", "text_hash").orderBy("doc_id"))).where("__n = 1").drop("__n")
+        out = out.join(twins, same_row(out, twins), "left_anti").unionByName(first)
+    return renamed_back(out, docs.columns)
 
 
 def op5_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
