@@ -6,9 +6,9 @@ window costs a few multiplications and no string is built.  Window hashes meet t
 broadcast hash join - only while the benchmark has at most ``max_broadcast_windows`` windows, else in
 a shuffled one.  Hits are verified word by word against the item before they count.
 
-Defined results: null or empty text has no words, is never hit and is kept; items without words have no
-windows; rows repeating a doc_id are counted as one document's, rows with a null doc_id have no hits; duplicate items count by item_id; empty
-tables on either side give no hits; further columns pass through ``decontaminate`` untouched.
+Defined results: every row gives a row and is judged by its own text, whether its doc_id is null, repeated or neither; null or
+empty text has no words, is never hit and is kept; items without words have no windows; duplicate items count by item_id; empty
+tables on either side give no hits; further columns are ignored by ``contamination`` and pass through ``decontaminate``, whatever their names.
 """
 
 from __future__ import annotations
@@ -18,7 +18,7 @@ import functools
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import materialize, table
+from .common import Scratch, keyed, renamed_back, row_keys, same_row, spare, table
 
 WINDOW = 10
 MAX_BROADCAST_WINDOWS = 2_000_000  # 50 bytes each
@@ -85,23 +85,24 @@ def _hashed(grams: DataFrame, lengths: list[int]) -> DataFrame:
     return functools.reduce(DataFrame.unionByName, parts)
 
 
-def find_hits(docs: DataFrame, benchmark: DataFrame, n: int = WINDOW, max_broadcast_windows: int = MAX_BROADCAST_WINDOWS) -> tuple[DataFrame, DataFrame]:
-    """(doc_id, n_words) of every row, and verified hits (doc_id, at, length, items): word windows at ``at`` (from 0)."""
-    grams = materialize(benchmark_windows(benchmark, n), "grams")
+def find_hits(docs: DataFrame, benchmark: DataFrame, work: Scratch, n: int = WINDOW, max_broadcast_windows: int = MAX_BROADCAST_WINDOWS) -> tuple[DataFrame, DataFrame]:
+    """(doc_id, text_hash, n_words) of every row, and verified hits (doc_id, text_hash, at, length, items): word windows at ``at`` (from 0)."""
+    grams = work.write(benchmark_windows(benchmark, n), "grams")
     sizes = {r["length"]: r["count"] for r in grams.groupBy("length").count().collect()}  # n rows at most
-    words = docs.select("doc_id", words_of(F.col("text")).alias("words"))
+    words = keyed(docs).select("doc_id", "text_hash", words_of(F.col("text")).alias("words"))
     if not sizes:
-        none = words.select("doc_id", F.lit(0).alias("at"), F.lit(0).alias("length"), F.array(F.lit(None).cast("bigint")).alias("items")).limit(0)
-        return words.select("doc_id", F.size("words").cast("bigint").alias("n_words")), none
-    hashed = materialize(_hashed(grams, sorted(sizes)), "windows")
+        none = words.select("doc_id", "text_hash", F.lit(0).alias("at"), F.lit(0).alias("length"), F.array(F.lit(None).cast("bigint")).alias("items")).limit(0)
+        return words.select("doc_id", "text_hash", F.size("words").cast("bigint").alias("n_words")), none
+    hashed = work.write(_hashed(grams, sorted(sizes)), "windows")
     small = sum(sizes.values()) <= max_broadcast_windows
-    own = words.select("doc_id", F.size("words").alias("n_words"), _word_hashes(F.col("words")).alias("wh"))
+    own = words.select("doc_id", "text_hash", F.size("words").alias("n_words"), _word_hashes(F.col("words")).alias("wh"))
     for k in sorted(sizes):
         own = window_hashes(own, "wh", k, f"h{k}")
     keys = hashed.select("length", "hash").distinct()
-    # One row of -1 for each document carries its number of words through the same scan.
+    # One row of -1 for each row of documents carries its number of words through the same scan.
     spread = own.select(
         "doc_id",
+        "text_hash",
         # the outer form, as the plain one makes Spark push a size() filter below, with every window hash spelt out in it
         F.explode_outer(
             F.concat(
@@ -109,11 +110,11 @@ def find_hits(docs: DataFrame, benchmark: DataFrame, n: int = WINDOW, max_broadc
                 *[F.expr(f"transform(h{k}, (h, i) -> struct(i as at, {k} as length, h as hash))") for k in sorted(sizes)],
             )
         ).alias("w"),
-    ).select("doc_id", "w.*")
+    ).select("doc_id", "text_hash", "w.*")
     marked = keys.withColumn("__known", F.lit(True))
     found = spread.join(F.broadcast(marked) if small else marked, ["length", "hash"], "left").where(F.col("__known") | (F.col("at") == -1))
-    found = materialize(found.select("doc_id", "at", "length", "hash"), "window-hits")
-    counts = found.where(F.col("at") == -1).select("doc_id", F.col("hash").alias("n_words"))
+    found = work.write(found.select("doc_id", "text_hash", "at", "length", "hash"), "window-hits")
+    counts = found.where(F.col("at") == -1).select("doc_id", "text_hash", F.col("hash").alias("n_words"))
     maybe = found.where(F.col("at") >= 0)
     few = maybe.count() <= MAX_BROADCAST_HITS
     return counts, _verified(docs, maybe, hashed, small, few)
@@ -121,15 +122,17 @@ def find_hits(docs: DataFrame, benchmark: DataFrame, n: int = WINDOW, max_broadc
 
 def _verified(docs: DataFrame, maybe: DataFrame, hashed: DataFrame, small: bool, few: bool) -> DataFrame:
     """Keeps the hits whose words are those of the item.  Few hits go to the texts; many make the texts come to them, before they are split into words."""
-    by_doc = maybe.groupBy("doc_id").agg(F.collect_set(F.struct("at", "length", "hash")).alias("hits"))
-    joined = docs.select("doc_id", "text").join(F.broadcast(by_doc) if few else by_doc, "doc_id")
-    again = joined.select("doc_id", words_of(F.col("text")).alias("words"), "hits")
+    by_doc = row_keys(maybe.groupBy("doc_id", "text_hash").agg(F.collect_set(F.struct("at", "length", "hash")).alias("hits")), "hits")
+    own = keyed(docs)
+    joined = own.join(F.broadcast(by_doc) if few else by_doc, same_row(own, by_doc))
+    again = joined.select("doc_id", "text_hash", words_of(F.col("text")).alias("words"), "hits")
     grams = again.select(
         "doc_id",
+        "text_hash",
         F.explode(F.expr("transform(hits, h -> struct(h.at as at, h.length as length, h.hash as hash, array_join(slice(words, h.at + 1, h.length), ' ') as gram))")).alias("h"),
-    ).select("doc_id", "h.*")
+    ).select("doc_id", "text_hash", "h.*")
     items = hashed.groupBy("length", "hash", "gram").agg(F.sort_array(F.collect_set("item_id")).alias("items"))
-    return grams.join(F.broadcast(items) if small else items, ["length", "hash", "gram"]).select("doc_id", "at", "length", "items")
+    return grams.join(F.broadcast(items) if small else items, ["length", "hash", "gram"]).select("doc_id", "text_hash", "at", "length", "items")
 
 
 def covered(spans: Column) -> Column:
@@ -159,17 +162,16 @@ def merged(spans: Column) -> Column:
     )
 
 
-def contamination(docs: DataFrame, benchmark: DataFrame, n: int = WINDOW, max_broadcast_windows: int = MAX_BROADCAST_WINDOWS) -> DataFrame:
-    """Per document: doc_id, n_words, n_hit (words inside occurrences of windows), items (sorted item_ids as strings), spans."""
-    counts, hits = find_hits(docs, benchmark, n, max_broadcast_windows)
-    by_doc = hits.groupBy("doc_id").agg(
+def _judged(docs: DataFrame, benchmark: DataFrame, work: Scratch, n: int, max_broadcast_windows: int) -> DataFrame:
+    counts, hits = find_hits(docs, benchmark, work, n, max_broadcast_windows)
+    by_doc = hits.groupBy("doc_id", "text_hash").agg(
         F.collect_set(F.struct("at", "length")).alias("spans"),
         F.array_sort(F.array_distinct(F.transform(F.flatten(F.collect_set("items")), lambda i: i.cast("string")))).alias("items"),
     )
-    own = counts.groupBy("doc_id").agg(F.max("n_words").alias("n_words"))
-    joined = own.alias("o").join(by_doc.alias("b"), F.col("o.doc_id").eqNullSafe(F.col("b.doc_id")), "left")
-    return joined.select(
-        F.col("o.doc_id").alias("doc_id"),
+    right = row_keys(by_doc, "spans", "items")
+    return counts.join(right, same_row(counts, right), "left").select(
+        "doc_id",
+        "text_hash",
         "n_words",
         F.coalesce(covered(F.col("spans")), F.lit(0).cast("bigint")).alias("n_hit"),
         F.coalesce("items", F.expr("cast(array() as array<string>)")).alias("items"),
@@ -177,19 +179,28 @@ def contamination(docs: DataFrame, benchmark: DataFrame, n: int = WINDOW, max_br
     )
 
 
+def contamination(docs: DataFrame, benchmark: DataFrame, n: int = WINDOW, max_broadcast_windows: int = MAX_BROADCAST_WINDOWS) -> DataFrame:
+    """For each row: doc_id, n_words, n_hit (words inside occurrences of windows), items (sorted item_ids as strings), spans."""
+    work = Scratch(docs.sparkSession)
+    return work.finish(_judged(docs, benchmark, work, n, max_broadcast_windows).drop("text_hash"), "contamination")
+
+
 def decontaminate(docs: DataFrame, benchmark: DataFrame, mode: str = "documents", max_hit_share: float = 0.0, n: int = WINDOW) -> DataFrame:
     """Removes contaminated documents (``documents``: those of whose words more than max_hit_share are hit) or blanks the hit words (``spans``).
 
     With ``spans``, the words in hits and what separates them go; the rest of the text stays as it is.
     """
-    found = contamination(docs, benchmark, n).where(F.col("n_hit") > 0)
-    if mode == "documents":
-        bad = found.where(F.col("n_hit") > max_hit_share * F.col("n_words")).select(F.col("doc_id").alias("__bad"))
-        return docs.join(bad, docs["doc_id"] == bad["__bad"], "left_anti")
-    if mode != "spans":
+    if mode not in ("documents", "spans"):
         raise ValueError(f"unknown mode {mode}")
-    spans = found.select(F.col("doc_id").alias("__id"), F.col("spans").alias("__spans"))
-    joined = docs.join(spans, docs["doc_id"] == spans["__id"], "left")
+    work = Scratch(docs.sparkSession)
+    hit = _judged(docs, benchmark, work, n, MAX_BROADCAST_WINDOWS).where(F.col("n_hit") > 0).dropDuplicates(["doc_id", "text_hash"])
+    hit = work.finish(hit.select("doc_id", "text_hash", "n_words", "n_hit", F.col("spans").alias("__spans")), "contaminated")
+    own = spare(docs, ("text_hash", "__id", "__hash", "__spans", "__pieces", "__runs", "__first")).withColumn("text_hash", F.xxhash64("text"))
+    if mode == "documents":
+        bad = row_keys(hit.where(F.col("n_hit") > max_hit_share * F.col("n_words")))
+        return renamed_back(own.join(bad, same_row(own, bad), "left_anti"), docs.columns)
+    spans = row_keys(hit, "__spans")
+    joined = own.join(spans, same_row(own, spans), "left")
     word, gap = r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]|[A-Z]", r"[\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]"
     pieces = F.regexp_extract_all("text", F.lit(rf"((?:{word})+|(?:{gap})+)"), F.lit(1))
     joined = joined.withColumn("__pieces", F.when(F.col("__spans").isNotNull(), pieces)).withColumn("__runs", F.when(F.col("__spans").isNotNull(), merged(F.col("__spans"))))
@@ -198,7 +209,7 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, mode: str = "documents"
     kept = F.expr(
         "array_join(filter(__pieces, (p, i) -> not exists(__runs, m -> (i - __first) div 2 >= m.first and (i - __first) div 2 + (i - __first) % 2 < m.last and i >= __first)), '')"
     )
-    return joined.withColumn("text", F.when(F.col("__spans").isNotNull(), kept).otherwise(F.col("text"))).drop("__id", "__spans", "__pieces", "__runs", "__first")
+    return renamed_back(joined.withColumn("text", F.when(F.col("__spans").isNotNull(), kept).otherwise(F.col("text"))), docs.columns)
 
 
 def op10_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
