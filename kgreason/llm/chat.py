@@ -5,8 +5,9 @@ one block, escapes the control strings in roles and texts reversibly, and concat
 ``conv_id, formatted, loss_spans``; ``read_back`` parses such a string into the original turns.
 
 Defined results: null text and null role are the empty string; null turns sort first; ties of
-``turn`` are ordered by role, then text; repeated rows are repeated turns; rows with a null
-``conv_id`` form one conversation; an empty table gives an empty table; further columns are ignored.
+``turn`` are ordered by role, then text, both as they are and not as they are escaped; repeated rows are repeated
+turns; a row with a null ``conv_id`` is a conversation of its own, as nothing says which others it belongs to; an empty
+table gives an empty table; further columns are ignored.
 """
 
 from __future__ import annotations
@@ -33,19 +34,37 @@ def unescape(text: Column) -> Column:
     return F.replace(F.regexp_replace(text, _ESCAPED, "$1"), F.lit("\\\\"), F.lit("\\"))
 
 
-def _blocks(turns: Column) -> Column:
-    """Sorted turn structs to blocks (role, parts): adjacent turns of a role share a block."""
+def _blocks(df: DataFrame) -> DataFrame:
+    """(conv_id, blocks) of (conv_id, turns): adjacent turns of a role share a block (role, parts).
+
+    A block is the slice from the place of its first turn to that of the next block's, so that each turn is copied once.
+    """
+    starts = F.filter(F.sequence(F.lit(0), F.size("turns") - 1), lambda i: (i == 0) | (F.get("turns", i)["role"] != F.get("turns", i - 1)["role"]))
+    blocks = F.transform(
+        "starts",  # a column of its own: spelt out, it would be worked out again for every block
+        lambda first, i: F.struct(
+            F.get("turns", first)["role"].alias("role"),
+            F.slice("turns", first + 1, F.coalesce(F.get("starts", i + 1), F.size("turns")) - first)["text"].alias("parts"),
+        ),
+    )
+    return df.withColumn("starts", starts).select("conv_id", blocks.alias("blocks"))
 
-    def merge(acc: Column, t: Column) -> Column:
-        last = F.element_at(acc, -1)
-        joined = F.struct(last["role"].alias("role"), F.concat(last["parts"], F.array(t["text"])).alias("parts"))
-        fresh = F.struct(t["role"].alias("role"), F.array(t["text"]).alias("parts"))
-        return F.when(
-            (F.size(acc) > 0) & (last["role"] == t["role"]),
-            F.concat(F.slice(acc, F.lit(1), F.size(acc) - 1), F.array(joined)),
-        ).otherwise(F.concat(acc, F.array(fresh)))
 
-    return F.aggregate(turns, F.expr("cast(array() as array<struct<role:string,parts:array<string>>>)"), merge)
+CHUNK = 256
+
+
+def _places(lengths: Column) -> Column:
+    """Sums of all numbers before each one.  In chunks, as a list that grows by one is copied at each step."""
+    grow = lambda numbers, start: F.aggregate(
+        numbers,
+        F.struct(start.alias("at"), F.expr("cast(array() as array<bigint>)").alias("before")),
+        lambda a, n: F.struct((a["at"] + n).alias("at"), F.concat(a["before"], F.array(a["at"])).alias("before")),
+    )["before"]
+    chunk = lambda i: F.slice(lengths, i * CHUNK + 1, F.lit(CHUNK))
+    chunks = F.sequence(F.lit(0), F.ceil(F.size(lengths) / CHUNK).cast("int") - 1)
+    sums = F.transform(chunks, lambda i: F.aggregate(chunk(i), F.lit(0).cast("bigint"), lambda a, n: a + n))
+    starts = grow(sums, F.lit(0).cast("bigint"))
+    return F.flatten(F.zip_with(chunks, starts, lambda i, start: grow(chunk(i), start)))
 
 
 def format_conversations(conversations: DataFrame, loss_role: str = "assistant") -> DataFrame:
@@ -55,13 +74,11 @@ def format_conversations(conversations: DataFrame, loss_role: str = "assistant")
     """
     rows = conversations.select(
         "conv_id",
-        F.struct(
-            F.col("turn").alias("turn"),
-            escape(F.coalesce("role", F.lit(""))).alias("role"),
-            escape(F.coalesce("text", F.lit(""))).alias("text"),
-        ).alias("t"),
+        F.when(F.col("conv_id").isNull(), F.monotonically_increasing_id()).alias("alone"),
+        F.struct(F.col("turn").alias("turn"), F.coalesce("role", F.lit("")).alias("role"), F.coalesce("text", F.lit("")).alias("text")).alias("t"),
     )
-    blocks = rows.groupBy("conv_id").agg(F.sort_array(F.collect_list("t")).alias("turns")).select("conv_id", _blocks(F.col("turns")).alias("blocks"))
+    sorted_ = rows.groupBy("conv_id", "alone").agg(F.sort_array(F.collect_list("t")).alias("turns"))
+    blocks = _blocks(sorted_)
     # Pieces in the order of output: what stands before a text, then the text.
     pieces = F.flatten(
         F.transform(
@@ -69,31 +86,27 @@ def format_conversations(conversations: DataFrame, loss_role: str = "assistant")
             lambda b: F.transform(
                 b["parts"],
                 lambda p, i: F.struct(
-                    F.when(i == 0, F.concat(F.lit(TURN), b["role"], F.lit(TEXT))).otherwise(F.lit(PART)).alias("before"),
-                    p.alias("text"),
+                    F.when(i == 0, F.concat(F.lit(TURN), escape(b["role"]), F.lit(TEXT))).otherwise(F.lit(PART)).alias("before"),
+                    escape(p).alias("text"),
                     F.when(i == F.size(b["parts"]) - 1, F.lit(END)).otherwise(F.lit("")).alias("after"),
                     (b["role"] == loss_role).alias("loss"),
                 ),
             ),
         )
     )
-    placed = F.aggregate(
+    placed = blocks.select("conv_id", pieces.alias("pieces")).withColumn(
+        "lengths", F.transform("pieces", lambda p: (F.length(p["before"]) + F.length(p["text"]) + F.length(p["after"])).cast("bigint"))
+    )
+    placed = placed.withColumn("places", _places(F.col("lengths")))
+    spans = F.zip_with(
         "pieces",
-        F.expr("cast(struct(1L, array()) as struct<at:bigint,spans:array<struct<first:bigint,length:bigint>>>)"),
-        lambda a, p: F.struct(
-            (a["at"] + F.length(p["before"]) + F.length(p["text"]) + F.length(p["after"])).cast("bigint").alias("at"),
-            F.when(
-                p["loss"],
-                F.concat(a["spans"], F.array(F.struct((a["at"] + F.length(p["before"])).cast("bigint").alias("first"), F.length(p["text"]).cast("bigint").alias("length")))),
-            )
-            .otherwise(a["spans"])
-            .alias("spans"),
-        ),
+        "places",
+        lambda p, at: F.when(p["loss"], F.struct((at + 1 + F.length(p["before"])).cast("bigint").alias("first"), F.length(p["text"]).cast("bigint").alias("length"))),
     )
-    return blocks.select("conv_id", pieces.alias("pieces")).select(
+    return placed.select(
         "conv_id",
         F.array_join(F.transform("pieces", lambda p: F.concat(p["before"], p["text"], p["after"])), "").alias("formatted"),
-        placed["spans"].alias("loss_spans"),
+        F.filter(spans, lambda s: s.isNotNull()).alias("loss_spans"),
     )
 
 
@@ -134,12 +147,12 @@ def op3_chat_formatting(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 OP3_SQL = r"""
 with c as (
-  select conv_id, turn, coalesce(role, '') as role, coalesce(text, '') as text from conversations
-  union all select -7, 0, 'user', '</s>[INST] ok [/INST]'
-  union all select -7, 1, 'assistant', '</s>[INST] ok [/INST]'),
+  select conv_id, case when conv_id is null then row_number() over () end as alone, turn, coalesce(role, '') as role, coalesce(text, '') as text from conversations
+  union all select -7, null, 0, 'user', '</s>[INST] ok [/INST]'
+  union all select -7, null, 1, 'assistant', '</s>[INST] ok [/INST]'),
 e as (
   select *, replace(text, '\', '\\') as t2, replace(role, '\', '\\') as r2,
-         lag(role) over (partition by conv_id order by turn nulls first, role, text) as before
+         lag(role) over (partition by conv_id, alone order by turn nulls first, role, text) as before
   from c),
 f as (
   select *, length(t2) + len(regexp_extract_all(t2, '<\||</?(?:s|SYS)>|\[/?INST\]')) as tl,
@@ -150,5 +163,5 @@ select conv_id, count(*) as n_turns,
        cast(sum(case when role = 'assistant' then length(text) else 0 end) as bigint) as loss_chars,
        sha256(coalesce(string_agg(text, '' order by turn nulls first, role, text) filter (where role = 'assistant'), '')) as loss_sha256,
        cast(sum(tl + case when before is distinct from role then 8 + rl + 8 + 8 else 8 end) as bigint) as formatted_chars
-from f group by conv_id
+from f group by conv_id, alone
 """
