@@ -1,52 +1,70 @@
-"""Hashed word and character n-gram features of a text, and sparse rows of them."""
+"""Hashed word and character n-gram features of a text, and sparse rows of them.
+
+Four blocks of hashed counts, all of the lower-cased text: words; pairs of neighbouring words; the first 3 to 7 code points
+of each word; and the 2 and 3 code points that follow each word.
+"""
 
 from __future__ import annotations
 
-import math
 from dataclasses import dataclass
 
 import numpy as np
 import xxhash
 
-BITS = 16
-SIZE = 1 << BITS  # words use the first SIZE weights, character n-grams the next SIZE
+BITS = 17
+SIZE = 1 << BITS
+BLOCKS = 4
+TOTAL = BLOCKS * SIZE
 
 _PUNCTUATION = bytes(c if chr(c).isalnum() or c >= 128 else 32 for c in range(256))
+#: Whether a code point below 384 ends a word; higher ones never do.
+_BREAKS = np.array([not chr(c).isalnum() for c in range(0x180)])
 
 _SAME = b"\0same"  # stands for a word that repeats the one before
 
 
-def _normal(values: np.ndarray) -> np.ndarray:
-    length = math.sqrt(float((values * values).sum()))
-    return values / length if length else values
+def _folded(h: np.ndarray, block: int) -> np.ndarray:
+    return (h >> np.uint32(32 - BITS)).astype(np.int64) + block * SIZE
+
+
+def _grams(points: np.ndarray, at: np.ndarray, n: int) -> np.ndarray:
+    """32-bit hashes of the n code points from each place on."""
+    h = points[at]
+    for j in range(1, n):
+        h = (h * np.uint32(0x01000193)) ^ points[at + j]
+    h = h * np.uint32(2 * n + 1)
+    return (h ^ (h >> np.uint32(15))) * np.uint32(0x9E3779B1)
 
 
-def hashed(text: str | None, n: int = 3) -> tuple[np.ndarray, np.ndarray]:
-    """(indexes, values): logarithmic counts of words (and of repeated ones) and of byte n-grams of the lower-cased text, each block of length 1."""
-    data = (text or "").encode("utf-8", "surrogatepass")
-    words = data.lower().translate(_PUNCTUATION).split()
-    index, value = [], []
+def hashed(text: str | None) -> tuple[np.ndarray, np.ndarray]:
+    """(indexes, values): distinct features, ascending, and one plus the logarithm of their counts."""
+    low = (text or "").lower()
+    words = low.encode("utf-8", "surrogatepass").translate(_PUNCTUATION).split()
+    found = []
     if words:
-        words += [_SAME for a, b in zip(words, words[1:], strict=False) if a == b]
-        h = np.fromiter(map(xxhash.xxh32_intdigest, words), np.int64, len(words)) & (SIZE - 1)
-        at, count = np.unique(h, return_counts=True)
-        index.append(at)
-        value.append(_normal(1 + np.log(count)))
-    if len(data) >= n:
-        a = np.frombuffer(data, np.uint8).astype(np.uint32)
-        h = a[: len(a) - n + 1].copy()
-        for j in range(1, n):
-            h *= np.uint32(0x01000193)
-            h ^= a[j : len(a) - n + 1 + j]
-        h *= np.uint32(0x9E3779B1)
-        h >>= np.uint32(32 - BITS)
-        count = np.bincount(h, minlength=SIZE)
-        at = np.flatnonzero(count)
-        index.append(at + SIZE)
-        value.append(_normal(1 + np.log(count[at])))
-    if not index:
+        h = np.fromiter(map(xxhash.xxh32_intdigest, words), np.uint32, len(words))
+        found.append(_folded(h, 0))
+        pairs = ((h[:-1] * np.uint32(0x85EBCA6B)) ^ h[1:]) * np.uint32(0x9E3779B1)
+        found.append(_folded(pairs, 1))
+        same = int((h[1:] == h[:-1]).sum())
+        if same:
+            found.append(np.full(same, xxhash.xxh32_intdigest(_SAME) >> (32 - BITS), np.int64))
+    points = np.frombuffer(low.encode("utf-32-le", "surrogatepass"), np.uint32)
+    if len(points):
+        breaks = _BREAKS[np.minimum(points, len(_BREAKS) - 1)]
+        at = np.flatnonzero(~breaks & np.concatenate(([True], breaks[:-1])))
+        for n in range(2, 8):  # words of n code points at least
+            at = at[at + n <= len(points)]
+            at = at[~breaks[at + n - 1]]
+            if n > 2:
+                found.append(_folded(_grams(points, at, n), 2))
+        ends = np.flatnonzero(breaks & np.concatenate(([False], ~breaks[:-1])))
+        for n in (2, 3):
+            found.append(_folded(_grams(points, ends[ends + n <= len(points)], n), 3))
+    if not found:
         return np.zeros(0, np.int32), np.zeros(0, np.float32)
-    return np.concatenate(index).astype(np.int32), np.concatenate(value).astype(np.float32)
+    index, count = np.unique(np.concatenate(found), return_counts=True)
+    return index.astype(np.int32), (1 + np.log(count)).astype(np.float32)
 
 
 #: A feature counts in training from so many rows on; rarer ones only let a row be learnt by heart.
@@ -69,6 +87,9 @@ class Rows:
     def __len__(self) -> int:
         return len(self.ends)
 
+    def sizes(self) -> np.ndarray:
+        return np.diff(np.concatenate(([0], self.ends)))
+
     def take(self, at: np.ndarray) -> Rows:
         starts = np.concatenate(([0], self.ends[:-1]))
         parts = [np.arange(starts[i], self.ends[i]) for i in at]
@@ -81,10 +102,58 @@ class Rows:
 
     def back(self, errors: np.ndarray, size: int) -> np.ndarray:
         """Sum of rows times errors."""
-        sizes = np.diff(np.concatenate(([0], self.ends)))
-        return np.bincount(self.index, weights=self.value * np.repeat(errors, sizes), minlength=size)
+        return np.bincount(self.index, weights=self.value * np.repeat(errors, self.sizes()), minlength=size)
+
+
+def evidence(rows: Rows, y: np.ndarray, classes: int, least: int = MIN_ROWS) -> np.ndarray:
+    """For each feature how much its presence tells of a class: the largest log ratio of its shares inside and outside a class.
+
+    0 for features of fewer than ``least`` rows.
+    """
+    owner = np.repeat(np.arange(len(rows)), rows.sizes())
+    held = np.stack([np.bincount(rows.index[(y == k)[owner]], minlength=TOTAL) for k in range(classes)])
+    n, total = np.bincount(y, minlength=classes), held.sum(axis=0)
+    out = np.zeros(TOTAL)
+    for k in range(classes):
+        inside, outside = (held[k] + 1) / (n[k] + 2), (total - held[k] + 1) / (n.sum() - n[k] + 2)
+        out = np.maximum(out, np.abs(np.log(inside / outside)))
+    out[total < least] = 0
+    return out.astype(np.float32)
+
+
+def scaled(rows: Rows, scale: np.ndarray) -> tuple[Rows, np.ndarray]:
+    """(rows, features): values times scale with each row at length 1, without features of scale 0; indexes count those in ``features``."""
+    features = np.flatnonzero(scale)
+    number = np.zeros(TOTAL, np.int32)
+    number[features] = np.arange(len(features))
+    keep = scale[rows.index] > 0
+    owner = np.repeat(np.arange(len(rows)), rows.sizes())[keep]
+    index = rows.index[keep]
+    value = rows.value[keep] * scale[index]
+    length = np.sqrt(np.bincount(owner, weights=value * value, minlength=len(rows)))
+    value = (value / np.where(length > 0, length, 1)[owner]).astype(np.float32)
+    return Rows(number[index], value, np.cumsum(np.bincount(owner, minlength=len(rows))).astype(np.int64)), features
+
 
-    def common(self, least: int = MIN_ROWS) -> Rows:
-        """The rows with features of fewer than ``least`` rows set to nothing; their weights then stay 0."""
-        often = np.bincount(self.index, minlength=2 * SIZE) >= least
-        return Rows(self.index, self.value * often[self.index], self.ends)
+@dataclass
+class Scorer:
+    """Linear scores of texts: weights of scaled features, of rows at length 1."""
+
+    weights: np.ndarray
+    scale: np.ndarray
+
+    @classmethod
+    def of(cls, weights: np.ndarray, features: np.ndarray, scale: np.ndarray) -> Scorer:
+        whole = np.zeros(TOTAL, np.float32)
+        whole[features] = weights
+        return cls(whole, scale)
+
+    def score(self, text: str | None) -> float:
+        """0 for a text without known features."""
+        index, value = hashed(text)
+        own = value * self.scale[index]
+        length = float(np.sqrt(np.dot(own, own)))
+        return float(np.dot(own, self.weights[index])) / length if length else 0.0
+
+    def scores(self, texts: list[str | None]) -> np.ndarray:
+        return np.array([self.score(t) for t in texts], dtype=np.float64)

@@ -2,12 +2,14 @@
 
 P(grade <= k) = sigmoid(threshold_k - w.x): one weight vector over hashed text for all grades, and ordered
 thresholds.  Grades are made of the labelled rows: 0 toxic, 1 of low quality, 2 good.  The model is fitted on
-a bounded sample of the labelled rows (``max_rows``, by hash of the id, the same at every size); all documents are scored in Arrow batches.
+a bounded sample of the labelled rows (``max_rows`` documents and ``max_cells`` features in all, by hash of the id, the same at
+every size); all documents are scored in Arrow batches.
 
 Defined results: null and empty texts have no features, score by the thresholds alone; repeated labels of a
-document are merged (lowest quality, highest toxicity); labels that are null are left out; without labels of two
-grades at least the model keeps everything with the top grade; rows repeating a doc_id are scored alike; an
-empty table gives an empty table; further columns pass through.
+document are merged (lowest quality, highest toxicity); labels that are null are left out; of rows repeating a
+doc_id one trains the model, each is scored; without labels of two grades at least the model keeps everything with the
+top grade; an empty table gives an empty table; further columns pass through, one that has the name of an added
+column as ``input_<name>``.
 """
 
 from __future__ import annotations
@@ -19,12 +21,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import slices, table
-from .features import SIZE, Rows, hashed
+from .common import arrow, materialize, slices, spare, table
+from .features import Rows, Scorer, evidence, hashed, scaled
 
 MAX_ROWS = 12_000
+MAX_CELLS = 10_000_000  # features of all training rows together, 8 bytes each on the driver
 GRADES = 3
-MIN_TAIL = 0.4  # P(top grade) from which a document is kept
+MIN_TAIL = 0.5  # P(top grade) from which a document is kept
 
 
 def graded_labels(labels: DataFrame) -> DataFrame:
@@ -33,24 +36,34 @@ def graded_labels(labels: DataFrame) -> DataFrame:
     return own.select("doc_id", F.when(F.coalesce("t", F.lit(0)) >= 1, 0).when(F.coalesce("q", F.lit(1)) < 1, 1).otherwise(2).alias("grade"))
 
 
-def labelled_sample(docs: DataFrame, graded: DataFrame, max_rows: int = MAX_ROWS) -> DataFrame:
-    """(doc_id, y, index, value) of at most max_rows labelled documents, those of the smallest hashes."""
-    chosen = graded.orderBy(F.xxhash64("doc_id"), "doc_id").limit(max_rows)
-    rows = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").where("text is not null")
-    schema = rows.drop("doc_id", "text").schema
+def labelled_sample(docs: DataFrame, graded: DataFrame, max_rows: int = MAX_ROWS, max_cells: int = MAX_CELLS) -> DataFrame:
+    """(doc_id, y, index, value) of labelled documents, those of the smallest hashes: at most max_rows of them, and as many as have max_cells features together.
+
+    Only the ids and sizes of those rows, max_rows at most, come to the driver to find where the second bound lies.
+    """
+    chosen = graded.select(F.col("doc_id").cast("bigint").alias("id"), F.col("grade").cast("int").alias("y"))
+    chosen = chosen.withColumn("place", F.xxhash64("id")).orderBy("place", "id").limit(max_rows)
+    rows = docs.select(F.col("doc_id").cast("bigint").alias("id"), "text").where("text is not null").join(F.broadcast(chosen), "id")
+    one = rows.groupBy("id", "y", "place").agg(F.min_by("text", F.xxhash64("text")).alias("text"))
 
     def scan(batches):
         for batch in batches:
             for part in slices(batch):
                 if part.num_rows:
-                    own = [hashed(t) for t in part.column(1).to_pylist()]
+                    own = [hashed(t) for t in part.column(3).to_pylist()]
                     yield pa.RecordBatch.from_arrays(
-                        [part.column(0), part.column(2), pa.array([i for i, _ in own], pa.list_(pa.int32())), pa.array([v for _, v in own], pa.list_(pa.float32()))],
-                        ["doc_id", "y", "index", "value"],
+                        [part.column(0), part.column(1), part.column(2), pa.array([len(i) for i, _ in own], pa.int64()), pa.array([i for i, _ in own], pa.list_(pa.int32())), pa.array([v for _, v in own], pa.list_(pa.float32()))],
+                        ["doc_id", "y", "place", "cells", "index", "value"],
                     )
 
-    name = schema.names[0]
-    return rows.select("doc_id", "text", F.col(name).cast("int").alias("y")).mapInArrow(scan, "doc_id bigint, y int, index array<int>, value array<float>")
+    found = materialize(arrow(one.select("id", "y", "place", "text"), scan, "doc_id bigint, y int, place bigint, cells bigint, index array<int>, value array<float>"), "labelled")
+    sizes = sorted((r["place"], r["doc_id"], r["cells"]) for r in found.select("place", "doc_id", "cells").collect())
+    total = np.cumsum([c for _, _, c in sizes])
+    fit = int((total <= max_cells).sum()) if len(sizes) else 0
+    if fit < len(sizes):
+        place, doc_id, _ = sizes[fit]
+        found = found.where((F.col("place") < place) | ((F.col("place") == place) & (F.col("doc_id") < doc_id)))
+    return found.select("doc_id", "y", "index", "value")
 
 
 def collect_rows(sample: DataFrame) -> tuple[Rows, np.ndarray]:
@@ -81,7 +94,7 @@ def _sigmoid(x: np.ndarray) -> np.ndarray:
 
 @dataclass
 class Ordinal:
-    weights: np.ndarray
+    scorer: Scorer
     thresholds: np.ndarray  # ascending, one fewer than grades
 
     def tails(self, scores: np.ndarray) -> np.ndarray:
@@ -89,10 +102,21 @@ class Ordinal:
         return _sigmoid(np.asarray(scores)[:, None] - self.thresholds[None, :])
 
 
-def fit_ordinal(rows: Rows, grades: np.ndarray, n_grades: int = GRADES, epochs: int = 40, batch: int = 128, rate: float = 0.5, seed: int = 1) -> Ordinal:
+def grade_terms(scores: np.ndarray, grades: np.ndarray, thresholds: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(p, up, low): probability of each row's grade, and the derivatives of its logarithm by its upper and its lower threshold (the latter negated)."""
+    edge = np.concatenate(([-np.inf], thresholds, [np.inf]))
+    above, below = _sigmoid(edge[grades + 1] - scores), _sigmoid(edge[grades] - scores)
+    above, below = np.where(grades == len(thresholds), 1.0, above), np.where(grades == 0, 0.0, below)
+    p = np.maximum(above - below, 1e-9)
+    return p, above * (1 - above) / p, below * (1 - below) / p
+
+
+def fit_ordinal(rows: Rows, grades: np.ndarray, n_grades: int = GRADES, epochs: int = 30, batch: int = 128, rate: float = 0.5, decay: float = 1e-5, seed: int = 1) -> Ordinal:
     """Minibatch gradient ascent of the likelihood, with steps scaled by past gradients; gaps between thresholds stay positive as exponentials."""
-    rng, rows = np.random.default_rng(seed), rows.common()
-    w, gw = np.zeros(2 * SIZE), np.full(2 * SIZE, 1e-8)
+    scale = evidence(rows, grades, n_grades)
+    rows, features = scaled(rows, scale)
+    rng, size = np.random.default_rng(seed), len(features)
+    w, gw = np.zeros(size), np.full(size, 1e-8)
     share = np.cumsum(np.bincount(grades, minlength=n_grades) + 1.0)[:-1] / (len(grades) + n_grades)
     cut = np.log(share / (1 - share))
     first, gaps = cut[0], np.log(np.maximum(np.diff(cut), 1e-2))
@@ -103,32 +127,29 @@ def fit_ordinal(rows: Rows, grades: np.ndarray, n_grades: int = GRADES, epochs:
             at = order[i : i + batch]
             part, y = rows.take(at), grades[at]
             theta = first + np.concatenate(([0.0], np.cumsum(np.exp(gaps))))
-            s = part.dot(w)
-            edge = np.concatenate(([-np.inf], theta, [np.inf]))
-            up, low = _sigmoid(edge[y + 1] - s), _sigmoid(edge[y] - s)
-            up, low = np.where(y + 1 == n_grades, 1.0, up), np.where(y == 0, 0.0, low)
-            p = np.maximum(up - low, 1e-9)
-            du, dl = up * (1 - up) / p, low * (1 - low) / p
-            g = part.back(dl - du, 2 * SIZE) / len(at) - 1e-7 * w
+            _, up, low = grade_terms(part.dot(w), y, theta)
+            g = part.back(low - up, size) / len(at) - decay * w
             gw += g * g
             w += rate * g / np.sqrt(gw)
-            dt = np.zeros(n_grades - 1)  # gradient by theta_k
-            for k in range(n_grades - 1):
-                dt[k] = (du[y == k].sum() - dl[y == k + 1].sum()) / len(at)
-            d = np.concatenate(([dt.sum()], [dt[k + 1 :].sum() * np.exp(gaps[k]) for k in range(n_grades - 2)]))
+            by_threshold = np.array([(up[y == k].sum() - low[y == k + 1].sum()) / len(at) for k in range(n_grades - 1)])
+            d = np.concatenate(([by_threshold.sum()], [by_threshold[k + 1 :].sum() * np.exp(gaps[k]) for k in range(n_grades - 2)]))
             gt += d * d
             step = 0.1 * d / np.sqrt(gt)
             first, gaps = first + step[0], gaps + step[1:]
-    return Ordinal(w.astype(np.float32), first + np.concatenate(([0.0], np.cumsum(np.exp(gaps)))))
+    return Ordinal(Scorer.of(w, features, scale), first + np.concatenate(([0.0], np.cumsum(np.exp(gaps)))))
 
 
-def train(docs: DataFrame, labels: DataFrame, max_rows: int = MAX_ROWS) -> Ordinal | None:
-    rows, grades = collect_rows(labelled_sample(docs, graded_labels(labels), max_rows))
+def train(docs: DataFrame, labels: DataFrame, max_rows: int = MAX_ROWS, max_cells: int = MAX_CELLS) -> Ordinal | None:
+    rows, grades = collect_rows(labelled_sample(docs, graded_labels(labels), max_rows, max_cells))
     return fit_ordinal(rows, grades) if len(set(grades.tolist())) > 1 else None
 
 
+ADDED = ("expected_grade", "tail_probability", "quality_kept")
+
+
 def score(docs: DataFrame, model: Ordinal | None, min_tail: float = MIN_TAIL) -> DataFrame:
     """docs with expected_grade, tail_probability (of the top grade) and quality_kept added."""
+    docs = spare(docs, ADDED)
     schema = docs.withColumns({"expected_grade": F.lit(0.0), "tail_probability": F.lit(0.0), "quality_kept": F.lit(True)}).schema
     for f in schema.fields:
         f.nullable = True
@@ -140,19 +161,12 @@ def score(docs: DataFrame, model: Ordinal | None, min_tail: float = MIN_TAIL) ->
             for part in slices(batch):
                 names = part.schema.names
                 texts = part.column(names.index("text")).to_pylist()
-                if model is None:
-                    tails = np.ones((len(texts), GRADES - 1))
-                else:
-                    s = np.zeros(len(texts))
-                    for k, t in enumerate(texts):
-                        i, v = hashed(t)
-                        s[k] = float(model.weights[i] @ v) if len(i) else 0.0
-                    tails = model.tails(s)
+                tails = np.ones((len(texts), GRADES - 1)) if model is None else model.tails(model.scorer.scores(texts))
                 arrays = [part.column(i) for i in range(len(names))]
                 arrays += [pa.array(tails.sum(axis=1)), pa.array(tails[:, -1]), pa.array(tails[:, -1] >= min_tail)]
-                yield pa.RecordBatch.from_arrays(arrays, [*names, "expected_grade", "tail_probability", "quality_kept"])
+                yield pa.RecordBatch.from_arrays(arrays, [*names, *ADDED])
 
-    return docs.mapInArrow(scan, schema)
+    return arrow(docs, scan, schema)
 
 
 def op7_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:

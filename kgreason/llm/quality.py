@@ -1,8 +1,8 @@
-"""Quality rules: counted rules, then a logistic regression over hashed words and character n-grams.
+"""Quality rules: counted rules, then a logistic regression over hashed word and character n-grams.
 
-The regression is trained on labelled rows (good: of high quality and not toxic), a quarter of which is held back
-to calibrate its probability (Platt's two parameters); documents are scored in Arrow batches against
-fixed thresholds.
+The regression is trained on labelled rows (good: of high quality and not toxic; at most ``max_rows`` of them and ``max_cells``
+features in all), a quarter of which is held back to calibrate its probability (Platt's two parameters); documents
+are scored in Arrow batches against fixed thresholds.
 
 Defined results: null text has no words and fails the rules; repeated labels of a document are merged (lowest
 quality, highest toxicity); without labels of both kinds the regression keeps what the rules keep; repeated rows
@@ -20,13 +20,13 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import mix64, slices, table
-from .features import SIZE, Rows, hashed
-from .ordinal import _sigmoid, collect_rows, graded_labels, labelled_sample
+from .common import arrow, mix64, slices, table
+from .features import Rows, Scorer, evidence, scaled
+from .ordinal import MAX_CELLS, _sigmoid, collect_rows, graded_labels, labelled_sample
 
 MAX_ROWS = 12_000
 MIN_WORDS, MAX_REPEAT_PERCENT, WINDOW = 20, 30, 8
-MIN_PROBABILITY = 0.4
+MIN_PROBABILITY = 0.5
 
 _SYMBOL = re.compile(r"[#*$%&|<>]")
 _WORD = re.compile(r"[^\x20\x09-\x0D]")
@@ -74,58 +74,72 @@ def base_failed(n_words: int, n_repeat: int) -> bool:
 
 @dataclass
 class Logistic:
-    weights: np.ndarray
-    bias: float
-    scale: float  # calibrated probability: sigmoid(scale * score + shift)
+    scorer: Scorer
+    slope: float  # calibrated probability: sigmoid(slope * score + shift)
     shift: float
 
     def probability(self, scores: np.ndarray) -> np.ndarray:
-        return _sigmoid(self.scale * np.asarray(scores, dtype=np.float64) + self.shift)
+        return _sigmoid(self.slope * np.asarray(scores, dtype=np.float64) + self.shift)
 
 
-def _weights(rows: Rows, good: np.ndarray, fit: np.ndarray, rng: np.random.Generator, epochs: int, batch: int, rate: float) -> tuple[np.ndarray, float]:
+def _weights(rows: Rows, good: np.ndarray, size: int, rng: np.random.Generator, epochs: int, batch: int, rate: float, decay: float) -> tuple[np.ndarray, float]:
     """Weights and bias by minibatch steps scaled by past gradients."""
-    w, gw, bias, gb = np.zeros(2 * SIZE), np.full(2 * SIZE, 1e-8), 0.0, 1e-8
+    w, gw, bias, gb = np.zeros(size), np.full(size, 1e-8), 0.0, 1e-8
     for _ in range(epochs):
-        own = rng.permutation(fit)
+        own = rng.permutation(len(good))
         for i in range(0, len(own), batch):
             at = own[i : i + batch]
             part = rows.take(at)
             err = good[at] - _sigmoid(part.dot(w) + bias)
-            g = part.back(err, 2 * SIZE) / len(at) - 1e-7 * w
+            g = part.back(err, size) / len(at) - decay * w
             gw += g * g
             w += rate * g / np.sqrt(gw)
             gb += err.mean() ** 2
             bias += 0.1 * err.mean() / np.sqrt(gb)
-    return w.astype(np.float32), bias
+    return w, bias
 
 
-def fit_logistic(rows: Rows, good: np.ndarray, epochs: int = 40, batch: int = 128, rate: float = 0.5, seed: int = 1) -> Logistic:
-    """Fits three quarters of the rows, calibrates on the rest by Newton steps, then fits all rows for the weights that the calibration is applied to."""
-    rng, rows = np.random.default_rng(seed), rows.common()
-    order = rng.permutation(len(good))
-    fit, held = order[len(order) // 4 :], order[: len(order) // 4]
-    w, bias = _weights(rows, good, fit, rng, epochs, batch, rate)
-    s, y = rows.take(held).dot(w) + bias, good[held]
-    # targets a little inside 0 and 1, as Platt has it, keep the slope finite
-    hi, lo = (y.sum() + 1) / (y.sum() + 2), 1 / (len(y) - y.sum() + 2)
-    t, ab = np.where(y > 0, hi, lo), np.array([1.0, 0.0])
-    x = np.stack((s, np.ones(len(s))), axis=1)
-    for _ in range(50 if len(y) else 0):
+def calibrate(scores: np.ndarray, good: np.ndarray) -> tuple[float, float]:
+    """Platt's slope and shift by Newton steps; targets a little inside 0 and 1 keep the slope finite."""
+    hi, lo = (good.sum() + 1) / (good.sum() + 2), 1 / (len(good) - good.sum() + 2)
+    t, ab = np.where(good > 0, hi, lo), np.array([1.0, 0.0])
+    x = np.stack((scores, np.ones(len(scores))), axis=1)
+    for _ in range(50 if len(good) else 0):
         p = _sigmoid(x @ ab)
         grad, hess = x.T @ (t - p), (x * (p * (1 - p))[:, None]).T @ x + 1e-6 * np.eye(2)
         step = np.linalg.solve(hess, grad)
         ab = ab + np.clip(step, -2, 2)
         if np.abs(step).max() < 1e-8:
             break
-    if ab[0] <= 0:  # too few held rows to tell
-        ab = np.array([1.0, 0.0])
-    w, bias = _weights(rows, good, order, rng, epochs, batch, rate)
-    return Logistic(w, bias, float(ab[0]), float(ab[0] * bias + ab[1]))
+    return (float(ab[0]), float(ab[1])) if ab[0] > 0 else (1.0, 0.0)  # too few held rows to tell
+
 
+def fit_logistic(rows: Rows, good: np.ndarray, epochs: int = 30, batch: int = 128, rate: float = 0.5, decay: float = 1e-5, seed: int = 1) -> Logistic:
+    """Fits three quarters of the rows and calibrates on the rest, then fits all rows for the weights that the calibration is applied to."""
+    rng = np.random.default_rng(seed)
 
-def train(docs: DataFrame, labels: DataFrame, max_rows: int = MAX_ROWS) -> Logistic | None:
-    rows, grades = collect_rows(labelled_sample(docs, graded_labels(labels), max_rows))
+    def fitted(at: np.ndarray) -> tuple[Scorer, float]:
+        own, y = rows.take(at), good[at]
+        scale = evidence(own, y.astype(np.int64), 2)
+        own, features = scaled(own, scale)
+        w, bias = _weights(own, y, len(features), rng, epochs, batch, rate, decay)
+        return Scorer.of(w, features, scale), bias
+
+    order = rng.permutation(len(good))
+    held, rest = order[: len(order) // 4], order[len(order) // 4 :]
+    part, bias = fitted(rest)
+    own = rows.take(held)
+    value = own.value * part.scale[own.index]
+    owner = np.repeat(np.arange(len(held)), own.sizes())
+    length = np.sqrt(np.bincount(owner, weights=value * value, minlength=len(held)))
+    score = np.bincount(owner, weights=value * part.weights[own.index], minlength=len(held)) / np.where(length > 0, length, 1)
+    slope, shift = calibrate(score + bias, good[held])
+    whole, bias = fitted(np.arange(len(good)))
+    return Logistic(whole, slope, slope * bias + shift)
+
+
+def train(docs: DataFrame, labels: DataFrame, max_rows: int = MAX_ROWS, max_cells: int = MAX_CELLS) -> Logistic | None:
+    rows, grades = collect_rows(labelled_sample(docs, graded_labels(labels), max_rows, max_cells))
     good = (grades == 2).astype(np.float64)
     return fit_logistic(rows, good) if 0 < good.sum() < len(good) else None
 
@@ -144,18 +158,14 @@ def apply_rules(docs: DataFrame, model: Logistic | None, min_probability: float
                 failed = np.array([base_failed(c[0], c[4]) for c in counts], bool)
                 p = np.ones(len(texts))
                 if model is not None:
-                    s = np.zeros(len(texts))
-                    for k, t in enumerate(texts):
-                        i, v = hashed(t)
-                        s[k] = float(model.weights[i] @ v) if len(i) else 0.0
-                    p = model.probability(s)
+                    p = model.probability(model.scorer.scores(texts))
                 cols = [pa.array([c[j] for c in counts], pa.int64()) for j in range(5)]
                 yield pa.RecordBatch.from_arrays(
                     [part.column(0), *cols, pa.array(failed), pa.array(~failed & (p >= min_probability)), pa.array(p)], ["doc_id", *names, "base_failed", "kept", "probability"]
                 )
 
     schema = "doc_id bigint, " + ", ".join(f"{n} bigint" for n in names) + ", base_failed boolean, kept boolean, probability double"
-    return docs.select(F.col("doc_id").cast("bigint"), "text").mapInArrow(scan, schema)
+    return arrow(docs.select(F.col("doc_id").cast("bigint"), "text"), scan, schema)
 
 
 def op2_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
