@@ -40,7 +40,7 @@ def line_rows():
     return rows
 
 
-@pytest.mark.parametrize("options", [{}, {"max_index_bytes": 0, "shard_keys": 2, "n_salts": 3}])
+@pytest.mark.parametrize("options", [{}, {"max_index_bytes": 0, "shard_keys": 2, "shard_rows": 5}])
 def test_lines(spark, make, options):
     rows = line_rows()
     out = linededup.dedup_lines(make(rows), **options)
@@ -55,9 +55,30 @@ def test_lines_odd_rows(spark, make):
     assert linededup.dedup_lines(make([])).count() == 0
     named = make([(1, line)]).withColumnRenamed("lang", "h1").withColumnRenamed("source", "shard")
     assert linededup.dedup_lines(named).columns == ["doc_id", "text", "h1", "shard", "n_chars", "n_lines", "n_dropped"]
+    for options in ({}, {"max_index_bytes": 0}):
+        clash = make([(1, line), (2, line), (3, line)]).withColumnsRenamed({"lang": "N_lines", "source": "__hits", "n_chars": "n_dropped"})
+        out = linededup.dedup_lines(clash, **options)
+        assert out.columns == ["doc_id", "text", "input_N_lines", "input___hits", "input_n_dropped", "n_lines", "n_dropped"]
+        assert sorted((r["doc_id"], r["text"], r["input_N_lines"], r["n_dropped"]) for r in out.collect()) == [(1, "", "en", 1), (2, "", "en", 1), (3, line, "en", 0)]
 
 
-@pytest.mark.parametrize("options", [{}, {"max_index_bytes": 0, "shard_keys": 2, "n_salts": 3}])
+def test_a_line_in_all_documents(spark, make):
+    """Both ways of probing, with one line in every row, in more copies of its shard than one."""
+    line = "the very same line of every document"
+    rows = [(i if i % 7 else None, f"{line}\nown line of document number {i}\n{line}") for i in range(3000)]
+    big, small = (sorted((r["doc_id"] or -1, r["n_dropped"], r["text"]) for r in linededup.dedup_lines(make(rows), **o).collect()) for o in ({"max_index_bytes": 0, "shard_rows": 100}, {}))
+    assert big == small and sum(n for _, n, _ in big) == 2 * 2999
+
+
+def test_counts_of_the_index_decide(spark, make):
+    """The index holds lines of two rows as well; the counts that documents find there tell which go."""
+    rows = [(1, "a line that two documents hold"), (2, "a line that two documents hold")]
+    assert [r["n_docs"] for r in linededup.counted_lines(make(rows)).collect()] == [2]
+    assert {r["n_dropped"] for r in linededup.dedup_lines(make(rows)).collect()} == {0}
+    assert sorted(r["n_dropped"] for r in linededup.dedup_lines(make(rows), min_docs=2).collect()) == [0, 1]
+
+
+@pytest.mark.parametrize("options", [{}, {"max_index_bytes": 0, "shard_keys": 2, "shard_rows": 5}])
 def test_lines_of_rows_without_id(spark, make, options):
     line, other = "a line of more than twenty signs", "one more line of twenty signs and more"
     rows = [(1, line), (2, line), (2**60 + 1, f"{line}\n{other}"), (None, f"{line}\nown"), (None, f"{line}\n{other}"), (None, f"{line}\n{other}"), (None, None), (0, line)]
@@ -136,10 +157,43 @@ def test_near_duplicates(spark, make):
 def test_near_duplicates_odd_rows(spark, make):
     assert neardup.near_duplicates(make([])).count() == 0
     text = "a b c d e f g h"
-    own = {r["doc_id"]: r["kept"] for r in neardup.near_duplicates(make([(2, text), (2, text), (1, text), (None, text)])).collect()}
-    assert own == {1: True, 2: False, None: True}
-    out = neardup.drop_near_duplicates(make([(2, text), (1, text), (None, text)]).withColumnRenamed("lang", "key"))
-    assert sorted(r["doc_id"] or 0 for r in out.collect()) == [0, 1] and "key" in out.columns
+    rows = [(2, text), (2, text), (1, text), (None, text), (None, None), (None, None), (3, None)]
+    own = [(r["doc_id"], r["n_shingles"], r["component_id"], r["kept"]) for r in neardup.near_duplicates(make(rows)).collect()]
+    expected = [(2, 4, 1, False), (2, 4, 1, False), (1, 4, 1, True), (None, 4, 1, False), (None, 0, None, True), (None, 0, None, True), (3, 0, 3, True)]
+    assert sorted(own, key=repr) == sorted(expected, key=repr)
+    clash = make([*rows, (1, text), (1, text + " i")]).withColumnsRenamed({"lang": "text_hash", "source": "__id", "n_chars": "first"})
+    out = neardup.drop_near_duplicates(clash)
+    assert out.columns == clash.columns
+    kept = [(r["doc_id"], r["text"]) for r in out.collect()]
+    assert sorted((i for i, _ in kept), key=repr) == sorted([1, None, None, 3], key=repr) and next(t for i, t in kept if i == 1).startswith(text)
+    nobody = [(None, text), (None, text), (None, text + " i"), (None, "x " * 9)]  # of rows without id, too, one stays
+    assert len(neardup.drop_near_duplicates(make(nobody)).collect()) == 2
+
+
+def test_many_unlinked_texts_in_a_bucket(spark, make):
+    """10,000 texts that share half of their words: a bucket of many members, of which no two are linked, but for one pair."""
+    rng = random.Random(11)
+    common = " ".join(f"shared{i}" for i in range(24))
+    rows = [(i, common + " " + " ".join(f"w{i}x{rng.randrange(10**6)}" for _ in range(20))) for i in range(10_000)]
+    rows.append((20_000, rows[77][1].replace("shared23", "other")))
+    own = {r["doc_id"]: r["component_id"] for r in neardup.near_duplicates(make(rows), 8, 1).collect()}  # one coordinate a band: nearly all share some
+    assert {i for i, c in own.items() if c != i} == {20_000} and own[20_000] == 77
+
+
+def test_blocks_of_a_bucket(spark, make):
+    rows = near_rows()
+    assert {r["doc_id"]: (r["n_shingles"], r["component_id"], r["kept"]) for r in neardup.near_duplicates(make(rows), bucket=1, block=3).collect()} == brute_components(rows)
+
+
+def test_bands_find_pairs_at_the_threshold():
+    """Pairs of exactly the least similarity that links, of small and large sets."""
+    rng = np.random.default_rng(5)
+    for common, own in ((3, 1), (6, 2), (75, 25), (300, 100)):
+        for _ in range(100):
+            pool = np.unique(neardup.mix64(rng.integers(0, 2**63, common + own, dtype=np.uint64)))
+            a, b = pool, pool[rng.permutation(len(pool))[:common]]
+            x, y = (neardup.band_keys(neardup.signature(np.sort(s))) for s in (a, b))
+            assert (x == y).any()
 
 
 def test_sketches_never_undercount():
@@ -221,6 +275,20 @@ def test_removal(spark, make):
         decontaminate.decontaminate(make(TEXTS), bench, "words")
 
 
+def test_contamination_by_row(spark, make):
+    """Rows without an id, or with a repeated one, are judged by their own text."""
+    bench = spark.createDataFrame(ITEMS, "item_id bigint, text string")
+    bad, good = TEXTS[0][1], "nothing here to see at all today my friend"
+    rows = [(None, bad), (None, good), (None, bad), (5, good), (5, bad), (5, bad), (6, None)]
+    own = [(r["doc_id"], r["n_words"], r["n_hit"]) for r in decontaminate.contamination(make(rows), bench).collect()]
+    assert sorted(own, key=repr) == sorted([(None, 14, 12), (None, 9, 0), (None, 14, 12), (5, 9, 0), (5, 14, 12), (5, 14, 12), (6, 0, 0)], key=repr)
+    clash = make(rows).withColumnsRenamed({"lang": "text_hash", "source": "words", "n_chars": "__spans"})
+    out = decontaminate.decontaminate(clash, bench)
+    assert out.columns == clash.columns and sorted(((r["doc_id"], r["text"]) for r in out.collect()), key=repr) == sorted([(None, good), (5, good), (6, None)], key=repr)
+    spans = decontaminate.decontaminate(clash, bench, "spans")
+    assert spans.columns == clash.columns and spans.count() == len(rows) and spans.where("text like '%fox%'").count() == 0
+
+
 def test_removal_empty(spark, make, folder):
     none = spark.createDataFrame([], "item_id bigint, text string")
     assert decontaminate.decontaminate(make(TEXTS), none).count() == len(TEXTS)

@@ -103,6 +103,21 @@ def test_chat_round_trip(spark, folder):
     assert blocks[0] == 3  # adjacent turns of a role share a block
 
 
+def test_chat_ties_and_long_conversations(spark, folder):
+    rows = [(1, 0, "<z", "a"), (1, 0, "<|a", "b"), (2, 0, "user", "<z"), (2, 0, "user", "<|a")]
+    rows += [(3, i, ("user", "assistant", "assistant")[i % 3], f"<|turn|> text {i}") for i in range(3000)]
+    rows += [(None, 1, "user", "x"), (None, 1, "user", "y"), (None, None, None, None)]
+    out = chat.format_conversations(spark.read.parquet(f"{folder(conversations=rows)}/conversations.parquet").withColumn("starts", chat.F.lit(1)))
+    turns = [(r["conv_id"], [(t["role"], t["text"]) for t in r["turns"]], r["formatted"], r["loss_spans"]) for r in out.withColumn("turns", chat.read_back(out["formatted"])).collect()]
+    back = {c: t for c, t, _, _ in turns if c is not None}
+    assert back[1] == [("<z", "a"), ("<|a", "b")][::-1] if "<|a" < "<z" else back[1] == [("<z", "a"), ("<|a", "b")]
+    assert [x for _, x in back[2]] == sorted(["<z", "<|a"])
+    assert back[3] == [(r, x) for _, _, r, x in rows[4:3004]]
+    formatted, spans = next((f, s) for c, _, f, s in turns if c == 3)
+    assert [formatted[s["first"] - 1 :][: s["length"]] for s in spans] == [x.replace("<|", "<\\|") for r, x in back[3] if r == "assistant"]
+    assert sorted(t for c, t, _, _ in turns if c is None) == [[("", "")], [("user", "x")], [("user", "y")]]
+
+
 def test_chat_plan_is_native(spark, folder):
     sf = folder(conversations=[(1, 0, "user", "x")])
     assert "Python" not in chat.op3_chat_formatting(spark, sf)._jdf.queryExecution().executedPlan().toString()
