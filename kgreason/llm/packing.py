@@ -9,7 +9,8 @@ capacity and not on the corpus.  Pieces then find their place from their number
 length, which is dealt out over (length, salt) groups, so that no common length meets in one task.
 
 Defined results: null or empty text is the end id alone; every row is packed, repeated rows and null ids
-too; an empty table gives no pieces; further columns are ignored.
+too; an empty table gives no pieces; ``token_pieces`` ignores further columns; ``pack`` takes any columns beside ``length``, returns one that has the
+name of an added column as ``input_<name>``, and refuses lengths below 1 or above the capacity.
 """
 
 from __future__ import annotations
@@ -25,7 +26,7 @@ import tiktoken
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import materialize, slices, table
+from .common import arrow, materialize, slices, spare, table
 
 CAPACITY = 2048
 #: Groups that the pieces of one length are dealt to: as many as the session shuffles to, within these bounds.  The driver gets capacity * salts counts.
@@ -75,7 +76,7 @@ def token_pieces(docs: DataFrame, capacity: int = CAPACITY, end_id: int = 0, tok
                 yield pa.RecordBatch.from_arrays(arrays, names)
 
     schema = "doc_id bigint, piece int, start bigint, length bigint, ids_crc32 bigint" + (", ids array<int>" if with_ids else "")
-    return docs.select(F.col("doc_id").cast("bigint"), "text").mapInArrow(scan, schema)
+    return arrow(docs.select(F.col("doc_id").cast("bigint"), "text"), scan, schema)
 
 
 # ---------------------------------------------------------------- minimum bin slack over counts
@@ -145,8 +146,11 @@ def pack(pieces: DataFrame, capacity: int = CAPACITY, salts: int | None = None)
 
     What the driver gets are counts by (length, salt): capacity * salts numbers at most.
     """
-    keys = [c for c in pieces.columns if c in ("doc_id", "piece")]
+    pieces = spare(pieces, ("sequence_id", "offset", "__salt", "__number"))
+    keys = [c for c in pieces.columns if c in ("doc_id", "piece")] or ["length"]
     salts = salts or min(MAX_SALTS, max(MIN_SALTS, int(pieces.sparkSession.conf.get("spark.sql.shuffle.partitions"))))
+    wrong = F.raise_error(F.concat(F.lit(f"length outside 1 to {capacity}: "), F.coalesce(F.col("length").cast("string"), F.lit("null")))).cast("bigint")
+    pieces = pieces.withColumn("length", F.when(F.col("length").between(1, capacity), F.col("length").cast("bigint")).otherwise(wrong))
     dealt = pieces.withColumn("__salt", F.pmod(F.xxhash64(*keys), F.lit(salts)).cast("int"))
     found = dealt.groupBy("length", "__salt").count().toArrow()
     groups = np.zeros((capacity + 1, salts), np.int64)
@@ -173,7 +177,7 @@ def pack(pieces: DataFrame, capacity: int = CAPACITY, salts: int | None = None)
             keep = [i for i, n in enumerate(names) if not n.startswith("__")]
             yield pa.RecordBatch.from_arrays([*(batch.column(i) for i in keep), pa.array(seq), pa.array(off)], [*(names[i] for i in keep), "sequence_id", "offset"])
 
-    return numbered.mapInArrow(scan, schema)
+    return arrow(numbered, scan, schema)
 
 
 def pack_documents(docs: DataFrame, capacity: int = CAPACITY, with_ids: bool = True, tokenizer: str | None = None) -> DataFrame:
