@@ -147,7 +147,7 @@ def pack(pieces: DataFrame, capacity: int = CAPACITY, salts: int | None = None)
     What the driver gets are counts by (length, salt): capacity * salts numbers at most.
     """
     pieces = spare(pieces, ("sequence_id", "offset", "__salt", "__number"))
-    keys = [c for c in pieces.columns if c in ("doc_id", "piece")] or ["length"]
+    keys = [c for c in pieces.columns if c in ("doc_id", "piece")] or [c for c, kind in pieces.dtypes if "map<" not in kind]
     salts = salts or min(MAX_SALTS, max(MIN_SALTS, int(pieces.sparkSession.conf.get("spark.sql.shuffle.partitions"))))
     wrong = F.raise_error(F.concat(F.lit(f"length outside 1 to {capacity}: "), F.coalesce(F.col("length").cast("string"), F.lit("null")))).cast("bigint")
     pieces = pieces.withColumn("length", F.when(F.col("length").between(1, capacity), F.col("length").cast("bigint")).otherwise(wrong))

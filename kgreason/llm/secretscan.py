@@ -1,17 +1,20 @@
 """Secret scans: fixed patterns, and novelty under a primed zstandard compressor.
 
-Candidates are long token-like strings whose line, just before them, speaks of keys, tokens, passwords and the
-like.  A compressor is primed with a dictionary of common identifiers and of the text around the candidate; what the
-candidate adds to the compressed size of its line, per byte, is its novelty.  Words, paths and identifiers cost
-little as they occur around or in the dictionary; random strings cost almost their full entropy and are reported as ``novel``.
-
-Defined results: null text is empty and has no spans; repeated rows are each scanned; spans found by novelty never
-overlap those of the patterns; an empty table gives an empty table; further columns are ignored.
+Candidates are token-like strings of 20 characters and more, dots within them included, in sensitive context: a word that speaks of
+keys, tokens, passwords and the like stands before them on their line or on the line before, or another candidate that has such a
+word before it.  Lines below the opening line of a key block are one candidate.  A compressor is primed with a dictionary
+of common identifiers and of the text around the candidate, other copies of the candidate taken out; what the candidate adds to the
+compressed size of its line, per byte, is its novelty.  Words, paths and identifiers cost little as they occur around or in
+the dictionary; random strings cost almost their full entropy and are reported as ``novel``.  Of a dotted candidate
+the stretch from its first novel part to its last is reported, or all of it where only the whole is novel.
+
+Defined results: null text is empty and has no spans; repeated rows are each scanned; no length of a text, a line or a
+candidate bounds the search; spans found by novelty never overlap those of the patterns; an empty table gives an empty table;
+further columns are ignored by ``scan_secrets`` and pass through ``redact_secrets``.
 """
 
 from __future__ import annotations
 
-import bisect
 import re
 
 import pyarrow as pa
@@ -19,7 +22,7 @@ import zstandard
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import slices, table
+from .common import arrow, slices, table
 
 # The base patterns and the least lengths of what they find.
 ASSIGN = re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.I | re.A)
@@ -44,16 +47,19 @@ permission platform plugin policy port prefix primary print private process prof
 query queue random range read record redirect reference refresh region register release remote render replace repository request require reset resource
 response result return role root route rule runtime schema scheme scope script search secret security select sequence server service session
 """.split()
-_PRIMER = " ".join(IDENTIFIERS).encode()
+_PRIMER = " ".join([*map(str.upper, IDENTIFIERS), *map(str.title, IDENTIFIERS), *IDENTIFIERS]).encode()
 
 _CUE = re.compile(r"key|secret|token|passw|passphrase|auth|credential|bearer|private|signature|webhook", re.I | re.A)
-_TOKEN = re.compile(r"(?<![A-Za-z0-9+/_=-])[A-Za-z0-9+/_=-]{20,}")
-REACH = 48  # characters of a line between a cue, or a candidate behind it, and the next candidate
+MIN_TOKEN = 20
+_TOKEN = re.compile(r"[A-Za-z0-9+/_=-]+(?:\.[A-Za-z0-9+/_=-]+)*")
+_PART = re.compile(r"[^.]+")
 _KEY_BLOCK = re.compile(r"-----BEGIN [^\n-]*(?:PRIVATE|SECRET) KEY[^\n-]*-----[\x20\t\r]*\n")
 _KEY_LINE = re.compile(r"[\x20\t]*([A-Za-z0-9+/_=-]+)[\x20\t\r]*(?:\n|$)")
 _KEY_HEADER = re.compile(r"[\x20\t\r]*(?:[A-Za-z-]+:[^\n]*)?\n")
 AROUND = 1500  # characters of text on each side that prime the compressor
-MIN_NOVELTY = 0.72  # marginal compressed bytes a byte: of random base64 about 0.8, of hex about 0.6, of words below 0.5
+MIN_NOVELTY = 0.72  # marginal compressed bytes a byte, of long candidates: of random base64 0.77 and more, of words about half
+SHORT_NOVELTY = 0.2  # what candidates of up to SHORT characters need beyond that, and longer ones in proportion less: literals of short strings are stored as they are
+SHORT = 100
 MIN_CLASSES = 3  # of lower case, upper case, digits
 
 
@@ -88,45 +94,56 @@ def key_blocks(text: str) -> list[tuple[int, int]]:
     return found
 
 
+def _classes(s: str) -> int:
+    return (s.lower() != s) + (s.upper() != s) + any(c.isdigit() for c in s)
+
+
+def _reach(text: str, cue: int) -> int:
+    """Where the context of a cue ends: with the next line that is not blank."""
+    end = text.find("\n", cue)
+    while end >= 0:
+        after = text.find("\n", end + 1)
+        if after < 0 or text[end + 1 : after].strip():
+            return after if after >= 0 else len(text)
+        end = after
+    return len(text)
+
+
 def candidates(text: str) -> list[tuple[int, int]]:
-    """Spans of key blocks and of all long tokens within reach of a cue, or of a candidate before them on the line."""
+    """Spans of key blocks and of all long tokens in the context of a cue, or of a candidate before them."""
     cues = [m.end() for m in _CUE.finditer(text)]
     if not cues:
         return []
     blocks = key_blocks(text)
-    found, i, j, last = list(blocks), 0, 0, -1
+    found, i, j, end = list(blocks), 0, 0, -1
     for m in _TOKEN.finditer(text):
         a, b = m.span()
+        if b - a < MIN_TOKEN:
+            continue
+        fresh = False
         while i < len(cues) and cues[i] <= a:
-            last = max(last, cues[i])
-            i += 1
+            i, fresh = i + 1, True
+        if fresh:
+            end = max(end, _reach(text, cues[i - 1]))
         while j < len(blocks) and blocks[j][1] <= a:
             j += 1
-        if 0 <= last and a - last <= REACH and text.find("\n", last, a) < 0:
-            last = b
+        if a < end and _classes(m[0]) >= MIN_CLASSES:
+            if b >= end or text.find("\n", b, end) < 0:
+                end = max(end, _reach(text, b))
             if j == len(blocks) or b <= blocks[j][0]:
                 found.append((a, b))
     return sorted(found)
 
 
-def _without(text: str, start: int, end: int, copies: list[tuple[int, int]]) -> str:
-    """text[start:end] without the parts that lie in copies, which are sorted."""
-    pieces, at = [], start
-    for a, b in copies[bisect.bisect_left(copies, start, key=lambda c: c[1]) :]:
-        if a >= end:
-            break
-        pieces.append(text[at : max(at, a)])
-        at = max(at, b)
-    return "".join([*pieces, text[at:end]])
-
-
-def novelty(text: str, start: int, end: int, copies: list[tuple[int, int]] = ()) -> float:
-    """Marginal compressed bytes of text[start:end] against its line, for each of its bytes; copies prime nothing."""
+def novelty(text: str, start: int, end: int) -> float:
+    """Marginal compressed bytes of text[start:end] against its line, for each of its bytes; what surrounds it primes the compressor, copies of it do not."""
+    own = text[start:end]
     line = text.rfind("\n", max(0, start - 200), start) + 1 or max(0, start - 200)
-    before, candidate = _without(text, line, start, copies).encode("utf-8", "replace"), text[start:end].encode("utf-8", "replace")
-    around = (_without(text, max(0, start - AROUND), start, copies) + "\n" + _without(text, end, min(len(text), end + AROUND), copies)).encode("utf-8", "replace")
+    plain = lambda a, b: text[a:b].replace(own, "").encode("utf-8", "replace")
+    before, candidate = plain(line, start), own.encode("utf-8", "replace")
+    around = plain(max(0, start - AROUND), start) + b"\n" + plain(end, end + AROUND)
     primed = zstandard.ZstdCompressor(
-        level=12,
+        level=19,
         dict_data=zstandard.ZstdCompressionDict(_PRIMER + b"\n" + around, dict_type=zstandard.DICT_TYPE_RAWCONTENT),
         write_checksum=False,
         write_content_size=False,
@@ -135,23 +152,25 @@ def novelty(text: str, start: int, end: int, copies: list[tuple[int, int]] = ())
     return (len(primed.compress(before + candidate)) - len(primed.compress(before))) / max(1, len(candidate))
 
 
-def novel_spans(text: str, taken: list[tuple[int, int, str]], min_novelty: float = MIN_NOVELTY) -> list[tuple[int, int, str]]:
-    """Novel candidates; copies of a candidate that follow a cue too, or are assigned, do not prime it, others do."""
-    cued, same = candidates(text), {}
-    for a, b in cued:
-        same.setdefault(text[a:b], []).append((a, b))
-    for x, _, kind in taken if cued else ():
-        if kind == "assign" and (m := ASSIGN.match(text, x)) and m[2] in same:
-            same[m[2]].append(m.span(2))
-    for copies in same.values():
-        copies.sort()
+def least_novelty(length: int) -> float:
+    return MIN_NOVELTY + SHORT_NOVELTY * min(1.0, SHORT / length)
+
+
+def novel_spans(text: str, taken: list[tuple[int, int, str]]) -> list[tuple[int, int, str]]:
+    """Novel candidates that overlap no span taken."""
+
+    def novel(a: int, b: int) -> bool:
+        return b - a >= MIN_TOKEN and _classes(text[a:b]) >= MIN_CLASSES and all(b <= x or a >= y for x, y, _ in taken) and novelty(text, a, b) >= least_novelty(b - a)
+
     found = []
-    for a, b in cued:
-        own = text[a:b]
-        classes = (own.lower() != own) + (own.upper() != own) + any(c.isdigit() for c in own)
-        if classes >= MIN_CLASSES and all(b <= x or a >= y for x, y, _ in taken) and novelty(text, a, b, same[own]) >= min_novelty:
+    for a, b in candidates(text):
+        parts = [(a + m.start(), a + m.end()) for m in _PART.finditer(text[a:b])] if "." in text[a:b] else []
+        parts = [x for x in parts if novel(*x)]
+        if parts:  # from the first novel part to the last
+            found.append((parts[0][0], parts[-1][1], "novel"))
+        elif novel(a, b):
             found.append((a, b, "novel"))
-    return found
+    return [s for s in found if all(s[1] <= x or s[0] >= y for x, y, _ in taken)]
 
 
 def scan_secrets(docs: DataFrame) -> DataFrame:
@@ -168,7 +187,7 @@ def scan_secrets(docs: DataFrame) -> DataFrame:
                     out.append([{"start": a, "end": b, "kind": k} for a, b, k in sorted(spans, key=lambda s: (s[0], KINDS.index(s[2])))])
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(out, kind)], ["doc_id", "spans"])
 
-    return docs.select(F.col("doc_id").cast("bigint"), "text").mapInArrow(scan, "doc_id bigint, spans array<struct<start:bigint,end:bigint,kind:string>>")
+    return arrow(docs.select(F.col("doc_id").cast("bigint"), "text"), scan, "doc_id bigint, spans array<struct<start:bigint,end:bigint,kind:string>>")
 
 
 def redact_secrets(docs: DataFrame, mask: str = "[secret]") -> DataFrame:
@@ -190,7 +209,7 @@ def redact_secrets(docs: DataFrame, mask: str = "[secret]") -> DataFrame:
                 columns = [pa.array(out, pa.string()) if i == at else part.column(i) for i in range(part.num_columns)]
                 yield pa.RecordBatch.from_arrays(columns, part.schema.names)
 
-    return docs.mapInArrow(scan, docs.schema)
+    return arrow(docs, scan, docs.schema)
 
 
 def op1_secret_scans(spark: SparkSession, sf_dir: str) -> DataFrame:
