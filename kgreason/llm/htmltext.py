@@ -2,17 +2,20 @@
 
 Tags are tokenized with one pattern; the builder opens and closes what the standard implies (paragraphs before blocks,
 list items, table parts, options, head and body) and ignores end tags without a start.  Rendering walks the tree
-without recursion: hidden parts (scripts, styles, templates, ``hidden``, ``aria-hidden``, ``display:none``, ``visibility:hidden``,
-hidden inputs) give nothing; blocks stand on lines of their own, paragraphs and headings between blank lines; list
-items get bullets or numbers and are indented by depth; table cells are padded to the width of their column; ``pre``
-keeps its white space.
+without recursion: what is not rendered (scripts, styles, templates, ``hidden``, ``display:none``, hidden inputs) gives
+nothing; ``visibility:hidden`` hides until a ``visibility:visible`` inside it; blocks stand on lines of their own, paragraphs and
+headings between blank lines; list items get bullets or numbers and are indented by depth; table cells are padded to the width of
+their columns, of which ``colspan`` and ``rowspan`` take several; ``pre`` keeps its white space.
 
 Defined results: null and empty pages give an empty text; cut-off tags and comments end with the page; text outside any
-tag is shown; repeated rows are each rendered; an empty table gives an empty table; further columns are ignored.
+tag is shown; what stands in a table outside its cells comes before it; cells wider than WIDEST do not widen their column; tables nested
+deeper than MAX_DEPTH are laid out as plain blocks, with all their text; repeated rows are each rendered; an empty table gives an empty
+table; further columns are ignored.
 """
 
 from __future__ import annotations
 
+import bisect
 import html as _html
 import re
 
@@ -20,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import slices, table
+from .common import arrow, slices, table
 
 _TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([A-Za-z][^\s/>]*)((?:[^>\"']|\"[^\"]*(?:\"|\Z)|'[^']*(?:'|\Z))*)(?:>|\Z)", re.S)
 _ATTRIBUTE = re.compile(r"""([^\s=/>"']+)(?:\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s>]+)))?""")
@@ -49,6 +52,7 @@ IMPLIED = {
     "option": ({"option"}, {"select", "datalist", "optgroup"}),
     "optgroup": ({"optgroup", "option"}, {"select"}),
 }
+_OUT_OF_CELLS = frozenset("table tr tbody thead tfoot body html".split())
 _SCOPE = frozenset("table td th caption button object template html".split())
 
 
@@ -69,15 +73,23 @@ def build_tree(page: str) -> Node:
     """The tree of a page; children are nodes and strings."""
     root = Node("html")
     stack = [root]
+    places: dict[str, list[int]] = {}  # of open elements by tag, but for the root: no end tag has to search the stack
+
+    def push(node: Node) -> None:
+        stack[-1].children.append(node)
+        places.setdefault(node.tag, []).append(len(stack))
+        stack.append(node)
+
+    def cut(i: int) -> None:
+        while len(stack) > i:
+            places[stack.pop().tag].pop()
+
+    def last(tags) -> int:
+        return max((places[t][-1] for t in tags if places.get(t)), default=0)
 
     def close(tags: set[str], bounds) -> None:
-        for i in range(len(stack) - 1, 0, -1):
-            if stack[i].tag in tags:
-                del stack[i:]
-                close(tags, bounds)
-                return
-            if stack[i].tag in bounds:
-                return
+        while (i := last(tags)) > last(bounds):
+            cut(i)
 
     at, n = 0, len(page)
     while at < n:
@@ -93,14 +105,12 @@ def build_tree(page: str) -> Node:
             continue
         tag = tag.lower()
         if m[1]:
-            if tag == "p" and not any(x.tag == "p" for x in stack):
+            if tag == "p" and not places.get("p"):
                 stack[-1].children.append(Node("p"))
-            for i in range(len(stack) - 1, 0, -1):
-                if stack[i].tag == tag:
-                    del stack[i:]
-                    break
-                if stack[i].tag in ("td", "th", "table") and tag not in ("table", "tr", "tbody", "thead", "tfoot", "body", "html"):
-                    break  # an end tag inside a cell does not reach out of it
+            i = last((tag,))
+            # an end tag inside a cell does not reach out of it
+            if i and (tag in _OUT_OF_CELLS or i >= last(("td", "th", "table"))):
+                cut(i)
             continue
         if tag == "html":
             root.attrs = root.attrs | _attributes(m[3])
@@ -112,30 +122,32 @@ def build_tree(page: str) -> Node:
         if tag in CLOSES_P:
             close({"p"}, _SCOPE)
         if tag in ("h1", "h2", "h3", "h4", "h5", "h6") and stack[-1].tag in ("h1", "h2", "h3", "h4", "h5", "h6"):
-            stack.pop()
+            cut(len(stack) - 1)
         if tag in IMPLIED:
             close(*IMPLIED[tag])
         if tag in ("td", "th") and stack[-1].tag != "tr":
-            row = Node("tr")
-            stack[-1].children.append(row)
-            stack.append(row)
+            push(Node("tr"))
         node = Node(tag, _attributes(m[3]))
-        stack[-1].children.append(node)
         if tag in RAW and tag != "noscript":
+            stack[-1].children.append(node)
             end = re.compile(rf"</{tag}(?=[\s/>])[^>]*>", re.I).search(page, at)
             node.children.append(page[at : end.start() if end else n])
             at = end.end() if end else n
-        elif tag not in VOID and not (m[3].endswith("/") and tag in ("path", "circle", "rect")):
-            stack.append(node)
+        elif tag in VOID or m[3].endswith("/") and tag in ("path", "circle", "rect"):
+            stack[-1].children.append(node)
+        else:
+            push(node)
     return root
 
 
-_STYLE_HIDES = re.compile(r"display\s*:\s*none|visibility\s*:\s*(?:hidden|collapse)", re.I)
+_STYLE_HIDES = re.compile(r"display\s*:\s*none", re.I)
+_VISIBILITY = re.compile(r"visibility\s*:\s*(visible|hidden|collapse)", re.I)
 
 
 def visible(node: Node) -> bool:
+    """Whether an element is rendered at all."""
     a = node.attrs
-    if node.tag in HIDDEN or "hidden" in a or a.get("aria-hidden", "").lower() == "true":
+    if node.tag in HIDDEN or "hidden" in a:
         return False
     if node.tag == "input" and a.get("type", "").lower() == "hidden":
         return False
@@ -144,6 +156,12 @@ def visible(node: Node) -> bool:
     return not ("style" in a and _STYLE_HIDES.search(a["style"]))
 
 
+def shown(node: Node, inherited: bool) -> bool:
+    """Whether text right below an element is seen; unlike what ``visible`` tells, an element inside can change that."""
+    found = _VISIBILITY.findall(node.attrs["style"]) if "style" in node.attrs else ()
+    return found[-1].lower() == "visible" if found else inherited
+
+
 class _Lines:
     """Text as it is laid out: words run into a line until a break is asked for."""
 
@@ -225,42 +243,45 @@ def _holders_of_cells(node: Node) -> set[int]:
     return found
 
 
-def _table_parts(node: Node) -> tuple[list[list[Node]], list, list[Node]]:
-    """Rows of visible cells, what stands outside them, and captions; forms and the like around rows or cells are looked through.
+Cell = tuple[Node, bool]  # an element, or a string, and whether text there is seen
+
+
+def _table_parts(node: Node, seen: bool = True) -> tuple[list[list[Cell]], list[Cell], list[Cell]]:
+    """Rows of cells, what stands outside them, and captions; forms and the like around rows or cells are looked through.
 
     Nested tables are left to their cells. A row inside such an element of a row continues that row.
     """
-    rows: list[list[Node]] = []
+    rows: list[list[Cell]] = []
     stray, captions = [], []
     holders = _holders_of_cells(node)
-    stack: list[tuple] = [(iter(node.children), None)]
+    stack: list[tuple] = [(iter(node.children), None, seen)]
     while stack:
-        children, row = stack[-1]
+        children, row, seen = stack[-1]
         x = next(children, None)
         if x is None:
             stack.pop()
         elif isinstance(x, str):
             if x.strip():
-                stray.append(x)
+                stray.append((x, seen))
         elif not visible(x):
             continue
         elif x.tag in ("td", "th"):
             if row is None:
                 rows.append(row := [])
-                stack[-1] = (children, row)
-            row.append(x)
+                stack[-1] = (children, row, seen)
+            row.append((x, seen))
         elif x.tag == "tr":
             if row is None:
                 rows.append(row := [])
-            stack.append((iter(x.children), row))
+            stack.append((iter(x.children), row, shown(x, seen)))
         elif x.tag in _SECTIONS:
-            stack.append((iter(x.children), None))
+            stack.append((iter(x.children), None, shown(x, seen)))
         elif x.tag == "caption":
-            captions.append(x)
+            captions.append((x, seen))
         elif id(x) in holders:
-            stack.append((iter(x.children), row))
+            stack.append((iter(x.children), row, shown(x, seen)))
         else:
-            stray.append(x)
+            stray.append((x, seen))
     return [r for r in rows if r], stray, captions
 
 
@@ -277,42 +298,79 @@ def _runs_on(cell: Node) -> bool:
     return True
 
 
-def _cells(row: list[Node], depth: int) -> list[list[str]]:
-    """The lines of each cell of a row."""
-    out = []
-    for c in row:
-        lines = render(c, depth).split("\n")
-        if len(lines) > 1 and len(row) > 1 and _runs_on(c):
-            lines = [" ".join(x for line in lines for x in line.split())]
-        out.append(lines)
-    return out
-
-
-def _aligned(rows: list[list[list[str]]]) -> list[str]:
-    """Cells as blocks of lines beside each other, padded to their column."""
-    width: dict[int, int] = {}
+def _span(node: Node, name: str) -> int:
+    """How many columns or rows a cell takes, within the standard's bounds; 0 rows are all that follow."""
+    value = node.attrs.get(name, "").strip()
+    n = int(value) if value.isascii() and value.isdigit() and len(value) < 9 else 1
+    return min(n, 65534) if name == "rowspan" else min(max(n, 1), 1000)
+
+
+def _grid(rows: list[list[Cell]], depth: int) -> list[list[tuple[int, int, list[str]]]]:
+    """By row, ascending: (first column, column behind the last, lines) of cells; a cell of several rows leaves its columns empty below the first."""
+    out, busy = [], {}  # column -> first row in which it is free again
+    for r, row in enumerate(rows):
+        placed, at = [], 0
+        for cell, seen in row:
+            while busy.get(at, 0) > r:
+                at += 1
+            end = at + 1
+            while end < at + _span(cell, "colspan") and busy.get(end, 0) <= r:
+                end += 1
+            down = _span(cell, "rowspan")
+            if down != 1:
+                busy |= dict.fromkeys(range(at, end), r + down if down else len(rows))
+            lines = render(cell, depth, seen).split("\n")
+            if len(lines) > 1 and len(row) > 1 and _runs_on(cell):
+                lines = [" ".join(x for line in lines for x in line.split())]
+            placed.append((at, end, lines))
+            at = end
+        out.append(placed)
+    # columns in which no cell begins belong to those before them
+    number = {c: i for i, c in enumerate(sorted({a for row in out for a, _, _ in row}))}
+    starts = sorted(number)
+    return [[(number[a], bisect.bisect_left(starts, b), lines) for a, b, lines in row] for row in out]
+
+
+SEPARATOR = " | "
+WIDEST = 200  # characters of a cell that its column is widened to at most; wider cells stick out
+
+
+def _aligned(rows: list[list[tuple[int, int, list[str]]]]) -> list[str]:
+    """Cells as blocks of lines beside each other, padded to their columns."""
+    n = max(b for row in rows for _, b, _ in row)
+    width, gap = [0] * n, len(SEPARATOR)
+    fits = lambda lines: max((len(x) for x in lines if len(x) <= WIDEST), default=0)
     for row in rows:
-        for i, c in enumerate(row[:-1]):
-            width[i] = max(width.get(i, 0), *map(len, c))
+        for a, b, lines in row:
+            if b == a + 1 and b < n:
+                width[a] = max(width[a], fits(lines))
+    for row in rows:
+        for a, b, lines in row:
+            if b > a + 1 and b < n:
+                width[b - 1] += max(0, fits(lines) - sum(width[a:b]) - gap * (b - a - 1))
     out = []
     for row in rows:
-        for k in range(max(map(len, row))):
-            line = [c[k] if k < len(c) else "" for c in row]
-            out.append(" | ".join(c.ljust(width.get(i, 0)) if i < len(row) - 1 else c for i, c in enumerate(line)).rstrip())
+        for k in range(max(len(lines) for _, _, lines in row)):
+            line, at = [], 0
+            for a, b, lines in row:
+                line += [" " * width[i] for i in range(at, a)]
+                line.append((lines[k] if k < len(lines) else "").ljust(sum(width[a:b]) + gap * (b - a - 1)))
+                at = b
+            out.append(SEPARATOR.join(line).rstrip())
     return out
 
 
 MAX_DEPTH = 200  # nested tables beyond that are laid out as plain blocks
 
 
-def render(root: Node, depth: int = 0) -> str:
-    """All visible text below a node."""
+def render(root: Node, depth: int = 0, seen: bool = True) -> str:
+    """All visible text below a node; ``seen`` tells whether text right around it is."""
     out = _Lines()
     lists: list[list] = []  # kind and next number
-    work: list[tuple] = [("open", root)]
+    work: list[tuple] = [("open", root, seen)]
     pre = 0
     while work:
-        what, node = work.pop()
+        what, node, seen = work.pop()
         if what == "close":
             tag = node.tag
             if tag in BLOCK:
@@ -328,6 +386,8 @@ def render(root: Node, depth: int = 0) -> str:
                 out.marker = ""
             continue
         if isinstance(node, str):
+            if not seen:
+                continue
             if pre:
                 out.verbatim(_html.unescape(node))
             else:
@@ -336,6 +396,7 @@ def render(root: Node, depth: int = 0) -> str:
         tag = node.tag
         if node is not root and not visible(node):
             continue
+        seen = shown(node, seen)
         if tag == "br":
             if out.line:
                 out.end()
@@ -346,10 +407,10 @@ def render(root: Node, depth: int = 0) -> str:
             out.end(True)
             continue
         if tag == "img":
-            out.text(node.attrs.get("alt", ""))
+            out.text(node.attrs.get("alt", "") if seen else "")
             continue
         if tag == "input":
-            if node.attrs.get("type", "text").lower() in ("submit", "button", "reset"):
+            if seen and node.attrs.get("type", "text").lower() in ("submit", "button", "reset"):
                 out.text(node.attrs.get("value", ""))
             continue
         if tag == "wbr":
@@ -357,18 +418,18 @@ def render(root: Node, depth: int = 0) -> str:
         if tag in BLOCK:
             out.end(tag in SPACED and not (len(lists) > 0 and tag in ("ul", "ol", "p")))
         if tag == "table" and node is not root and depth < MAX_DEPTH:
-            rows, stray, caption = _table_parts(node)
+            rows, stray, caption = _table_parts(node, seen)
             if rows:
-                for c in stray:  # what stands in a table outside its cells comes before it
+                for c, there in stray:  # what stands in a table outside its cells comes before it
                     holder = Node("div")
                     holder.children = [c]
-                    if text := render(holder, depth + 1):
+                    if text := render(holder, depth + 1, there):
                         out.verbatim(text)
                         out.end()
-                for c in caption:
-                    out.verbatim(render(c, depth + 1))
+                for c, there in caption:
+                    out.verbatim(render(c, depth + 1, there))
                     out.end()
-                for line in _aligned([_cells(row, depth + 1) for row in rows]):
+                for line in _aligned(_grid(rows, depth + 1)):
                     if line:
                         out.verbatim(" " * out.indent + line)
                         out.end()
@@ -393,8 +454,8 @@ def render(root: Node, depth: int = 0) -> str:
             if not lists:
                 out.indent = max(out.indent, 2)
             out.indent = max(out.indent, len(out.marker)) if len(lists) <= 1 else out.indent
-        work.append(("close", node))
-        work.extend(("open", c) for c in reversed(node.children))
+        work.append(("close", node, seen))
+        work.extend(("open", c, seen) for c in reversed(node.children))
     return out.done()
 
 
@@ -410,7 +471,7 @@ def extract_text(pages: DataFrame) -> DataFrame:
             for part in slices(batch, 64):
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array([page_text(x) for x in part.column(1).to_pylist()], pa.string())], ["page_id", "text"])
 
-    return pages.select(F.col("page_id").cast("bigint"), "html").mapInArrow(scan, "page_id bigint, text string")
+    return arrow(pages.select(F.col("page_id").cast("bigint"), "html"), scan, "page_id bigint, text string")
 
 
 def op4_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -1,6 +1,8 @@
 """HTML extraction and chat formatting."""
 
 import hashlib
+import random
+import time
 
 import pytest
 
@@ -13,7 +15,10 @@ PAGES = [
     ("<ol start=3><li>x<li>y</ol>", "3. x\n4. y"),
     ("<table><tr><th>Name<th>Age<tr><td>Al<td>3<tr><td>Barbara<td>44</table>", "Name    | Age\nAl      | 3\nBarbara | 44"),
     ("<table><td>no row<td>tag</table>", "no row | tag"),
-    ("a<div hidden>b</div><span style='display: none'>c</span><script>d</script><style>e</style><p aria-hidden=true>f</p>g", "a g".replace(" ", "\n") if False else "ag"),
+    ("a<div hidden>b</div><span style='display: none'>c</span><script>d</script><style>e</style><template>f</template>g", "ag"),
+    ("a<p aria-hidden=true>f</p>", "a\n\nf"),
+    ("<div style='visibility:hidden'>no<b style='visibility: visible'>yes</b>no<p style='visibility:collapse'>no</p></div>", "yes"),
+    ("<table style='visibility:hidden'><tr><td>no<td style='visibility:visible'>yes</table>", " | yes"),
     ("<pre>  k\n   l</pre>t", "  k\n   l\n\nt"),
     ("x &amp; y&nbsp;z &lt;b&gt;", "x & y z <b>"),
     ("<div>a</div><div>b</div>c", "a\nb\nc"),
@@ -48,6 +53,11 @@ TABLES = [
     ("<table><tr><td><table><tr><td>aa<td>b<tr><td>c<td>d</table></table>", "aa | b\nc  | d"),
     ("<table><tr><td><p>one<p>two<td>side</table>", "one | side\n    |\ntwo |"),
     ("<table><tr></tr></table>", ""),
+    ("<table><tr><td colspan=2>wide<td>c<tr><td>1<td>2<td>3</table>", "wide  | c\n1 | 2 | 3"),
+    ("<table><tr><td rowspan=2>tall<td>a<tr><td>b<tr><td>x<td>y</table>", "tall | a\n     | b\nx    | y"),
+    ("<table><tr><td colspan=2>a wide heading<td>c<tr><td>1<td>2<td>3</table>", "a wide heading | c\n1 | 2          | 3"),
+    ("<table><tr><td rowspan=0>all<td>a<tr><td>b<tr><td>c</table>", "all | a\n    | b\n    | c"),
+    ("<table><tr><td colspan=999999999 rowspan=x>a<td colspan=-1>b</table>", "a | b"),
 ]
 
 
@@ -60,6 +70,46 @@ def test_deep_wrappers_in_tables():
     assert page_text("<table>" + "<div>" * 5000 + "<tr><td>x").split() == ["x"]
 
 
+def random_page(rng):
+    """A malformed page, and the words in it that must be seen and those that must not."""
+    tags = "p div b i ul ol li table tr td th tbody thead caption form span h1 h2 pre blockquote dl dt dd select option a center section".split()
+    parts, seen, hidden, n, open_ = [], [], [], 0, []
+    for _ in range(rng.randrange(5, 60)):
+        k = rng.random()
+        if k < 0.35:
+            t = rng.choice(tags)
+            open_.append(t)
+            parts.append(f"<{t}{rng.choice(['', ' class=x', ' colspan=2', ' rowspan=3', ' title=\"a>b\"'])}>")
+        elif k < 0.55:
+            parts.append(f"</{rng.choice(open_ if open_ and rng.random() < 0.7 else tags)}>")
+        elif k < 0.9:
+            seen.append(f"word{n}x")
+            parts.append(f" word{n}x ")
+        else:
+            hidden.append(f"word{n}x")
+            parts.append(rng.choice(["<script>{}</script>", "<style>{}</style>", "<span hidden>{}</span>", "<i style='display:none'>{}</i>", "<!-- {} -->", "<template>{}</template>"]).format(f"word{n}x"))
+        n += 1
+    return "".join(parts), seen, hidden
+
+
+def test_no_visible_text_is_lost():
+    rng = random.Random(21)
+    for _ in range(3000):
+        page, seen, hidden = random_page(rng)
+        text = page_text(page)
+        assert all(text.count(w) == 1 for w in seen), page
+        assert not any(w in text for w in hidden), page
+
+
+def test_time_grows_with_the_page():
+    for page in ("</b>" * 100_000, "<b>" * 50_000 + "</i>" * 50_000, "<b><table><tr><td>" + "<div>" * 50_000 + "</b>" * 50_000, "<p>" * 100_000, "<li>" * 50_000 + "</ul>" * 50_000):
+        start = time.perf_counter()
+        assert page_text(page) == ""
+        assert time.perf_counter() - start < 3
+    rows = "<tr><td>" + "w" * 100_000 + "<td>b" + "<tr><td>a<td>b" * 5000
+    assert len(page_text(f"<table>{rows}</table>")) < 500_000  # one wide cell does not widen the column of all
+
+
 def test_deep_and_long():
     assert page_text("<div>" * 20_000 + "x") == "x"
     assert page_text("<table><tr><td>" * 400 + "x").count("x") == 1
