@@ -105,6 +105,11 @@ class Rows:
         return np.bincount(self.index, weights=self.value * np.repeat(errors, self.sizes()), minlength=size)
 
 
+def learnable(rows: Rows, least: int = MIN_ROWS) -> bool:
+    """Whether any feature stands in enough rows to count."""
+    return len(rows.index) > 0 and int(np.bincount(rows.index).max()) >= least
+
+
 def evidence(rows: Rows, y: np.ndarray, classes: int, least: int = MIN_ROWS) -> np.ndarray:
     """For each feature how much its presence tells of a class: the largest log ratio of its shares inside and outside a class.
 

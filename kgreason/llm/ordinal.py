@@ -7,8 +7,8 @@ every size); all documents are scored in Arrow batches.
 
 Defined results: null and empty texts have no features, score by the thresholds alone; repeated labels of a
 document are merged (lowest quality, highest toxicity); labels that are null are left out; of rows repeating a
-doc_id one trains the model, each is scored; without labels of two grades at least the model keeps everything with the
-top grade; an empty table gives an empty table; further columns pass through, one that has the name of an added
+doc_id one trains the model, each is scored; without labels of two grades, and a feature that stands in enough labelled rows, there is
+no model and everything is kept with the top grade; an empty table gives an empty table; further columns pass through, one that has the name of an added
 column as ``input_<name>``.
 """
 
@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import arrow, materialize, slices, spare, table
-from .features import Rows, Scorer, evidence, hashed, scaled
+from .features import Rows, Scorer, evidence, hashed, learnable, scaled
 
 MAX_ROWS = 12_000
 MAX_CELLS = 10_000_000  # features of all training rows together, 8 bytes each on the driver
@@ -141,7 +141,7 @@ def fit_ordinal(rows: Rows, grades: np.ndarray, n_grades: int = GRADES, epochs:
 
 def train(docs: DataFrame, labels: DataFrame, max_rows: int = MAX_ROWS, max_cells: int = MAX_CELLS) -> Ordinal | None:
     rows, grades = collect_rows(labelled_sample(docs, graded_labels(labels), max_rows, max_cells))
-    return fit_ordinal(rows, grades) if len(set(grades.tolist())) > 1 else None
+    return fit_ordinal(rows, grades) if len(set(grades.tolist())) > 1 and learnable(rows) else None
 
 
 ADDED = ("expected_grade", "tail_probability", "quality_kept")

@@ -5,7 +5,7 @@ features in all), a quarter of which is held back to calibrate its probability (
 are scored in Arrow batches against fixed thresholds.
 
 Defined results: null text has no words and fails the rules; repeated labels of a document are merged (lowest
-quality, highest toxicity); without labels of both kinds the regression keeps what the rules keep; repeated rows
+quality, highest toxicity); without labels of both kinds, and a feature that stands in enough labelled rows, the regression keeps what the rules keep; repeated rows
 are each scored; an empty table gives an empty table; further columns are ignored.
 """
 
@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import arrow, mix64, slices, table
-from .features import Rows, Scorer, evidence, scaled
+from .features import Rows, Scorer, evidence, learnable, scaled
 from .ordinal import MAX_CELLS, _sigmoid, collect_rows, graded_labels, labelled_sample
 
 MAX_ROWS = 12_000
@@ -141,7 +141,7 @@ def fit_logistic(rows: Rows, good: np.ndarray, epochs: int = 30, batch: int = 12
 def train(docs: DataFrame, labels: DataFrame, max_rows: int = MAX_ROWS, max_cells: int = MAX_CELLS) -> Logistic | None:
     rows, grades = collect_rows(labelled_sample(docs, graded_labels(labels), max_rows, max_cells))
     good = (grades == 2).astype(np.float64)
-    return fit_logistic(rows, good) if 0 < good.sum() < len(good) else None
+    return fit_logistic(rows, good) if 0 < good.sum() < len(good) and learnable(rows) else None
 
 
 def apply_rules(docs: DataFrame, model: Logistic | None, min_probability: float = MIN_PROBABILITY) -> DataFrame:

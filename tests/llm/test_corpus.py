@@ -384,3 +384,36 @@ def test_pipeline(spark, sf):
         docs = out
     packed = p.run(spark, sf)
     assert {r["doc_id"] for r in packed.collect()} == {r["doc_id"] for r in docs.collect()}
+
+
+def test_pipeline_stages_on_odd_rows(spark, folder):
+    """Null, empty, repeated and very long texts, null ids, other columns of clashing names: each stage alone, then all of them, then on an empty table."""
+    import corpus_pipeline as p
+
+    text = "some words of a text that is long enough to be a text of its own kind"
+    rows = [(1, text), (1, text), (2, None), (3, ""), (None, text + " and more"), (None, None), (4, "word " * 300_000), (5, ITEMS[0][1])]
+    sf = folder(rows, [(1, 1, 0), (5, 0, 1), (None, 1, 0), (2, None, None)], ITEMS)
+    docs = table(spark, sf, "documents").withColumnsRenamed({"lang": "quality_kept", "source": "N_LINES"})
+    expected = {"line_dedup": [1, 1, 2, 3, 4, 5, None, None], "minhash_near_dedup": [1, 2, 3, 4, 5, None], "benchmark_decontamination": [1, 1, 2, 3, 4, None, None]}
+    for name, stage in p.STAGES[:-1]:
+        out = stage(spark, docs, sf)
+        assert out.columns == docs.columns and dict(out.dtypes) == dict(docs.dtypes)
+        ids = [r["doc_id"] for r in out.collect()]
+        if name in expected:
+            assert sorted(ids, key=repr) == sorted(expected[name], key=repr), name
+        else:
+            assert set(ids) <= {1, 2, 3, 4, 5, None}
+    pieces = p.packing_stage(spark, docs, sf).collect()
+    assert sum(r["piece"] == 0 for r in pieces) == len(rows)
+    assert p.run(spark, folder([], [], [])).count() == 0
+    assert p.run(spark, sf).count() > 0
+
+
+def test_packing_of_other_pieces(spark):
+    pieces = spark.createDataFrame([(5, "a", 1), (2043, "b", 2), (2048, "c", 3), (5, "a", 1)], "length int, name string, offset int")
+    out = packing.pack(pieces)
+    assert out.columns == ["length", "name", "input_offset", "sequence_id", "offset"]
+    assert len({r["sequence_id"] for r in out.collect()}) == 3
+    for wrong in (0, 2049, None):
+        with pytest.raises(Exception, match="length outside"):
+            packing.pack(spark.createDataFrame([(wrong,)], "length int")).collect()
