@@ -280,7 +280,9 @@ def _linked(docs: DataFrame, work: Scratch, bands: int, rows: int, threshold: in
     shared = buckets.groupBy("key").agg(F.min("id").alias("lo"), F.max("id").alias("hi")).where("lo <> hi").select("key")
     members = work.write(buckets.join(shared, "key").select("key", "id", "n").distinct(), "members")
     labels = work.write(members.select("id").distinct().withColumn("label", F.col("id")), "labels")
-    sets = work.write(_sets(docs, named.join(labels.select("id"), "id", "left_semi"), repeated), "sets")
+    # written, so that its size is known before the texts are joined with it
+    wanted = work.write(named.join(labels.select("id"), "id", "left_semi"), "wanted")
+    sets = work.write(_sets(docs, wanted, repeated), "sets")
     # First each member with one partner: the smallest id that it shares a bucket with.
     lows = members.groupBy("key").agg(F.min("id").alias("a"))
     pairs = members.join(lows, "key").where("a <> id").groupBy(F.col("id").alias("b")).agg(F.min("a").alias("a")).select("a", "b")
