@@ -131,6 +131,21 @@ def relation_vectors(triples: DataFrame, vectors: DataFrame, dim: int, numeric:
     return summed.select("r", F.array(*cells).alias("vec"))
 
 
+def relation_vectors_of_members(members: DataFrame, dim: int, numeric: Numeric = Numeric()) -> DataFrame:
+    """(r, vec): the mean of vec(t) - vec(h) from the ends of the relations, (r, end, eid, degree, vec), all of which have vectors.
+
+    A sum over edges of a vector at one end is the sum over entities of degree times vector: entities are joined with vectors once, edges never.
+    """
+    signed = F.when(F.col("end") == "t", F.col("degree")).otherwise(-F.col("degree"))
+    sums = []
+    for i in range(dim):
+        d = F.col("vec")[i] * signed
+        sums.append(F.sum(d.cast("decimal(38,0)") if numeric.mode == "fixed" else d).alias(f"s{i}"))
+    summed = members.groupBy("r").agg(F.sum(F.when(F.col("end") == "t", F.col("degree")).otherwise(0)).alias("n"), *sums)
+    cells = [F.expr(f"cast((s{i} - pmod(s{i}, n)) div n as bigint)") if numeric.mode == "fixed" else F.col(f"s{i}") / F.col("n") for i in range(dim)]
+    return summed.select("r", F.array(*cells).alias("vec"))
+
+
 def vector_of(vectors: DataFrame, etype: str, key: int) -> DataFrame:
     """One row (vec), or none."""
     code_of(etype)

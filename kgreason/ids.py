@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from .session import Scratch
+
 SPAN = 10**12
 
 # Type codes, and the offsets by which types are bound to vectors.
@@ -40,13 +42,18 @@ def code_column(column: str | Column) -> Column:
     return F.expr(f"{column} div {SPAN}") if isinstance(column, str) else (column - column % F.lit(SPAN)) / F.lit(SPAN)
 
 
-def dense_keys(df: DataFrame, column: str) -> DataFrame:
-    """(column, key): keys 0, 1, ... of the sorted distinct strings, without sorting them in one task.
+def dense_keys(df: DataFrame, column: str, wide: bool = False) -> DataFrame:
+    """(column, key): keys 0, 1, ... of the sorted distinct strings.
 
-    Strings are numbered within their first four characters; what precedes each such prefix comes from the counts of prefixes, a table far smaller than the strings.
+    Enumerations (types, languages, segments) are numbered by one window.  ``wide`` is for strings that grow with the data: they are sorted by range
+    into a table, whatever prefixes they share, and numbered within their part of it; what precedes a part comes from the counts of parts.
     """
-    distinct = df.select(column).where(F.col(column).isNotNull()).distinct().withColumn("__prefix", F.substring(column, 1, 4))
-    counts = distinct.groupBy("__prefix").agg(F.count("*").alias("__n"))
-    before = counts.select("__prefix", (F.sum("__n").over(Window.orderBy("__prefix")) - F.col("__n")).alias("__before"))
-    number = F.row_number().over(Window.partitionBy("__prefix").orderBy(column))
-    return distinct.withColumn("__number", number).join(before, "__prefix").select(column, (F.col("__before") + F.col("__number") - 1).cast("bigint").alias("key"))
+    distinct = df.select(column).where(F.col(column).isNotNull()).distinct()
+    if not wide:
+        return distinct.withColumn("key", (F.row_number().over(Window.orderBy(column)) - 1).cast("bigint"))
+    # written, as each run of a sort by range draws its bounds anew
+    placed = distinct.repartitionByRange(column).sortWithinPartitions(column).withColumn("__at", F.monotonically_increasing_id())
+    placed = Scratch(df.sparkSession).write(placed, "keys").withColumn("__part", F.shiftright("__at", 33))
+    counts = placed.groupBy("__part").agg(F.count("*").alias("__n"))  # a row for each partition
+    before = counts.select("__part", (F.sum("__n").over(Window.orderBy("__part")) - F.col("__n")).alias("__before"))
+    return placed.join(F.broadcast(before), "__part").select(column, (F.col("__before") + F.col("__at").bitwiseAND(F.lit(2**33 - 1))).cast("bigint").alias("key"))

@@ -7,14 +7,18 @@ from dataclasses import dataclass, field
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..functions.vectors import Numeric, load_entity_vectors, relation_vectors
+from ..functions.vectors import Numeric, load_entity_vectors, relation_vectors, relation_vectors_of_members
 from ..ids import code_column
 from ..sources.tables import Tables, build_triples
 
 
 @dataclass
 class KnowledgeGraph:
-    """Triples (r, h_type, h, t_type, t), entity vectors (eid, vec), relation vectors (r, vec)."""
+    """Triples (r, h_type, h, t_type, t), entity vectors (eid, vec), relation vectors (r, vec), and the roles in them.
+
+    members, (r, end, eid, degree, vec), are the entities at either end of each relation with their vectors, from which a question scans the role it asks of;
+    a graph without them finds a role among its triples.
+    """
 
     triples: DataFrame
     vectors: DataFrame
@@ -22,6 +26,20 @@ class KnowledgeGraph:
     dim: int = 8
     numeric: Numeric = field(default_factory=Numeric)
     gamma: float = 1.0
+    members: DataFrame | None = None
+    _entities: int | None = None
+
+    def role(self, relation: str, end: str = "t") -> DataFrame:
+        """(eid[, vec]): distinct entities at one end of a relation."""
+        if self.members is None:
+            return role_members(self.triples, relation, end)
+        return self.members.where((F.col("r") == relation) & (F.col("end") == end)).select("eid", "vec")
+
+    def entity_count(self) -> int:
+        """Entities with vectors, counted once."""
+        if self._entities is None:
+            self._entities = self.vectors.count()
+        return self._entities
 
     @property
     def spark(self) -> SparkSession:
@@ -36,18 +54,35 @@ def entities_of(triples: DataFrame) -> DataFrame:
     return triples.select(F.col("h").alias("eid")).union(triples.select(F.col("t").alias("eid"))).distinct()
 
 
+def _relation_vectors(triples: DataFrame, vectors: DataFrame, members: DataFrame, dim: int, binding: str, numeric: Numeric, method: str) -> DataFrame:
+    if method == "mean" and binding == "composed":  # every entity has a vector
+        return relation_vectors_of_members(members, dim, numeric)
+    return relation_vectors(triples, vectors, dim, numeric, method)
+
+
 def open_graph(spark: SparkSession, sf_dir: str, relations: list[str], dim: int = 8, binding: str = "composed", numeric: Numeric = Numeric(), method: str = "mean", gamma: float = 1.0) -> KnowledgeGraph:
     """The graph of the named relations of the given tables, with derived relation vectors."""
-    triples = build_triples(spark, sf_dir, relations)
-    vectors = load_entity_vectors(entities_of(triples), Tables(spark, sf_dir).embeddings, dim, binding, numeric)
-    return KnowledgeGraph(triples, vectors, relation_vectors(triples, vectors, dim, numeric, method), dim, numeric, gamma)
+    triples, embeddings = build_triples(spark, sf_dir, relations), Tables(spark, sf_dir).embeddings
+    vectors = load_entity_vectors(entities_of(triples), embeddings, dim, binding, numeric)
+    ends = degrees(triples)
+    members = ends.join(load_entity_vectors(ends.select("eid").distinct(), embeddings, dim, binding, numeric), "eid")
+    return KnowledgeGraph(triples, vectors, _relation_vectors(triples, vectors, members, dim, binding, numeric, method), dim, numeric, gamma)
+
+
+def _write_vectors(vectors: DataFrame, path: str) -> None:
+    vectors.repartitionByRange("eid").sortWithinPartitions("eid").write.mode("overwrite").parquet(f"{path}/vectors")
+
+
+def _write_members(members: DataFrame, path: str) -> None:
+    members.select("r", "end", "eid", "degree", "vec").write.mode("overwrite").partitionBy("r", "end").parquet(f"{path}/members")
 
 
 def save_graph(kg: KnowledgeGraph, path: str) -> None:
-    """Writes the graph's tables: triples in a folder per relation (a question reads only its own), vectors in id order, so
+    """Writes the graph's tables: triples and roles in a folder per relation (a question reads only its own), vectors in id order, so
     that a lookup of one entity skips all row groups but one."""
     kg.triples.write.mode("overwrite").partitionBy("r").parquet(f"{path}/triples")
-    kg.vectors.repartitionByRange("eid").sortWithinPartitions("eid").write.mode("overwrite").parquet(f"{path}/vectors")
+    _write_vectors(kg.vectors, path)
+    _write_members(kg.members if kg.members is not None else degrees(kg.triples).join(kg.vectors, "eid", "left"), path)
     kg.relations.coalesce(1).write.mode("overwrite").parquet(f"{path}/relations")
 
 
@@ -56,17 +91,21 @@ def load_graph(spark: SparkSession, path: str, dim: int = 8, numeric: Numeric =
     triples = spark.read.schema("h_type string, h bigint, t_type string, t bigint, r string").parquet(f"{path}/triples")
     vectors = spark.read.schema(f"eid bigint, vec array<{element}>").parquet(f"{path}/vectors")
     relations = spark.read.schema(f"r string, vec array<{element}>").parquet(f"{path}/relations")
-    return KnowledgeGraph(triples.select("r", "h_type", "h", "t_type", "t"), vectors, relations, dim, numeric, gamma)
+    members = spark.read.schema(f"eid bigint, degree bigint, vec array<{element}>, r string, end string").parquet(f"{path}/members")
+    return KnowledgeGraph(triples.select("r", "h_type", "h", "t_type", "t"), vectors, relations, dim, numeric, gamma, members)
 
 
 def build_graph(spark: SparkSession, sf_dir: str, path: str, relations: list[str], dim: int = 8, binding: str = "composed", numeric: Numeric = Numeric(), method: str = "mean", gamma: float = 1.0) -> KnowledgeGraph:
-    """open_graph through files: triples first, vectors of their entities next, relation vectors last, each from what is written."""
+    """open_graph through files: triples first, then the ends of relations with their degrees, vectors of their entities, roles with vectors, and relation vectors, each from what is written."""
     build_triples(spark, sf_dir, relations).write.mode("overwrite").partitionBy("r").parquet(f"{path}/triples")
     triples = spark.read.schema("h_type string, h bigint, t_type string, t bigint, r string").parquet(f"{path}/triples")
-    vectors = load_entity_vectors(entities_of(triples), Tables(spark, sf_dir).embeddings, dim, binding, numeric)
-    vectors.repartitionByRange("eid").sortWithinPartitions("eid").write.mode("overwrite").parquet(f"{path}/vectors")
+    degrees(triples).write.mode("overwrite").parquet(f"{path}/ends")
+    ends = spark.read.schema("r string, end string, eid bigint, degree bigint").parquet(f"{path}/ends")
+    _write_vectors(load_entity_vectors(ends.select("eid").distinct(), Tables(spark, sf_dir).embeddings, dim, binding, numeric), path)
     vectors = spark.read.schema(f"eid bigint, vec array<{numeric.element}>").parquet(f"{path}/vectors")
-    relation_vectors(triples, vectors, dim, numeric, method).coalesce(1).write.mode("overwrite").parquet(f"{path}/relations")
+    _write_members(ends.join(vectors, "eid", "left"), path)
+    members = spark.read.schema(f"eid bigint, degree bigint, vec array<{numeric.element}>, r string, end string").parquet(f"{path}/members")
+    _relation_vectors(triples, vectors, members, dim, binding, numeric, method).coalesce(1).write.mode("overwrite").parquet(f"{path}/relations")
     return load_graph(spark, path, dim, numeric, gamma)
 
 
@@ -109,8 +148,9 @@ def degrees(triples: DataFrame) -> DataFrame:
 
 
 def relation_profile(triples: DataFrame) -> DataFrame:
-    """(r, edges, heads, tails)."""
-    return triples.groupBy("r").agg(F.count("*").alias("edges"), F.countDistinct("h").alias("heads"), F.countDistinct("t").alias("tails"))
+    """(r, edges, heads, tails), from the degrees at either end: two distinct counts at once would copy every edge for each."""
+    at = lambda end, value: F.sum(F.when(F.col("end") == end, value).otherwise(0)).cast("bigint")
+    return degrees(triples).groupBy("r").agg(at("h", F.col("degree")).alias("edges"), at("h", F.lit(1)).alias("heads"), at("t", F.lit(1)).alias("tails"))
 
 
 def graph_profile(kg: KnowledgeGraph) -> DataFrame:

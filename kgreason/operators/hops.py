@@ -17,7 +17,7 @@ from ..functions.scoring import compose, or_minus_infinity, translation_score
 from ..session import ship
 from .graph import KnowledgeGraph
 from .lookup import lookup_vectors
-from .topk import check_k, topk, topk_grouped, topk_native
+from .topk import TREE_FROM, check_k, topk, topk_grouped, topk_native
 
 CANDIDATES = ("role", "linked", "unlinked")
 COMBINE = ("replace", "sum", "min", "keep_first")
@@ -29,6 +29,10 @@ def _one_of(name: str, value: str, known: tuple[str, ...]) -> None:
         raise ValueError(f"unknown {name} {value!r}; known: {', '.join(known)}")
 
 
+def _vec(df: DataFrame) -> list[str]:
+    return ["vec"] if "vec" in df.columns else []
+
+
 def composite_of(kg: KnowledgeGraph, anchor: int, relation: str) -> DataFrame:
     """One row (comp): vector of anchor + relation."""
     head = kg.vectors.where(F.col("eid") == anchor).select(F.col("vec").alias("hv"))
@@ -40,20 +44,24 @@ def score_column(kg: KnowledgeGraph, impl: str = "auto", norm: int = 1) -> Colum
     return or_minus_infinity(translation_score(F.col("comp"), F.col("vec"), kg.dim, kg.numeric, kg.gamma, norm, impl))
 
 
-def anchor_scores(kg: KnowledgeGraph, anchor: int, relation: str, role: DataFrame, candidates: str = "role", missing: str = "drop", impl: str = "auto") -> DataFrame:
-    """(eid, score) of every candidate of a role, before any list is cut."""
+def anchor_scores(kg: KnowledgeGraph, anchor: int, relation: str, role: DataFrame, candidates: str = "role", missing: str = "drop", impl: str = "auto", keep: bool = False) -> DataFrame:
+    """(eid, score[, vec]) of every candidate of a role, before any list is cut."""
     _one_of("candidates", candidates, CANDIDATES)
-    own = role.select("eid")
+    own = role.select("eid", *_vec(role))
     if candidates != "role":
         linked = kg.edges(relation).where(F.col("h") == anchor).select(F.col("t").alias("eid"))
         own = own.join(linked, "eid", "left_semi" if candidates == "linked" else "left_anti")
     placed = lookup_vectors(own, kg.vectors, missing=missing)
-    return placed.crossJoin(F.broadcast(composite_of(kg, anchor, relation))).select("eid", score_column(kg, impl).alias("score"))
+    return placed.crossJoin(F.broadcast(composite_of(kg, anchor, relation))).select("eid", score_column(kg, impl).alias("score"), *(["vec"] if keep else []))
 
 
-def anchor_hop(kg: KnowledgeGraph, anchor: int, relation: str, role: DataFrame, k: int, candidates: str = "role", missing: str = "drop", form: str = "auto", fan_in: int = 2, workers: int | None = None, impl: str = "auto") -> DataFrame:
-    """(eid, score, rank): the K best of a role for (anchor, relation)."""
-    return topk(anchor_scores(kg, anchor, relation, role, candidates, missing, impl), check_k(k), form, fan_in, workers)
+def anchor_hop(kg: KnowledgeGraph, anchor: int, relation: str, role: DataFrame, k: int, candidates: str = "role", missing: str = "drop", form: str = "auto", fan_in: int = 2, workers: int | None = None, impl: str = "auto", keep: bool = False) -> DataFrame:
+    """(eid, score, rank): the K best of a role for (anchor, relation).
+
+    keep hands their vectors on as ``vec``, where the list is Spark's own, so that later hops need not look them up.
+    """
+    native = form == "native" or form == "auto" and (workers or 0) < TREE_FROM
+    return topk(anchor_scores(kg, anchor, relation, role, candidates, missing, impl, keep and native), check_k(k), form, fan_in, workers)
 
 
 def anchor_hop_pruned(kg: KnowledgeGraph, anchor: int, relation: str, role: DataFrame, k: int, prefix: int = 2, share: float = 0.05) -> DataFrame:
@@ -74,7 +82,7 @@ def anchor_hop_pruned(kg: KnowledgeGraph, anchor: int, relation: str, role: Data
     return topk_native(left.select("eid", score_column(kg).alias("score")), k)
 
 
-def rerank_hop(kg: KnowledgeGraph, previous: DataFrame, anchor: int, relation: str, k2: int, combine: str = "replace", missing: str = "drop") -> DataFrame:
+def rerank_hop(kg: KnowledgeGraph, previous: DataFrame, anchor: int, relation: str, k2: int, combine: str = "replace", missing: str = "drop", keep: bool = False) -> DataFrame:
     """(eid, score, rank): survivors in the order of a second anchor; k2 below their number also filters.
 
     Survivors that were scored with ``drop`` all have vectors, so their K rows are broadcast to the vectors; only with ``neg_inf`` an outer join is needed.
@@ -82,13 +90,14 @@ def rerank_hop(kg: KnowledgeGraph, previous: DataFrame, anchor: int, relation: s
     combine: the new score alone, sum or minimum of both, or the first score kept while the order is that of the new one.
     """
     _one_of("combine", combine, COMBINE)
-    own = previous.select("eid", F.col("score").alias("first"))
-    placed = lookup_vectors(F.broadcast(own) if missing == "drop" else own, kg.vectors, missing=missing)
+    own = previous.select("eid", F.col("score").alias("first"), *_vec(previous))
+    placed = lookup_vectors(F.broadcast(own) if missing == "drop" and not _vec(previous) else own, kg.vectors, missing=missing)
     placed = placed.crossJoin(F.broadcast(composite_of(kg, anchor, relation)))
-    both = placed.select("eid", "first", score_column(kg).alias("second"))
+    kept = ["vec"] if keep else []
+    both = placed.select("eid", "first", score_column(kg).alias("second"), *kept)
     score = {"replace": F.col("second"), "sum": F.col("first") + F.col("second"), "min": F.least("first", "second"), "keep_first": F.col("second")}[combine]
-    best = topk_native(both.select("eid", "first", score.alias("score")), check_k(k2))
-    return best.select("eid", (F.col("first") if combine == "keep_first" else F.col("score")).alias("score"), "rank")
+    best = topk_native(both.select("eid", "first", score.alias("score"), *kept), check_k(k2))
+    return best.select("eid", (F.col("first") if combine == "keep_first" else F.col("score")).alias("score"), "rank", *kept)
 
 
 def expansion_scores(kg: KnowledgeGraph, heads: DataFrame, relation: str, role: DataFrame, candidates: str = "role", missing: str = "drop", impl: str = "auto", k: int | None = None, bound_share: float = 0.0) -> DataFrame:
@@ -99,8 +108,9 @@ def expansion_scores(kg: KnowledgeGraph, heads: DataFrame, relation: str, role:
     """
     _one_of("candidates", candidates, CANDIDATES)
     rel = kg.relations.where(F.col("r") == relation).select(F.col("vec").alias("rv"))
-    comps = lookup_vectors(F.broadcast(heads.select("eid")), kg.vectors).crossJoin(F.broadcast(rel)).select(F.col("eid").alias("head"), compose("vec", "rv").alias("comp"))
-    placed = lookup_vectors(role.select("eid"), kg.vectors, missing=missing)
+    own = heads.select("eid", *_vec(heads))
+    comps = lookup_vectors(own if _vec(heads) else F.broadcast(own), kg.vectors).crossJoin(F.broadcast(rel)).select(F.col("eid").alias("head"), compose("vec", "rv").alias("comp"))
+    placed = lookup_vectors(role.select("eid", *_vec(role)), kg.vectors, missing=missing)
     if candidates == "linked":
         links = kg.edges(relation).select(F.col("h").alias("head"), F.col("t").alias("eid"))
         pairs = links.join(F.broadcast(comps), "head").join(placed, "eid")
@@ -131,10 +141,13 @@ def shape_output(per_head: DataFrame, k: int, output: str) -> DataFrame:
     return topk_native(per_head.groupBy("eid").agg(F.max("score").alias("score")), k).select("eid", "score", "rank")
 
 
-def expand_hop(kg: KnowledgeGraph, heads: DataFrame, relation: str, role: DataFrame, k: int, candidates: str = "role", output: str = "per_head", missing: str = "drop", impl: str = "auto", bound_share: float = 0.0) -> DataFrame:
-    """The K best candidates of each survivor, shaped as asked."""
+def expand_hop(
+    kg: KnowledgeGraph, heads: DataFrame, relation: str, role: DataFrame, k: int, candidates: str = "role", output: str = "per_head", missing: str = "drop", impl: str = "auto", bound_share: float = 0.0,
+    form: str = "native", fan_in: int = 2, workers: int | None = None,
+) -> DataFrame:
+    """The K best candidates of each survivor, shaped as asked; form, fan_in and workers say how the lists of a survivor are merged."""
     scored = expansion_scores(kg, heads, relation, role, candidates, missing, impl, k, bound_share)
-    return shape_output(topk_grouped(scored, check_k(k), ["head"]), k, output)
+    return shape_output(topk_grouped(scored, check_k(k), ["head"], form, fan_in, workers), k, output)
 
 
 def expand_hop_loop(kg: KnowledgeGraph, heads: list[int], relation: str, role: DataFrame, k: int) -> DataFrame:

@@ -11,12 +11,14 @@ STRATEGIES = {"auto": None, "broadcast": "broadcast", "shuffle_hash": "shuffle_h
 def lookup_vectors(ids: DataFrame, vectors: DataFrame, strategy: str = "auto", missing: str = "drop") -> DataFrame:
     """(…, vec) of rows with ``eid``; missing vectors are dropped, or null with ``neg_inf`` (they then score minus infinity).
 
-    auto leaves the choice to Spark, which broadcasts by measured size; the others are hints, for comparison.
+    Rows that bring their vectors along, as the roles of a graph from files do, are not looked up.  auto leaves the choice to Spark, which broadcasts by measured size; the others are hints, for comparison.
     """
     if strategy not in STRATEGIES:
         raise ValueError(f"unknown strategy {strategy!r}; known: {', '.join(STRATEGIES)}")
     if missing not in ("drop", "neg_inf"):
         raise ValueError("missing must be 'drop' or 'neg_inf'")
+    if "vec" in ids.columns:  # a role that the graph keeps with its vectors
+        return ids.where(F.col("vec").isNotNull()) if missing == "drop" else ids
     right = vectors.hint(STRATEGIES[strategy]) if STRATEGIES[strategy] else vectors
     return ids.join(right, "eid", "inner" if missing == "drop" else "left")
 

@@ -11,7 +11,7 @@ import math
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -38,24 +38,50 @@ def topk_native(scored: DataFrame, k: int) -> DataFrame:
     return best.withColumn("rank", F.row_number().over(Window.orderBy(*_order())))
 
 
-def topk_grouped(scored: DataFrame, k: int, keys: list[str]) -> DataFrame:
-    """K best of each key; the rank bound lets Spark cut lists before the shuffle."""
-    if check_k(k) > WINDOW_LIMIT:
+def topk_grouped(scored: DataFrame, k: int, keys: list[str], form: str = "native", fan_in: int = 2, workers: int | None = None) -> DataFrame:
+    """K best of each key; the rank bound lets Spark cut lists before the shuffle.
+
+    heap_tree merges the lists of each key in rounds, so that no task sees more than fan_in lists of a key however many tasks there are; native and
+    heap_funnel bring the lists of a key together at once; shared_list brings all of its rows together.
+    """
+    check_k(k)
+    if form == "shared_list":
+        all_ = scored.groupBy(*keys).agg(F.sort_array(F.collect_list(F.struct(F.col("score"), (-F.col("eid")).alias("minus"))), asc=False).alias("all"))
+        cut = all_.select(*keys, F.posexplode(F.slice("all", 1, k)).alias("at", "x"))
+        return cut.select(*keys, (-F.col("x.minus")).alias("eid"), F.col("x.score").alias("score"), (F.col("at") + 1).alias("rank"))
+    if form == "heap_tree":
+        return publish(merge_tree(private_lists(scored, k, keys, workers), k, fan_in, keys, workers), keys)
+    if form not in ("auto", "native", "heap_funnel"):
+        raise ValueError(f"form {form!r} does not go by key")
+    if k > WINDOW_LIMIT:
         return publish(merge_funnel(topk_local(scored, k, keys), k, keys), keys)
     w = Window.partitionBy(*keys).orderBy(*_order())
     return scored.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k)
 
 
+def _workers(df: DataFrame, workers: int | None) -> int:
+    """So many as are named; else as the session shuffles to."""
+    return workers or int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+
+
+def private_lists(scored: DataFrame, k: int, keys: list[str] | None = None, workers: int | None = None) -> DataFrame:
+    """Rows with the number of the task that scored them as ``worker`` (folded to so many workers); no row moves for that.
+
+    Up to WINDOW_LIMIT the first merge cuts each task's rows to K a key before its shuffle; above, Arrow heaps do so here.
+    """
+    if check_k(k) > WINDOW_LIMIT:
+        return topk_local(scored, k, keys, workers)
+    return scored.select(*(keys or []), "eid", "score").withColumn("worker", F.spark_partition_id() % F.lit(_workers(scored, workers)))
+
+
 def topk_local(scored: DataFrame, k: int, keys: list[str] | None = None, workers: int | None = None) -> DataFrame:
-    """Bounded list of each worker and key, with the worker's number as ``worker``; memory is K rows a key, not the partition.
+    """Bounded list of each task and key, through Arrow, with the task's number (folded to so many workers) as ``worker``.
 
-    workers deals the rows anew by hash of the id; otherwise a worker is a partition as it comes.
+    A task holds K rows for each key that it meets, so the keys that meet in a task bound its memory; the engine's are heads, of which there are K.
     """
     keys = keys or []
     check_k(k)
-    if workers:
-        scored = scored.repartition(workers, F.xxhash64("eid"))
-    names = [*keys, "eid", "score"]
+    names, folded = [*keys, "eid", "score"], _workers(scored, workers)
     schema = T.StructType([T.StructField("worker", T.IntegerType()), *[T.StructField(f.name, f.dataType) for f in scored.select(*names).schema]])
 
     def best(table: pa.Table) -> pa.Table:
@@ -72,7 +98,7 @@ def topk_local(scored: DataFrame, k: int, keys: list[str] | None = None, workers
     def scan(batches):
         from pyspark import TaskContext
 
-        worker, kept = TaskContext.get().partitionId(), None
+        worker, kept = TaskContext.get().partitionId() % folded, None
         for batch in batches:
             own = best(pa.Table.from_batches([batch]))
             kept = own if kept is None else best(pa.concat_tables([kept, own]))
@@ -94,23 +120,20 @@ def merge_rounds(workers: int, fan_in: int) -> int:
 
 
 def merge_tree(local: DataFrame, k: int, fan_in: int = 2, keys: list[str] | None = None, workers: int | None = None) -> DataFrame:
-    """Merges lists in rounds of fan_in; a task never sees more than fan_in * K rows of a key."""
+    """Merges lists in rounds of fan_in; a task never sees more than fan_in * K rows of a key and worker, in the first round of as many tasks as share a number."""
     keys = keys or []
-    workers = workers or local.rdd.getNumPartitions()
-    for _ in range(merge_rounds(workers, fan_in)):
-        local = local.withColumn("worker", F.expr(f"worker div {fan_in}"))
+    rounds = merge_rounds(_workers(local, workers), fan_in)
+    for _ in range(max(1, rounds)):
+        local = local.withColumn("worker", F.expr(f"cast(worker div {fan_in} as int)") if rounds else F.lit(0))
         w = Window.partitionBy(*keys, "worker").orderBy(*_order())
         local = local.withColumn("__r", F.row_number().over(w)).where(F.col("__r") <= k).drop("__r")
     return local.drop("worker")
 
 
 def merge_funnel(local: DataFrame, k: int, keys: list[str] | None = None) -> DataFrame:
-    """All lists into one reducer a key."""
-    keys = keys or []
-    if keys:
-        w = Window.partitionBy(*keys).orderBy(*_order())
-        return local.drop("worker").withColumn("__r", F.row_number().over(w)).where(F.col("__r") <= k).drop("__r")
-    return local.drop("worker").repartition(1).sortWithinPartitions(*_order()).limit(k)
+    """All lists into one reducer a key; the rank bound cuts each task's rows before."""
+    w = Window.partitionBy(*(keys or [])).orderBy(*_order())
+    return local.drop("worker").withColumn("__r", F.row_number().over(w)).where(F.col("__r") <= k).drop("__r")
 
 
 def publish(merged: DataFrame, keys: list[str] | None = None) -> DataFrame:
@@ -133,12 +156,14 @@ def topk_shared_list(scored: DataFrame, k: int, max_rows: int | None = 50_000_00
 
 
 def topk_full_sort(scored: DataFrame, k: int) -> DataFrame:
-    """The baseline with a sort of all rows by range; ranks come from counts of the sorted partitions."""
-    check_k(k)
+    """The baseline with a sort of all rows by range.
+
+    A row's number in the sorted order is that of its partition and its place there, which no limit can be pushed below; of each partition the first K are ranked.
+    """
     whole = scored.sort(*_order()).withColumn("__at", F.monotonically_increasing_id())
-    # the id rises with the sort order, and its rank is asked for without a bound, so that no limit is pushed below the sort
-    ranked = whole.withColumn("__all", F.count("*").over(Window.orderBy("__at").rowsBetween(Window.unboundedPreceding, 0)))
-    return ranked.where(F.col("__all") <= k).withColumn("rank", F.col("__all").cast("int")).drop("__at", "__all")
+    place = F.col("__at").bitwiseAND(F.lit(2**33 - 1))
+    ranked = whole.where(place < check_k(k)).withColumn("rank", F.row_number().over(Window.orderBy("__at")))
+    return ranked.where(F.col("rank") <= k).drop("__at")
 
 
 def topk(scored: DataFrame, k: int, form: str = "auto", fan_in: int = 2, workers: int | None = None) -> DataFrame:
@@ -147,9 +172,9 @@ def topk(scored: DataFrame, k: int, form: str = "auto", fan_in: int = 2, workers
     if form == "native":
         return topk_native(scored, k)
     if form == "heap_tree":
-        return publish(merge_tree(topk_local(scored, k, workers=workers), k, fan_in, workers=workers))
+        return publish(merge_tree(private_lists(scored, k, workers=workers), k, fan_in, workers=workers))
     if form == "heap_funnel":
-        return publish(merge_funnel(topk_local(scored, k, workers=workers), k))
+        return publish(merge_funnel(private_lists(scored, k, workers=workers), k))
     if form == "shared_list":
         return topk_shared_list(scored, k)
     if form == "full_sort":

@@ -129,10 +129,13 @@ def hop3_ctes(q: ThreeHopQuery, dim: int = 8) -> list[str]:
         "linked": f" and exists (select 1 from triples x where x.r = '{q.relation3}' and x.h = c.head and x.t = o.eid)",
         "unlinked": f" and not exists (select 1 from triples x where x.r = '{q.relation3}' and x.h = c.head and x.t = o.eid)",
     }[q.candidates3]
+    join, score = "join", _score("c.comp", "v.vec", dim)
+    if q.missing != "drop":
+        join, score = "left join", f"case when v.vec is null then cast('-inf' as double) else {score} end"
     out = [
         f"role3 as (select distinct {q.role3_end} as eid from triples where r = '{q.role3 or q.relation3}')",
         f"c3 as (select h.eid as head, list_transform(range(1, {dim + 1}), lambda i: v.vec[i] + w.vec[i]) as comp from hop2 h join vec v on v.eid = h.eid, relv w where w.r = '{q.relation3}')",
-        f"s3 as (select c.head, o.eid, {_score('c.comp', 'v.vec', dim)} as score from role3 o join vec v on v.eid = o.eid, c3 c where true{keep})",
+        f"s3 as (select c.head, o.eid, {score} as score from role3 o {join} vec v on v.eid = o.eid, c3 c where true{keep})",
         f"per_head as (select head, eid, score, row_number() over (partition by head order by score desc, eid) as rank from s3 qualify row_number() over (partition by head order by score desc, eid) <= {q.k})",
     ]
     if q.output == "merged_pairs":
@@ -158,8 +161,8 @@ def question_sql(q: ThreeHopQuery, upto: int = 3, dim: int = 8, binding: str = "
     return statement(ctes, f"select * from hop{upto}")
 
 
-def path_ctes(source: int, target: int, hops: int, k: int, prune: str, dim: int = 8, scorer: str = "translate_sum") -> list[str]:
-    """Levels as CTEs; found (path, rels, score, hops, rank)."""
+def path_ctes(source: int, target: int | str, hops: int, k: int, prune: str, dim: int = 8, scorer: str = "translate_sum") -> list[str]:
+    """Levels as CTEs; found (path, rels, score, hops, rank). A target is an id, or a select of the ids of a role."""
     start = f"f0 as (select [v.eid] as path, cast([] as varchar[]) as rels, v.vec as pvec, v.vec as lvec, v.eid as last, cast(0 as double) as score from vec v where v.eid = {source})"
     out, hits = [start], []
     cells = f"range(1, {dim + 1})"
@@ -171,19 +174,19 @@ def path_ctes(source: int, target: int, hops: int, k: int, prune: str, dim: int
         edges, rel, base, pvec = "triples", " join relv w on w.r = e.r", f"list_transform({cells}, lambda i: f.{'pvec' if scorer == 'translate_end' else 'lvec'}[i] + w.vec[i])", "base" if scorer == "translate_end" else "f.pvec"
         total = {"translate_sum": "before + one", "translate_end": "one", "bottleneck": "case when len(up) = 0 then one else least(before, one) end"}[scorer]
     for level in range(1, hops + 1):
-        last = f" and e.t = {target}" if level == hops else ""
+        last = f" and e.t in ({target})" if level == hops else ""
         out.append(
             f"g{level} as (select path, rels, pvec, lvec, last, up, {total} as score, parent from (select list_append(f.path, e.t) as path, list_append(f.rels, e.r) as rels, {base} as base, {pvec if pvec != 'base' else base} as pvec, v.vec as lvec, e.t as last, f.rels as up, f.path as parent, f.score as before, "
             f"{_score(base, 'v.vec', dim)} as one from f{level - 1} f join {edges} e on e.h = f.last{rel} join vec v on v.eid = e.t where not list_contains(f.path, e.t){last}))"
         )
-        hits.append(f"select path, rels, score, cast({level} as bigint) as hops from g{level} where last = {target}")
+        hits.append(f"select path, rels, score, cast({level} as bigint) as hops from g{level} where last in ({target})")
         if level < hops:
             cut = ""
             if prune == "per_path":
                 cut = f" qualify row_number() over (partition by parent, up order by score desc, path, rels) <= {k}"
             elif prune == "global":
                 cut = f" qualify row_number() over (order by score desc, path, rels) <= {k}"
-            out.append(f"f{level} as (select path, rels, pvec, lvec, last, score from g{level} where last <> {target}{cut})")
+            out.append(f"f{level} as (select path, rels, pvec, lvec, last, score from g{level} where last not in ({target}){cut})")
     out.append(f"hits as ({' union all '.join(hits)})")
     limit = "" if prune == "none" else f" qualify row_number() over (order by score desc, path, rels) <= {k}"
     out.append(f"found as (select path, rels, score, hops, row_number() over (order by score desc, path, rels) as rank from hits{limit})")
@@ -193,5 +196,5 @@ def path_ctes(source: int, target: int, hops: int, k: int, prune: str, dim: int
 PATH_COLUMNS = "select array_to_string(path, '>') as path, array_to_string(rels, '>') as rels, score, hops, rank from found"
 
 
-def path_sql(relations: list[str], source: int, target: int, hops: int, k: int, prune: str, both: bool, scorer: str = "translate_sum") -> str:
+def path_sql(relations: list[str], source: int, target: int | str, hops: int, k: int, prune: str, both: bool, scorer: str = "translate_sum") -> str:
     return statement(graph_ctes(relations, both=both) + path_ctes(source, target, hops, k, prune, scorer=scorer), PATH_COLUMNS)

@@ -8,7 +8,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..operators.graph import KnowledgeGraph, role_members
+from ..operators.graph import KnowledgeGraph
 from ..operators.topk import merge_cost
 from .query import ThreeHopQuery, hop1, hop2, hop3
 
@@ -55,8 +55,8 @@ def scaling_curve(run: Callable[[int], float], cores: list[int]) -> list[tuple[i
 def work_counters(kg: KnowledgeGraph, q: ThreeHopQuery) -> DataFrame:
     """(hop, evaluations): score evaluations that each hop makes - the whole role, K, and K times the last role."""
     known = kg.vectors.select("eid")
-    p = role_members(kg.triples, q.role1 or q.relation1, q.role1_end).join(known, "eid").count()
-    u = role_members(kg.triples, q.role3 or q.relation3, q.role3_end).join(known, "eid").count()
+    p = kg.role(q.role1 or q.relation1, q.role1_end).select("eid").join(known, "eid").count()
+    u = kg.role(q.role3 or q.relation3, q.role3_end).select("eid").join(known, "eid").count()
     kept = min(q.k, p)
     last = min(q.k2 or q.k, kept)
     return kg.spark.createDataFrame([("hop1", p), ("hop2", kept), ("hop3", last * u)], "hop string, evaluations bigint")

@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..ids import eid_value
-from ..operators.graph import KnowledgeGraph, role_members
+from ..operators.graph import KnowledgeGraph
 from ..operators.hops import CANDIDATES, COMBINE, OUTPUTS, anchor_hop, expand_hop, rerank_hop
 from ..operators.topk import check_k
 
@@ -90,54 +90,63 @@ def hop_plan(kg: KnowledgeGraph, steps: list[Hop]) -> DataFrame:
         if s.kind == "anchor":
             if state is not None:
                 raise ValueError("only the first hop of a chain scores a role against an anchor")
-            state = anchor_hop(kg, eid_value(*s.anchor), s.relation, role_members(kg.triples, s.role or s.relation, s.role_end), s.k, s.candidates)
+            state = anchor_hop(kg, eid_value(*s.anchor), s.relation, kg.role(s.role or s.relation, s.role_end), s.k, s.candidates)
         elif state is None:
             raise ValueError("the first hop of a chain has to score a role against an anchor")
         elif s.kind == "rerank":
             state = rerank_hop(kg, state, eid_value(*s.anchor), s.relation, s.k, s.combine)
         elif s.kind == "expand":
-            state = expand_hop(kg, state, s.relation, role_members(kg.triples, s.role or s.relation, s.role_end), s.k, s.candidates, s.output if last else "merged_entities")
+            state = expand_hop(kg, state, s.relation, kg.role(s.role or s.relation, s.role_end), s.k, s.candidates, s.output if last else "merged_entities")
         else:
             raise ValueError(f"unknown hop {s.kind!r}")
     return state
 
 
 def hop1(kg: KnowledgeGraph, q: ThreeHopQuery, **options) -> DataFrame:
-    role = role_members(kg.triples, q.role1 or q.relation1, q.role1_end)
+    role = kg.role(q.role1 or q.relation1, q.role1_end)
     return anchor_hop(kg, eid_value(*q.anchor1), q.relation1, role, q.k, q.candidates1, q.missing, **options)
 
 
-def hop2(kg: KnowledgeGraph, q: ThreeHopQuery, first: DataFrame) -> DataFrame:
-    return rerank_hop(kg, first, eid_value(*q.anchor2), q.relation2, q.k2 or q.k, q.combine, q.missing)
+def hop2(kg: KnowledgeGraph, q: ThreeHopQuery, first: DataFrame, keep: bool = False) -> DataFrame:
+    return rerank_hop(kg, first, eid_value(*q.anchor2), q.relation2, q.k2 or q.k, q.combine, q.missing, keep)
 
 
-def hop3(kg: KnowledgeGraph, q: ThreeHopQuery, second: DataFrame) -> DataFrame:
-    role = role_members(kg.triples, q.role3 or q.relation3, q.role3_end)
-    return expand_hop(kg, second, q.relation3, role, q.k, q.candidates3, q.output, bound_share=q.bound_share)
+def hop3(kg: KnowledgeGraph, q: ThreeHopQuery, second: DataFrame, **options) -> DataFrame:
+    role = kg.role(q.role3 or q.relation3, q.role3_end)
+    return expand_hop(kg, second, q.relation3, role, q.k, q.candidates3, q.output, q.missing, bound_share=q.bound_share, **options)
 
 
 def three_hop(kg: KnowledgeGraph, q: ThreeHopQuery, **options) -> DataFrame:
-    """All three hops as one lazy plan; options choose how hop 1 keeps its list (form, fan_in, workers)."""
+    """All three hops as one lazy plan; options choose how hops 1 and 3 keep and merge their lists (form, fan_in, workers).
+
+    Survivors bring their vectors along, so that the table of vectors is read for the two anchors only.
+    """
     q.validate()
-    return hop3(kg, q, hop2(kg, q, hop1(kg, q, **options)))
+    return hop3(kg, q, hop2(kg, q, hop1(kg, q, keep=True, **options), keep=True), **options)
+
+
+#: Rows that one list of the simple algorithm may be asked to hold.
+MAX_SHARED_ROWS = 50_000_000
+
 
+def three_hop_simple(kg: KnowledgeGraph, q: ThreeHopQuery, max_rows: int = MAX_SHARED_ROWS) -> DataFrame:
+    """The baseline: vectors are looked up by join, and every list is the shared one - all scores in one row of one reducer, sorted there.
 
-def three_hop_simple(kg: KnowledgeGraph, q: ThreeHopQuery) -> DataFrame:
-    """The baseline: every list is the shared one - all scores in one row of one reducer, sorted there."""
+    Refuses roles whose lists no reducer could hold; their sizes are counted only where K times all entities exceeds max_rows.
+    """
     from ..operators.hops import anchor_scores, expansion_scores, score_column, shape_output
     from ..operators.hops import composite_of as composite
     from ..operators.lookup import lookup_vectors
-    from ..operators.topk import topk_shared_list
+    from ..operators.topk import topk_grouped, topk_shared_list
 
     q.validate()
     if q.combine != "replace" or q.output != "per_head":
         raise ValueError("the baseline knows the plain question only")
-    role1 = role_members(kg.triples, q.role1 or q.relation1, q.role1_end)
+    role1, role3 = (kg.role(*x).select("eid") for x in ((q.role1 or q.relation1, q.role1_end), (q.role3 or q.relation3, q.role3_end)))
+    if q.k * kg.entity_count() > max_rows and max(role1.count(), q.k * role3.count()) > max_rows:
+        raise ValueError(f"the simple algorithm is a baseline for lists of up to {max_rows} rows")
     first = topk_shared_list(anchor_scores(kg, eid_value(*q.anchor1), q.relation1, role1, q.candidates1, q.missing), q.k, None)
     again = lookup_vectors(first.select("eid"), kg.vectors, missing="neg_inf").crossJoin(F.broadcast(composite(kg, eid_value(*q.anchor2), q.relation2))).select("eid", score_column(kg).alias("score"))
     second = topk_shared_list(again, q.k2 or q.k, None)
-    role3 = role_members(kg.triples, q.role3 or q.relation3, q.role3_end)
     scored = expansion_scores(kg, second, q.relation3, role3, q.candidates3, q.missing)
-    lists = scored.groupBy("head").agg(F.sort_array(F.collect_list(F.struct(F.col("score"), (-F.col("eid")).alias("minus"))), asc=False).alias("all"))
-    cut = lists.select("head", F.posexplode(F.slice("all", 1, q.k)).alias("at", "x"))
-    return shape_output(cut.select("head", (-F.col("x.minus")).alias("eid"), F.col("x.score").alias("score"), (F.col("at") + 1).alias("rank")), q.k, "per_head")
+    return shape_output(topk_grouped(scored, q.k, ["head"], "shared_list"), q.k, "per_head")

@@ -9,11 +9,11 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import oracles as sql
-from .ids import eid_value
+from .ids import eid, eid_value
 from .operators.graph import degrees, graph_profile, one_hop, open_graph, relation_profile, role_members, type_cube
 from .operators.hops import anchor_hop_pruned, expand_hop_loop, suggest_links
-from .operators.paths import exact_paths, k_best_paths, k_best_paths_many
-from .operators.topk import merge_cost
+from .operators.lookup import lookup_salted, lookup_vectors
+from .operators.paths import exact_paths, frontier_bound, frontier_limit, k_best_paths, k_best_paths_many
 from .plans import measures
 from .plans import workloads as w
 from .plans.query import hop1, hop2, three_hop, three_hop_simple
@@ -47,10 +47,6 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 # ---------------------------------------------------------------- graph
 
-#: The relations of the SQL of graph_cube and graph_rollup; the queries cover all.
-SMALL = [r for r in RELATIONS if r != "doc_mentions_token"]
-
-
 def triples_profile(spark: SparkSession, sf_dir: str) -> DataFrame:
     return relation_profile(build_triples(spark, sf_dir, list(RELATIONS)))
 
@@ -155,7 +151,7 @@ def _hop1(spark: SparkSession, sf_dir: str, q=W1, name: str = "w1", binding: str
 
 def hop1_pruned_by_prefix(spark: SparkSession, sf_dir: str) -> DataFrame:
     kg = w.workload_graph(spark, sf_dir, "w1")
-    return anchor_hop_pruned(kg, eid_value(*W1.anchor1), W1.relation1, role_members(kg.triples, W1.relation1), W1.k)
+    return anchor_hop_pruned(kg, eid_value(*W1.anchor1), W1.relation1, kg.role(W1.relation1), W1.k)
 
 
 def paths_many_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -189,18 +185,28 @@ def three_hop_w1_dim64(spark: SparkSession, sf_dir: str) -> DataFrame:
 def hop3_one_plan_per_head(spark: SparkSession, sf_dir: str) -> DataFrame:
     kg = w.workload_graph(spark, sf_dir, "w1")
     heads = [r["eid"] for r in hop2(kg, W1, hop1(kg, W1)).collect()]  # K ids
-    return expand_hop_loop(kg, heads, W1.relation3, role_members(kg.triples, W1.relation3), W1.k)
+    return expand_hop_loop(kg, heads, W1.relation3, kg.role(W1.relation3), W1.k)
 
 
 def suggest_links_l1(spark: SparkSession, sf_dir: str) -> DataFrame:
     kg = w.workload_graph(spark, sf_dir, "w1")
-    heads = role_members(kg.triples, "nation_hosts_customer")
-    return suggest_links(kg, "customer_buys_from_supplier", heads, role_members(kg.triples, "customer_buys_from_supplier"), 3)
+    heads = kg.role("nation_hosts_customer")
+    return suggest_links(kg, "customer_buys_from_supplier", heads, kg.role("customer_buys_from_supplier"), 3)
 
 
 # ---------------------------------------------------------------- paths
 
 
+def paths_to_role(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The best paths from a customer to any supplier of a nation."""
+    kg = w.shared_graph(spark, sf_dir, w.G1_RELATIONS)
+    role = kg.triples.where((F.col("r") == "supplier_in_nation") & (F.col("t") == ROLE_NATION)).select(F.col("h").alias("eid"))
+    return _shown(k_best_paths(kg, w.G2[0], 0, 2, K, target_role=role))
+
+
+ROLE_NATION = eid_value("nation", 3)
+
+
 def _paths(spark: SparkSession, sf_dir: str, relations: list[str], pair: tuple[int, int, int], k: int, prune: str, both: bool, scorer: str = "translate_sum", **options) -> DataFrame:
     kg = w.shared_graph(spark, sf_dir, relations)
     s, t, hops = pair
@@ -277,8 +283,48 @@ def merge_cost_table(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _merge_cost_sql() -> str:
-    rows = [tuple(merge_cost(t, 50, f).values()) for t in WORKERS for f in FAN_INS if f <= max(2, t)]
-    return "select cast(workers as bigint) as workers, cast(k as bigint) as k, cast(fan_in as bigint) as fan_in, cast(rounds as bigint) as rounds, cast(rows_moved as bigint) as rows_moved, cast(rows_in_a_task as bigint) as rows_in_a_task from (values " + ", ".join(str(tuple(r)) for r in rows) + ") x(workers, k, fan_in, rounds, rows_moved, rows_in_a_task)"
+    """Lists left after each round, level by level, until one is left."""
+    return f"""
+        with recursive t as (select unnest({WORKERS}) as workers), f as (select unnest({FAN_INS}) as fan_in),
+        r as (select workers, fan_in, cast(workers as bigint) as lists, 0 as round from t, f where fan_in <= greatest(2, workers)
+              union all select workers, fan_in, (lists + fan_in - 1) // fan_in, round + 1 from r where lists > 1)
+        select cast(workers as bigint) as workers, cast(50 as bigint) as k, cast(fan_in as bigint) as fan_in, cast(max(round) as bigint) as rounds,
+               cast(coalesce(sum(lists * 50) filter (where lists > 1), 0) as bigint) as rows_moved, cast(least(fan_in, workers) * 50 as bigint) as rows_in_a_task
+        from r group by workers, fan_in"""
+
+
+def retained_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Rows that the shared list and the bounded lists hold at hop 1 of W1, by number of workers."""
+    members = w.workload_graph(spark, sf_dir, "w1").role(W1.relation1).count()
+    rows = [(t, *measures.retained_rows(t, K, members).values()) for t in WORKERS]
+    return spark.createDataFrame(rows, "workers bigint, shared_list bigint, bounded_lists bigint")
+
+
+PATH_KS, PATH_HOPS = [1, 2, 5, 50], [1, 2, 3, 4]
+
+
+def frontier_bounds(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The published estimate of path buffers, and what a level can hold."""
+    rows = [(k, h, p, frontier_bound(k, h, p), frontier_limit(k, h, p)) for k in PATH_KS for h in PATH_HOPS for p in ("per_path", "global")]
+    return spark.createDataFrame(rows, "k bigint, hops bigint, policy string, bound bigint, level_limit bigint")
+
+
+_FRONTIER_SQL = f"""
+    with g as (select k, hops, policy from (select unnest({PATH_KS}) as k), (select unnest({PATH_HOPS}) as hops), (values ('per_path'), ('global')) p(policy)),
+    s as (select k, hops, policy, (select coalesce(sum(power(k, i)), 0) from range(0, hops - 1) x(i)) as series from g)
+    select cast(k as bigint) as k, cast(hops as bigint) as hops, policy, cast(case when policy = 'per_path' then series else k * (hops - 1) end as bigint) as bound,
+           cast(case when policy = 'per_path' then power(k, hops) else k end as bigint) as level_limit from s"""
+
+
+# ---------------------------------------------------------------- lookups
+
+
+def _lookup(spark: SparkSession, sf_dir: str, strategy: str) -> DataFrame:
+    """Vectors of the customers that placed each order, most of them asked for many times."""
+    kg = w.workload_graph(spark, sf_dir, "w1")
+    asked = Tables(spark, sf_dir).orders.select("o_orderkey", eid("customer", F.col("o_custkey")).alias("eid"))
+    found = lookup_salted(asked, kg.vectors) if strategy == "salted" else lookup_vectors(asked, kg.vectors, strategy)
+    return found.select("o_orderkey", "eid", F.aggregate("vec", F.lit(0).cast("bigint"), lambda a, x: a + x).alias("total"))
 
 
 # ---------------------------------------------------------------- streams and time
@@ -352,7 +398,28 @@ def queries() -> dict[str, Query]:
     def path(*args, **options) -> Query:
         return lambda s, d: _paths(s, d, *args, **options)
 
+    def look(strategy: str) -> Query:
+        return lambda s, d: _lookup(s, d, strategy)
+
+    def whole(name: str, **options) -> Query:
+        return lambda s, d: w.run_workload(s, d, name, **options)
+
+    def simple(name: str) -> Query:
+        return lambda s, d: three_hop_simple(w.workload_graph(s, d, name), w.WORKLOADS[name])
+
     own = {
+        **{f"lookup_{x}": look(x) for x in ("auto", "broadcast", "shuffle_hash", "sortmerge", "salted")},
+        **{f"three_hop_{n}_simple": simple(n) for n in ("w2", "w3", "w4", "w5", "w6")},
+        "three_hop_w1_k50": whole("w1", k=50),
+        "three_hop_w1_tree2": whole("w1", form="heap_tree", fan_in=2, workers=16),
+        "three_hop_w1_tree4_k50": whole("w1", k=50, form="heap_tree", fan_in=4, workers=16),
+        "three_hop_w1_funnel": whole("w1", form="heap_funnel", workers=16),
+        "three_hop_w7": lambda s, d: three_hop(w.workload_graph(s, d, "w2", binding="native"), W7),
+        "paths_to_role_g2": paths_to_role,
+        "paths_reach_pruned_g1": path(w.G1_RELATIONS, w.G1, 1, "none", True, reach_prune=True),
+        "paths_beam_k1_g1": path(w.G1_RELATIONS, w.G1, 1, "per_path", True),
+        "retained_rows": retained_rows,
+        "frontier_bounds": frontier_bounds,
         "triples_profile": triples_profile,
         "relation_degrees": relation_degrees,
         "graph_cube": graph_cube,
@@ -430,7 +497,7 @@ def oracle_sql() -> dict[str, str]:
     links = st(
         [
             *g(w1),
-            "hop2 as (select distinct t as eid from triples where r = 'nation_hosts_customer' and t % 1000000000000 < 20)",
+            "hop2 as (select distinct t as eid from triples where r = 'nation_hosts_customer')",
             *sql.hop3_ctes(replace(W1, k=3, candidates3="unlinked")),
         ],
         "select * from hop3",
@@ -449,13 +516,30 @@ def oracle_sql() -> dict[str, str]:
         "select user_id, cast(cast(min(ts) as timestamp) as varchar) as first, cast(cast(max(ts) + interval 30 minute as timestamp) as varchar) as last, count(*) as events from s group by user_id, n"
     )
     windows = "select event_type, cast(cast(first as timestamp) as varchar) as first, count(distinct user_id) as edges from ({}) group by event_type, first"
+    role = f"select h from base where r = 'supplier_in_nation' and t = {ROLE_NATION}"
+    asked = st(
+        g(w1),
+        f"select o_orderkey, eid, cast(list_sum(vec) as bigint) as total from orders join vec on eid = {eid_value('customer', 0)} + o_custkey",
+    )
     return {
+        **{f"lookup_{x}": asked for x in ("auto", "broadcast", "shuffle_hash", "sortmerge", "salted")},
+        **{f"three_hop_{n}_simple": ask(w.WORKLOADS[n]) for n in ("w2", "w3", "w4", "w5", "w6")},
+        "three_hop_w1_k50": ask(replace(W1, k=50)),
+        "three_hop_w1_tree2": ask(W1),
+        "three_hop_w1_tree4_k50": ask(replace(W1, k=50)),
+        "three_hop_w1_funnel": ask(W1),
+        "three_hop_w7": ask(W7, binding="native"),
+        "paths_to_role_g2": sql.path_sql(w.G1_RELATIONS, w.G2[0], role, 2, K, "per_path", False),
+        "paths_reach_pruned_g1": sql.path_sql(w.G1_RELATIONS, *w.G1, 1, "none", True),
+        "paths_beam_k1_g1": sql.path_sql(w.G1_RELATIONS, *w.G1, 1, "per_path", True),
+        "retained_rows": f"select cast(t as bigint) as workers, n as shared_list, least(n, t * {K}) as bounded_lists from (select unnest({WORKERS}) as t), (select count(distinct c_custkey) as n from customer)",
+        "frontier_bounds": _FRONTIER_SQL,
         "triples_profile": f"select r, count(*) as edges, count(distinct h) as heads, count(distinct t) as tails from ({sql.triples_sql(list(RELATIONS))}) group by r",
         "relation_degrees": "with e as ({}), d as (select r, 'h' as \"end\", h, count(*) as degree from e group by r, h union all select r, 't', t, count(*) from e group by r, t) select r, \"end\", count(*) as entities, max(degree) as max_degree, cast(sum(degree) as bigint) as edges from d group by r, \"end\"".format(
             sql.triples_sql(["nation_hosts_customer", "customer_buys_from_supplier", "page_links_target"])
         ),
-        "graph_cube": f"select h_type, t_type, count(*) as edges, cast(grouping(h_type, t_type) as bigint) as grouping from ({sql.triples_sql(SMALL)}) group by cube (h_type, t_type)",
-        "graph_rollup": f"select h_type, r, count(*) as edges from ({sql.triples_sql(SMALL)}) group by rollup (h_type, r)",
+        "graph_cube": f"select h_type, t_type, count(*) as edges, cast(grouping(h_type, t_type) as bigint) as grouping from ({sql.triples_sql(list(RELATIONS))}) group by cube (h_type, t_type)",
+        "graph_rollup": f"select h_type, r, count(*) as edges from ({sql.triples_sql(list(RELATIONS))}) group by rollup (h_type, r)",
         "degree_pivot": "with e as ({}) select r, (select max(n) from (select count(*) as n from e x where x.r = e.r group by x.h)) as h, (select max(n) from (select count(*) as n from e x where x.r = e.r group by x.t)) as t from (select distinct r from e) e".format(
             sql.triples_sql(["nation_hosts_customer", "customer_buys_from_supplier", "brand_has_part"])
         ),
@@ -505,8 +589,8 @@ def oracle_sql() -> dict[str, str]:
         "beam_recall_g1": _recall_sql(),
         "dim_overlap": _dim_overlap_sql(),
         "work_counters": st(
-            g(w1) + sql.hop1_ctes(W1),
-            "select 'hop1' as hop, count(*) as evaluations from s1 union all select 'hop2', 10 union all select 'hop3', 10 * count(*) from (select distinct t from triples where r = 'customer_buys_from_supplier')",
+            g(w1) + sql.hop1_ctes(W1) + sql.hop2_ctes(W1),
+            "select 'hop1' as hop, count(*) as evaluations from s1 union all select 'hop2', (select count(*) from hop1) union all select 'hop3', (select count(*) from hop2) * (select count(distinct t) from triples where r = 'customer_buys_from_supplier')",
         ),
         "merge_cost_table": _merge_cost_sql(),
         "events_tumbling": windows.format("select event_type, user_id, date_trunc('day', ts) as first from events"),

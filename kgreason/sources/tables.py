@@ -9,7 +9,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..ids import dense_keys, eid
-from ..session import ship
+from ..session import Scratch, ship
 
 
 def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -22,6 +22,7 @@ class Tables:
 
     def __init__(self, spark: SparkSession, sf_dir: str):
         self.spark, self.sf_dir = spark, sf_dir
+        self.reuse_order_lines, self._order_lines = False, None
 
     def __getattr__(self, name: str) -> DataFrame:
         if name.startswith("_"):
@@ -30,11 +31,17 @@ class Tables:
 
     # helper frames with keys for strings
 
-    def keyed(self, df: DataFrame, column: str) -> DataFrame:
-        """df with the dense key of a string column as ``<column>_key``."""
-        return df.join(dense_keys(df, column).withColumnRenamed("key", f"{column}_key"), column)
+    def keyed(self, df: DataFrame, column: str, wide: bool = False) -> DataFrame:
+        """df with the dense key of a string column as ``<column>_key``; wide for strings that grow with the data."""
+        return df.join(dense_keys(df, column, wide).withColumnRenamed("key", f"{column}_key"), column)
 
     def order_lines(self) -> DataFrame:
+        """Orders with their lines; written once where several relations are made of them."""
+        if self.reuse_order_lines and self._order_lines is None:
+            self._order_lines = Scratch(self.spark).write(self._joined_order_lines(), "order-lines")
+        return self._joined_order_lines() if self._order_lines is None else self._order_lines
+
+    def _joined_order_lines(self) -> DataFrame:
         return self.orders.select("o_orderkey", "o_custkey").join(self.lineitem.select("l_orderkey", "l_partkey", "l_suppkey"), F.col("o_orderkey") == F.col("l_orderkey"))
 
     def pages_parsed(self) -> DataFrame:
@@ -87,14 +94,17 @@ RELATIONS: dict[str, tuple[str, str, Callable[[Tables], DataFrame]]] = {
     "supplier_sells_to_customer": ("supplier", "customer", lambda x: _pairs(x.order_lines(), F.col("l_suppkey"), F.col("o_custkey"))),
     "lang_has_doc": ("lang", "doc", lambda x: _pairs(x.keyed(x.documents.select("doc_id", "lang"), "lang"), F.col("lang_key"), F.col("doc_id"))),
     "source_has_doc": ("source", "doc", lambda x: _pairs(x.keyed(x.documents.select("doc_id", "source"), "source"), F.col("source_key"), F.col("doc_id"))),
-    "doc_mentions_token": ("doc", "token", lambda x: _pairs(x.keyed(x.tokens(), "token"), F.col("doc_id"), F.col("token_key"))),
+    "doc_mentions_token": ("doc", "token", lambda x: _pairs(x.keyed(x.tokens(), "token", wide=True), F.col("doc_id"), F.col("token_key"))),
     "domain_has_page": ("domain", "page", lambda x: _pairs(x.keyed(x.pages_parsed().select("page_id", "domain"), "domain"), F.col("domain_key"), F.col("page_id"))),
     "lang_has_page": ("lang", "page", lambda x: _pairs(x.keyed(x.pages_parsed().select("page_id", "lang"), "lang"), F.col("lang_key"), F.col("page_id"))),
-    "page_links_target": ("page", "target", lambda x: _pairs(x.keyed(x.targets(), "target"), F.col("page_id"), F.col("target_key"))),
+    "page_links_target": ("page", "target", lambda x: _pairs(x.keyed(x.targets(), "target", wide=True), F.col("page_id"), F.col("target_key"))),
     "role_speaks_in_conversation": ("role", "conv", lambda x: _pairs(x.keyed(x.conversations.select("conv_id", "role"), "role"), F.col("role_key"), F.col("conv_id"))),
 }
 
 
+OF_ORDER_LINES = frozenset(["customer_buys_from_supplier", "customer_buys_part", "supplier_sells_to_customer"])
+
+
 def relation_edges(tables: Tables, relation: str) -> DataFrame:
     """(r, h_type, h, t_type, t): distinct edges of one relation, ids instead of keys; ``inv:<name>`` turns it round."""
     if relation.startswith("inv:"):
@@ -110,4 +120,5 @@ def relation_edges(tables: Tables, relation: str) -> DataFrame:
 def build_triples(spark: SparkSession, sf_dir: str, relations: list[str]) -> DataFrame:
     """Distinct typed triples of the named relations."""
     tables = Tables(spark, sf_dir)
+    tables.reuse_order_lines = len(OF_ORDER_LINES & {r.removeprefix("inv:") for r in relations}) > 1
     return reduce(DataFrame.unionByName, [relation_edges(tables, r) for r in relations])

@@ -6,17 +6,17 @@ that watermarks need.  A stream run to its end gives what the batch gives on the
 
 from __future__ import annotations
 
-import shutil
-import tempfile
 import uuid
 from collections.abc import Iterator
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql.streaming import StreamingQuery
 
 from ..ids import dense_keys, eid, eid_value
+from ..session import scratch_path
 from ..sources.tables import Tables, read_table
 
 
@@ -30,8 +30,9 @@ def windowed_edges(events: DataFrame, length: str, slide: str | None = None, lat
     if lateness:
         own = own.withWatermark("ts", lateness)
     windows = F.window("ts", length, slide) if slide else F.window("ts", length)
-    # streams have no exact distinct count over windows; a set of users a type and window is bounded by the users
-    grouped = own.groupBy("event_type", windows.alias("w")).agg(F.size(F.collect_set("user_id")).cast("bigint").alias("edges"))
+    # streams have no exact distinct count over windows: there, a set of users a type and window is kept, bounded by the users of a window
+    distinct = F.size(F.collect_set("user_id")).cast("bigint") if events.isStreaming else F.countDistinct("user_id")
+    grouped = own.groupBy("event_type", windows.alias("w")).agg(distinct.alias("edges"))
     return grouped.select("event_type", F.col("w.start").cast("timestamp_ntz").alias("first"), F.col("w.end").cast("timestamp_ntz").alias("last"), "edges")
 
 
@@ -117,13 +118,29 @@ def heap_stream(scored: DataFrame, k: int) -> DataFrame:
 
 def run_to_end(df: DataFrame, mode: str, name: str | None = None) -> StreamingQuery:
     """Runs a stream over all that is there, into an in-memory table of the given name; for tests and small answers."""
-    where = tempfile.mkdtemp(prefix="kgreason-stream-")
+    where = scratch_path(df.sparkSession, "stream")
     q = df.writeStream.format("memory").queryName(name or f"s{uuid.uuid4().hex}").outputMode(mode).option("checkpointLocation", where).trigger(availableNow=True).start()
     q.awaitTermination()
-    shutil.rmtree(where, ignore_errors=True)
     return q
 
 
+def run_to_files(df: DataFrame, keys: list[str] | None = None) -> DataFrame:
+    """Runs a stream over all that is there into Parquet in the shared folder, beside its checkpoint, and reads that back.
+
+    Without keys rows are appended; with keys, (update mode) the rows of a key replace those that it had before.
+    """
+    spark, path = df.sparkSession, scratch_path(df.sparkSession, "answers")
+    checkpoint = scratch_path(spark, "stream")
+    if keys:
+        q = upsert_answers(df, path, keys, checkpoint)
+    else:
+        q = df.writeStream.format("parquet").option("path", path).option("checkpointLocation", checkpoint).outputMode("append").trigger(availableNow=True).start()
+    q.awaitTermination()
+    others = [f for f in df.schema.fields if f.name not in (keys or [])]
+    schema = T.StructType([*others, *[f for f in df.schema.fields if f.name in (keys or [])]])
+    return spark.read.schema(schema).parquet(path).select(*df.columns)
+
+
 def upsert_answers(answers: DataFrame, path: str, keys: list[str], checkpoint: str) -> StreamingQuery:
     """Standing answers: each micro-batch replaces the partitions of the keys it changed, through foreachBatch."""
 
@@ -136,12 +153,12 @@ def upsert_answers(answers: DataFrame, path: str, keys: list[str], checkpoint: s
 def stream_triples(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The distinct (type, user) triples of the event stream, with entity ids."""
     events = read_table(spark, sf_dir, "events")
-    q = run_to_end(triple_stream(spark.readStream.schema(events.schema).parquet(f"{sf_dir}/events.parquet*")), "append")
+    found = run_to_files(triple_stream(spark.readStream.schema(events.schema).parquet(f"{sf_dir}/events.parquet*")))
     keys = dense_keys(events.select("event_type"), "event_type")
-    return spark.table(q.name).join(keys, "event_type").select(eid("etype", F.col("key")).alias("h"), eid("user", F.col("user_id")).alias("t"))
+    return found.join(keys, "event_type").select(eid("etype", F.col("key")).alias("h"), eid("user", F.col("user_id")).alias("t"))
 
 
-def stream_topk(spark: SparkSession, sf_dir: str, k: int) -> DataFrame:
+def stream_topk(spark: SparkSession, sf_dir: str, k: int, files_per_trigger: int | None = None) -> DataFrame:
     """For each event type the K best users by hop-1 score, kept in state while their triples stream in."""
     from ..operators.hops import anchor_scores
     from ..plans.workloads import workload_graph
@@ -154,7 +171,7 @@ def stream_topk(spark: SparkSession, sf_dir: str, k: int) -> DataFrame:
         own = anchor_scores(kg, eid_value("etype", r["key"]), "type_attracts_user", role).withColumn("event_type", F.lit(r["event_type"]))
         scores = own if scores is None else scores.unionByName(own)
     events = read_table(spark, sf_dir, "events")
-    stream = spark.readStream.schema(events.schema).parquet(f"{sf_dir}/events.parquet*")
+    source = spark.readStream.schema(events.schema)
+    stream = (source.option("maxFilesPerTrigger", files_per_trigger) if files_per_trigger else source).parquet(f"{sf_dir}/events.parquet*")
     scored = triple_stream(stream).withColumn("eid", eid("user", F.col("user_id"))).join(scores, ["event_type", "eid"]).select(F.col("event_type").alias("anchor"), "eid", "score")
-    q = run_to_end(heap_stream(scored, k), "update")
-    return spark.table(q.name)
+    return run_to_files(heap_stream(scored, k), ["anchor"])
