@@ -15,10 +15,6 @@ table; further columns are ignored.
 
 from __future__ import annotations
 
-import bisect
-import bisect
-import bisect
-import bisect
 import bisect
 import html as _html
 import re
@@ -57,10 +53,6 @@ IMPLIED = {
     "optgroup": ({"optgroup", "option"}, {"select"}),
 }
 _OUT_OF_CELLS = frozenset("table tr tbody thead tfoot body html".split())
-_OUT_OF_CELLS = frozenset("table tr tbody thead tfoot body html".split())
-_OUT_OF_CELLS = frozenset("table tr tbody thead tfoot body html".split())
-_OUT_OF_CELLS = frozenset("table tr tbody thead tfoot body html".split())
-_OUT_OF_CELLS = frozenset("table tr tbody thead tfoot body html".split())
 _SCOPE = frozenset("table td th caption button object template html".split())
 
 
@@ -170,30 +162,6 @@ def shown(node: Node, inherited: bool) -> bool:
     return found[-1].lower() == "visible" if found else inherited
 
 
-def shown(node: Node, inherited: bool) -> bool:
-    """Whether text right below an element is seen; unlike what ``visible`` tells, an element inside can change that."""
-    found = _VISIBILITY.findall(node.attrs["style"]) if "style" in node.attrs else ()
-    return found[-1].lower() == "visible" if found else inherited
-
-
-def shown(node: Node, inherited: bool) -> bool:
-    """Whether text right below an element is seen; unlike what ``visible`` tells, an element inside can change that."""
-    found = _VISIBILITY.findall(node.attrs["style"]) if "style" in node.attrs else ()
-    return found[-1].lower() == "visible" if found else inherited
-
-
-def shown(node: Node, inherited: bool) -> bool:
-    """Whether text right below an element is seen; unlike what ``visible`` tells, an element inside can change that."""
-    found = _VISIBILITY.findall(node.attrs["style"]) if "style" in node.attrs else ()
-    return found[-1].lower() == "visible" if found else inherited
-
-
-def shown(node: Node, inherited: bool) -> bool:
-    """Whether text right below an element is seen; unlike what ``visible`` tells, an element inside can change that."""
-    found = _VISIBILITY.findall(node.attrs["style"]) if "style" in node.attrs else ()
-    return found[-1].lower() == "visible" if found else inherited
-
-
 class _Lines:
     """Text as it is laid out: words run into a line until a break is asked for."""
 
@@ -278,18 +246,6 @@ def _holders_of_cells(node: Node) -> set[int]:
 Cell = tuple[Node, bool]  # an element, or a string, and whether text there is seen
 
 
-Cell = tuple[Node, bool]  # an element, or a string, and whether text there is seen
-
-
-Cell = tuple[Node, bool]  # an element, or a string, and whether text there is seen
-
-
-Cell = tuple[Node, bool]  # an element, or a string, and whether text there is seen
-
-
-Cell = tuple[Node, bool]  # an element, or a string, and whether text there is seen
-
-
 def _table_parts(node: Node, seen: bool = True) -> tuple[list[list[Cell]], list[Cell], list[Cell]]:
     """Rows of cells, what stands outside them, and captions; forms and the like around rows or cells are looked through.
 
@@ -441,10 +397,6 @@ def render(root: Node, depth: int = 0, seen: bool = True) -> str:
         if node is not root and not visible(node):
             continue
         seen = shown(node, seen)
-        seen = shown(node, seen)
-        seen = shown(node, seen)
-        seen = shown(node, seen)
-        seen = shown(node, seen)
         if tag == "br":
             if out.line:
                 out.end()

@@ -3,14 +3,6 @@
 import hashlib
 import random
 import time
-import random
-import time
-import random
-import time
-import random
-import time
-import random
-import time
 
 import pytest
 
@@ -118,166 +110,6 @@ def test_time_grows_with_the_page():
     assert len(page_text(f"<table>{rows}</table>")) < 500_000  # one wide cell does not widen the column of all
 
 
-def random_page(rng):
-    """A malformed page, and the words in it that must be seen and those that must not."""
-    tags = "p div b i ul ol li table tr td th tbody thead caption form span h1 h2 pre blockquote dl dt dd select option a center section".split()
-    parts, seen, hidden, n, open_ = [], [], [], 0, []
-    for _ in range(rng.randrange(5, 60)):
-        k = rng.random()
-        if k < 0.35:
-            t = rng.choice(tags)
-            open_.append(t)
-            parts.append(f"<{t}{rng.choice(['', ' class=x', ' colspan=2', ' rowspan=3', ' title=\"a>b\"'])}>")
-        elif k < 0.55:
-            parts.append(f"</{rng.choice(open_ if open_ and rng.random() < 0.7 else tags)}>")
-        elif k < 0.9:
-            seen.append(f"word{n}x")
-            parts.append(f" word{n}x ")
-        else:
-            hidden.append(f"word{n}x")
-            parts.append(rng.choice(["<script>{}</script>", "<style>{}</style>", "<span hidden>{}</span>", "<i style='display:none'>{}</i>", "<!-- {} -->", "<template>{}</template>"]).format(f"word{n}x"))
-        n += 1
-    return "".join(parts), seen, hidden
-
-
-def test_no_visible_text_is_lost():
-    rng = random.Random(21)
-    for _ in range(3000):
-        page, seen, hidden = random_page(rng)
-        text = page_text(page)
-        assert all(text.count(w) == 1 for w in seen), page
-        assert not any(w in text for w in hidden), page
-
-
-def test_time_grows_with_the_page():
-    for page in ("</b>" * 100_000, "<b>" * 50_000 + "</i>" * 50_000, "<b><table><tr><td>" + "<div>" * 50_000 + "</b>" * 50_000, "<p>" * 100_000, "<li>" * 50_000 + "</ul>" * 50_000):
-        start = time.perf_counter()
-        assert page_text(page) == ""
-        assert time.perf_counter() - start < 3
-    rows = "<tr><td>" + "w" * 100_000 + "<td>b" + "<tr><td>a<td>b" * 5000
-    assert len(page_text(f"<table>{rows}</table>")) < 500_000  # one wide cell does not widen the column of all
-
-
-def random_page(rng):
-    """A malformed page, and the words in it that must be seen and those that must not."""
-    tags = "p div b i ul ol li table tr td th tbody thead caption form span h1 h2 pre blockquote dl dt dd select option a center section".split()
-    parts, seen, hidden, n, open_ = [], [], [], 0, []
-    for _ in range(rng.randrange(5, 60)):
-        k = rng.random()
-        if k < 0.35:
-            t = rng.choice(tags)
-            open_.append(t)
-            parts.append(f"<{t}{rng.choice(['', ' class=x', ' colspan=2', ' rowspan=3', ' title=\"a>b\"'])}>")
-        elif k < 0.55:
-            parts.append(f"</{rng.choice(open_ if open_ and rng.random() < 0.7 else tags)}>")
-        elif k < 0.9:
-            seen.append(f"word{n}x")
-            parts.append(f" word{n}x ")
-        else:
-            hidden.append(f"word{n}x")
-            parts.append(rng.choice(["<script>{}</script>", "<style>{}</style>", "<span hidden>{}</span>", "<i style='display:none'>{}</i>", "<!-- {} -->", "<template>{}</template>"]).format(f"word{n}x"))
-        n += 1
-    return "".join(parts), seen, hidden
-
-
-def test_no_visible_text_is_lost():
-    rng = random.Random(21)
-    for _ in range(3000):
-        page, seen, hidden = random_page(rng)
-        text = page_text(page)
-        assert all(text.count(w) == 1 for w in seen), page
-        assert not any(w in text for w in hidden), page
-
-
-def test_time_grows_with_the_page():
-    for page in ("</b>" * 100_000, "<b>" * 50_000 + "</i>" * 50_000, "<b><table><tr><td>" + "<div>" * 50_000 + "</b>" * 50_000, "<p>" * 100_000, "<li>" * 50_000 + "</ul>" * 50_000):
-        start = time.perf_counter()
-        assert page_text(page) == ""
-        assert time.perf_counter() - start < 3
-    rows = "<tr><td>" + "w" * 100_000 + "<td>b" + "<tr><td>a<td>b" * 5000
-    assert len(page_text(f"<table>{rows}</table>")) < 500_000  # one wide cell does not widen the column of all
-
-
-def random_page(rng):
-    """A malformed page, and the words in it that must be seen and those that must not."""
-    tags = "p div b i ul ol li table tr td th tbody thead caption form span h1 h2 pre blockquote dl dt dd select option a center section".split()
-    parts, seen, hidden, n, open_ = [], [], [], 0, []
-    for _ in range(rng.randrange(5, 60)):
-        k = rng.random()
-        if k < 0.35:
-            t = rng.choice(tags)
-            open_.append(t)
-            parts.append(f"<{t}{rng.choice(['', ' class=x', ' colspan=2', ' rowspan=3', ' title=\"a>b\"'])}>")
-        elif k < 0.55:
-            parts.append(f"</{rng.choice(open_ if open_ and rng.random() < 0.7 else tags)}>")
-        elif k < 0.9:
-            seen.append(f"word{n}x")
-            parts.append(f" word{n}x ")
-        else:
-            hidden.append(f"word{n}x")
-            parts.append(rng.choice(["<script>{}</script>", "<style>{}</style>", "<span hidden>{}</span>", "<i style='display:none'>{}</i>", "<!-- {} -->", "<template>{}</template>"]).format(f"word{n}x"))
-        n += 1
-    return "".join(parts), seen, hidden
-
-
-def test_no_visible_text_is_lost():
-    rng = random.Random(21)
-    for _ in range(3000):
-        page, seen, hidden = random_page(rng)
-        text = page_text(page)
-        assert all(text.count(w) == 1 for w in seen), page
-        assert not any(w in text for w in hidden), page
-
-
-def test_time_grows_with_the_page():
-    for page in ("</b>" * 100_000, "<b>" * 50_000 + "</i>" * 50_000, "<b><table><tr><td>" + "<div>" * 50_000 + "</b>" * 50_000, "<p>" * 100_000, "<li>" * 50_000 + "</ul>" * 50_000):
-        start = time.perf_counter()
-        assert page_text(page) == ""
-        assert time.perf_counter() - start < 3
-    rows = "<tr><td>" + "w" * 100_000 + "<td>b" + "<tr><td>a<td>b" * 5000
-    assert len(page_text(f"<table>{rows}</table>")) < 500_000  # one wide cell does not widen the column of all
-
-
-def random_page(rng):
-    """A malformed page, and the words in it that must be seen and those that must not."""
-    tags = "p div b i ul ol li table tr td th tbody thead caption form span h1 h2 pre blockquote dl dt dd select option a center section".split()
-    parts, seen, hidden, n, open_ = [], [], [], 0, []
-    for _ in range(rng.randrange(5, 60)):
-        k = rng.random()
-        if k < 0.35:
-            t = rng.choice(tags)
-            open_.append(t)
-            parts.append(f"<{t}{rng.choice(['', ' class=x', ' colspan=2', ' rowspan=3', ' title=\"a>b\"'])}>")
-        elif k < 0.55:
-            parts.append(f"</{rng.choice(open_ if open_ and rng.random() < 0.7 else tags)}>")
-        elif k < 0.9:
-            seen.append(f"word{n}x")
-            parts.append(f" word{n}x ")
-        else:
-            hidden.append(f"word{n}x")
-            parts.append(rng.choice(["<script>{}</script>", "<style>{}</style>", "<span hidden>{}</span>", "<i style='display:none'>{}</i>", "<!-- {} -->", "<template>{}</template>"]).format(f"word{n}x"))
-        n += 1
-    return "".join(parts), seen, hidden
-
-
-def test_no_visible_text_is_lost():
-    rng = random.Random(21)
-    for _ in range(3000):
-        page, seen, hidden = random_page(rng)
-        text = page_text(page)
-        assert all(text.count(w) == 1 for w in seen), page
-        assert not any(w in text for w in hidden), page
-
-
-def test_time_grows_with_the_page():
-    for page in ("</b>" * 100_000, "<b>" * 50_000 + "</i>" * 50_000, "<b><table><tr><td>" + "<div>" * 50_000 + "</b>" * 50_000, "<p>" * 100_000, "<li>" * 50_000 + "</ul>" * 50_000):
-        start = time.perf_counter()
-        assert page_text(page) == ""
-        assert time.perf_counter() - start < 3
-    rows = "<tr><td>" + "w" * 100_000 + "<td>b" + "<tr><td>a<td>b" * 5000
-    assert len(page_text(f"<table>{rows}</table>")) < 500_000  # one wide cell does not widen the column of all
-
-
 def test_deep_and_long():
     assert page_text("<div>" * 20_000 + "x") == "x"
     assert page_text("<table><tr><td>" * 400 + "x").count("x") == 1
