@@ -110,13 +110,23 @@ def learnable(rows: Rows, least: int = MIN_ROWS) -> bool:
     return len(rows.index) > 0 and int(np.bincount(rows.index).max()) >= least
 
 
+def _chunks(rows: Rows, size: int = 512):
+    """(first row, rows) by so many at a time, as views."""
+    for i in range(0, len(rows), size):
+        start, ends = rows.ends[i - 1] if i else 0, rows.ends[i : i + size]
+        yield i, Rows(rows.index[start : ends[-1]], rows.value[start : ends[-1]], ends - start)
+
+
 def evidence(rows: Rows, y: np.ndarray, classes: int, least: int = MIN_ROWS) -> np.ndarray:
     """For each feature how much its presence tells of a class: the largest log ratio of its shares inside and outside a class.
 
     0 for features of fewer than ``least`` rows.
     """
-    owner = np.repeat(np.arange(len(rows)), rows.sizes())
-    held = np.stack([np.bincount(rows.index[(y == k)[owner]], minlength=TOTAL) for k in range(classes)])
+    held = np.zeros((classes, TOTAL), np.int32)
+    for i, part in _chunks(rows):
+        grade = np.repeat(y[i : i + len(part)], part.sizes())
+        for k in range(classes):
+            held[k] += np.bincount(part.index[grade == k], minlength=TOTAL).astype(np.int32)
     n, total = np.bincount(y, minlength=classes), held.sum(axis=0)
     out = np.zeros(TOTAL)
     for k in range(classes):
@@ -131,13 +141,16 @@ def scaled(rows: Rows, scale: np.ndarray) -> tuple[Rows, np.ndarray]:
     features = np.flatnonzero(scale)
     number = np.zeros(TOTAL, np.int32)
     number[features] = np.arange(len(features))
-    keep = scale[rows.index] > 0
-    owner = np.repeat(np.arange(len(rows)), rows.sizes())[keep]
-    index = rows.index[keep]
-    value = rows.value[keep] * scale[index]
-    length = np.sqrt(np.bincount(owner, weights=value * value, minlength=len(rows)))
-    value = (value / np.where(length > 0, length, 1)[owner]).astype(np.float32)
-    return Rows(number[index], value, np.cumsum(np.bincount(owner, minlength=len(rows))).astype(np.int64)), features
+    indexes, values, sizes = [np.zeros(0, np.int32)], [np.zeros(0, np.float32)], [np.zeros(0, np.int64)]
+    for _, part in _chunks(rows):
+        keep = scale[part.index] > 0
+        owner, index = np.repeat(np.arange(len(part)), part.sizes())[keep], part.index[keep]
+        value = part.value[keep] * scale[index]
+        length = np.sqrt(np.bincount(owner, weights=value * value, minlength=len(part)))
+        indexes.append(number[index])
+        values.append((value / np.where(length > 0, length, 1)[owner]).astype(np.float32))
+        sizes.append(np.bincount(owner, minlength=len(part)))
+    return Rows(np.concatenate(indexes), np.concatenate(values), np.cumsum(np.concatenate(sizes)).astype(np.int64)), features
 
 
 @dataclass

@@ -66,26 +66,29 @@ def labelled_sample(docs: DataFrame, graded: DataFrame, max_rows: int = MAX_ROWS
     return found.select("doc_id", "y", "index", "value")
 
 
+#: Parts in which training rows come to the driver, so that few of them are there twice at a time.
+PARTS = 8
+
+
 def collect_rows(sample: DataFrame) -> tuple[Rows, np.ndarray]:
-    got = sample.toArrow()
+    """The rows of a labelled sample, by doc_id, and their grades; part by part into arrays of the final size."""
+    got = sample.select("doc_id", "y", F.size("index").alias("n")).toArrow()
     if not got.num_rows:
         return Rows.of([]), np.zeros(0, np.int64)
-    order = np.lexsort((got["y"].to_numpy(), got["doc_id"].to_numpy()))
-    y = got["y"].to_numpy()[order]
-    # column by column and chunk by chunk into arrays of the final size, so that few copies live at a time
-    sizes = np.concatenate([np.diff(c.offsets.to_numpy()) for c in got["index"].chunks])
-    place = np.zeros(len(sizes), np.int64)
-    place[order] = np.cumsum(sizes[order]) - sizes[order]
-    index, value = np.empty(int(sizes.sum()), np.int32), np.empty(int(sizes.sum()), np.float32)
-    for name, target in (("index", index), ("value", value)):
-        row = 0
-        for chunk in got[name].chunks:
-            flat, offsets = chunk.values.to_numpy(), chunk.offsets.to_numpy()
-            for a, b in zip(offsets, offsets[1:], strict=False):
-                target[place[row] : place[row] + b - a] = flat[a:b]
-                row += 1
-        got = got.drop_columns([name])
-    return Rows(index, value, np.cumsum(sizes[order])), y
+    order = np.argsort(got["doc_id"].to_numpy(), kind="stable")
+    ids, y, ends = got["doc_id"].to_numpy()[order], got["y"].to_numpy()[order], np.cumsum(got["n"].to_numpy()[order].astype(np.int64))
+    index, value = np.empty(int(ends[-1]), np.int32), np.empty(int(ends[-1]), np.float32)
+    for part in range(PARTS):
+        got = sample.where(F.pmod(F.xxhash64("doc_id"), F.lit(PARTS)) == part).select("doc_id", "index", "value").toArrow()
+        for batch in got.to_batches():
+            at = np.searchsorted(ids, batch.column(0).to_numpy())
+            for name, target in ((1, index), (2, value)):
+                flat, cuts = batch.column(name).values.to_numpy(), batch.column(name).offsets.to_numpy()
+                for k, a, b in zip(at, cuts, cuts[1:], strict=False):
+                    target[ends[k] - (b - a) : ends[k]] = flat[a:b]
+        del got
+        pa.default_memory_pool().release_unused()
+    return Rows(index, value, ends), y
 
 
 def _sigmoid(x: np.ndarray) -> np.ndarray:
@@ -141,7 +144,11 @@ def fit_ordinal(rows: Rows, grades: np.ndarray, n_grades: int = GRADES, epochs:
 
 def train(docs: DataFrame, labels: DataFrame, max_rows: int = MAX_ROWS, max_cells: int = MAX_CELLS) -> Ordinal | None:
     rows, grades = collect_rows(labelled_sample(docs, graded_labels(labels), max_rows, max_cells))
-    return fit_ordinal(rows, grades) if len(set(grades.tolist())) > 1 and learnable(rows) else None
+    if len(set(grades.tolist())) < 2 or not learnable(rows):
+        return None
+    own = [rows]
+    del rows  # so that the fit can let go of them
+    return fit_ordinal(own.pop(), grades)
 
 
 ADDED = ("expected_grade", "tail_probability", "quality_kept")

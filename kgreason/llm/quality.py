@@ -118,8 +118,7 @@ def fit_logistic(rows: Rows, good: np.ndarray, epochs: int = 30, batch: int = 12
     """Fits three quarters of the rows and calibrates on the rest, then fits all rows for the weights that the calibration is applied to."""
     rng = np.random.default_rng(seed)
 
-    def fitted(at: np.ndarray) -> tuple[Scorer, float]:
-        own, y = rows.take(at), good[at]
+    def fitted(own: Rows, y: np.ndarray) -> tuple[Scorer, float]:
         scale = evidence(own, y.astype(np.int64), 2)
         own, features = scaled(own, scale)
         w, bias = _weights(own, y, len(features), rng, epochs, batch, rate, decay)
@@ -127,14 +126,14 @@ def fit_logistic(rows: Rows, good: np.ndarray, epochs: int = 30, batch: int = 12
 
     order = rng.permutation(len(good))
     held, rest = order[: len(order) // 4], order[len(order) // 4 :]
-    part, bias = fitted(rest)
+    part, bias = fitted(rows.take(rest), good[rest])
     own = rows.take(held)
     value = own.value * part.scale[own.index]
     owner = np.repeat(np.arange(len(held)), own.sizes())
     length = np.sqrt(np.bincount(owner, weights=value * value, minlength=len(held)))
     score = np.bincount(owner, weights=value * part.weights[own.index], minlength=len(held)) / np.where(length > 0, length, 1)
     slope, shift = calibrate(score + bias, good[held])
-    whole, bias = fitted(np.arange(len(good)))
+    whole, bias = fitted(rows, good)
     return Logistic(whole, slope, slope * bias + shift)
 
 
