@@ -2,7 +2,7 @@
 
 x1 simple against optimised lists; x2 scaling over cores with the share of each hop; x3 partitions at fixed cores; x4 scorers and
 dimensions; x5 merges of bounded lists; x6 construction; x7 data sheet; x8 trimmed dimensions; x9 placement of skewed
-lookups; x10 other domains; x11 K and hops.  Data is loaded before the clock starts, as in the published runs, but for x6.
+lookups; x10 other domains; x11 K and hops; x12 generated roles up to a million members, and partitions of the whole question.  Data is loaded before the clock starts, as in the published runs, but for x6.
 """
 
 from __future__ import annotations
@@ -11,13 +11,16 @@ import json
 import os
 import sys
 import time
+import uuid
 from dataclasses import replace
 
+import numpy as np
 from pyspark.sql import functions as F
 
+from kgreason.functions.scoring import score_with_arrow
 from kgreason.ids import eid_value
 from kgreason.operators.graph import graph_profile, open_graph, role_members
-from kgreason.operators.hops import anchor_scores
+from kgreason.operators.hops import anchor_scores, composite_of
 from kgreason.operators.lookup import lookup_salted, lookup_vectors
 from kgreason.operators.paths import exact_paths, frontier_bound, k_best_paths
 from kgreason.operators.topk import merge_cost, topk
@@ -25,7 +28,8 @@ from kgreason.plans import measures
 from kgreason.plans import workloads as w
 from kgreason.plans.measures import run_noop, timed_run
 from kgreason.plans.query import hop1, three_hop, three_hop_simple
-from kgreason.session import local_session
+from kgreason.session import local_session, scratch_path, ship
+from kgreason.sources.files import write_vector_table
 
 K = 50
 
@@ -83,6 +87,10 @@ class Bench:
             role.count()
             for impl in ("unrolled", "hof"):
                 say("x4", dim=dim, scorer=impl, seconds=timed_run(lambda: topk(anchor_scores(kg, eid_value("doc", 3), "doc_mentions_token", role, impl=impl), K), 4))
+            ship(self.spark)
+            comp = np.array([composite_of(kg, eid_value("doc", 3), "doc_mentions_token").first()["comp"]])
+            arrow = lambda: score_with_arrow(lookup_vectors(role, kg.vectors), comp, np.array([eid_value("doc", 3)]), kg.numeric)
+            say("x4", dim=dim, scorer="arrow", seconds=timed_run(lambda: topk(arrow().select("eid", "score"), K), 4))
 
     def x5(self) -> None:
         spark = self.session(8)
@@ -130,7 +138,16 @@ class Bench:
         hot = eid_value("nation", 3)
         asked = spark.range(1_000_000).select(F.when(F.col("id") % 10 < 7, F.lit(hot)).otherwise(eid_value("customer", 0) + F.col("id") % 15000).alias("eid")).persist()
         asked.count()
-        for name, run in (("by key", lambda: lookup_vectors(asked, kg.vectors, "shuffle_hash")), ("salted", lambda: lookup_salted(asked, kg.vectors)), ("broadcast", lambda: lookup_vectors(asked, kg.vectors, "broadcast"))):
+        tables = [f"x9_{side}_{uuid.uuid4().hex}" for side in ("asked", "vectors")]  # both in 8 buckets by entity: no shuffle
+        asked.write.bucketBy(8, "eid").sortBy("eid").option("path", scratch_path(spark, "asked")).saveAsTable(tables[0])
+        write_vector_table(kg.vectors, scratch_path(spark, "vectors"), buckets=8, table=tables[1])
+        ways = {
+            "by key": lambda: lookup_vectors(asked, kg.vectors, "shuffle_hash"),
+            "salted": lambda: lookup_salted(asked, kg.vectors),
+            "bucketed": lambda: lookup_vectors(spark.table(tables[0]), spark.table(tables[1]).select("eid", "vec"), "shuffle_hash"),
+            "broadcast": lambda: lookup_vectors(asked, kg.vectors, "broadcast"),
+        }
+        for name, run in ways.items():
             skew = measures.partition_skew(run()).first()
             say("x9", placement=name, seconds=timed_run(run, 3), largest_partition=skew["largest"], median_partition=skew["median"])
 
@@ -150,21 +167,38 @@ class Bench:
             say("x11", k=k, three_hop_s=timed_run(lambda: three_hop(kg, replace(w.WORKLOADS["w1"], k=k)), 3))
         small = os.path.join(os.path.dirname(self.sf), "sf0.001")
         kg = w.shared_graph(self.spark, small, w.G1_RELATIONS)
-        s, t, _ = w.G1
-        for hops in (1, 2, 3):
-            exact = exact_paths(kg, s, t, hops, "both").persist()
-            n = exact.count()
-            for prune in ("per_path", "global"):
-                for k in (5, 10, 50):
-                    own = k_best_paths(kg, s, t, hops, k, prune, direction="both")
-                    recall = measures.recall_at_k(own, exact, k).first()["recall"] if n else None
-                    say("x11", hops=hops, k=k, prune=prune, paths=n, recall=recall, frontier_bound=frontier_bound(k, hops, prune))
+        s, far, _ = w.G1
+        near = kg.edges("nation_hosts_customer").where(F.col("h") == s).agg(F.min("t")).first()[0]  # has a path of one edge
+        for pair, t, lengths in (("near", near, (1, 2, 3, 4)), ("far", far, (1, 2, 3, 4))):
+            for hops in lengths:
+                exact = exact_paths(kg, s, t, hops, "both").persist()
+                n = exact.count()
+                for prune in ("per_path", "global") if n else ():
+                    for k in (5, 10, 50):
+                        own = k_best_paths(kg, s, t, hops, k, prune, direction="both")
+                        say("x11", pair=pair, hops=hops, k=k, prune=prune, paths=n, recall=measures.recall_at_k(own, exact, k).first()["recall"], frontier_bound=frontier_bound(k, hops, prune))
+                if not n:
+                    say("x11", pair=pair, hops=hops, paths=0)
+
+    def x12(self) -> None:
+        spark = self.session(8, **{"spark.sql.files.openCostInBytes": "65536"})
+        q = replace(w.GENERATED, k=K)
+        for members in (10_000, 100_000, 1_000_000):
+            kg = w.generated_graph(spark, members)
+            bounded = replace(q, bound_share=0.02)
+            simple, plain, best = (timed_run(run, 2) for run in (lambda: three_hop_simple(kg, q), lambda: three_hop(kg, q), lambda: three_hop(kg, bounded)))
+            say("x12", members=members, simple_s=simple, optimised_s=plain, with_bound_s=best, speedup=measures.speedup(simple, best))
+        for parts in (1, 2, 4, 8, 16, 32, 64):
+            spark.conf.set("spark.sql.files.minPartitionNum", parts)
+            spark.conf.set("spark.sql.shuffle.partitions", parts)
+            tasks = kg.role(q.relation1).select(F.spark_partition_id().alias("p")).distinct().count()
+            say("x12", partitions=parts, tasks_of_the_scan=tasks, whole_s=timed_run(lambda: three_hop(kg, bounded), 2))
 
 
 def main() -> None:
     sf = sys.argv[1] if len(sys.argv) > 1 else "/root/testdata/sf0.1"
     bench = Bench(sf.rstrip("/"))
-    for name in sys.argv[2:] or [f"x{i}" for i in range(1, 12)]:
+    for name in sys.argv[2:] or [f"x{i}" for i in range(1, 13)]:
         getattr(bench, name)()
 
 

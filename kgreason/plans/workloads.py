@@ -5,10 +5,11 @@ from __future__ import annotations
 from dataclasses import replace
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from ..functions.vectors import Numeric
-from ..ids import eid_value
-from ..operators.graph import KnowledgeGraph, build_graph
+from ..ids import eid, eid_value
+from ..operators.graph import KnowledgeGraph, build_graph, entities_of, load_graph, save_graph
 from ..session import scratch_path
 from .query import Hop, ThreeHopQuery, hop_plan, three_hop
 
@@ -41,6 +42,35 @@ G3_RELATIONS = ["region_has_nation", "nation_hosts_customer", "customer_buys_par
 G3 = (eid_value("region", 1), eid_value("supplier", 5), 4)
 
 
+#: The question of generated graphs: a role against one anchor, then another, then a role a fifth as large.
+GENERATED = ThreeHopQuery(("nation", 0), "generated_first", ("nation", 1), "generated_second", "generated_third", k=10)
+
+
+def generated_graph(spark: SparkSession, members: int, dim: int = 8, numeric: Numeric = Numeric()) -> KnowledgeGraph:
+    """A graph for GENERATED with so many customers in the first role and a fifth as many suppliers in the last, vectors hashed from ids; through files, as others are."""
+    if members < 1:
+        raise ValueError("a role has one member or more")
+    ids = spark.range(members)
+    customer = eid("customer", F.col("id"))
+
+    def edges(r: str, h_type: str, h, t_type: str, t) -> DataFrame:
+        return ids.select(F.lit(r).alias("r"), F.lit(h_type).alias("h_type"), h.alias("h"), F.lit(t_type).alias("t_type"), t.alias("t"))
+
+    triples = edges(GENERATED.relation1, "nation", F.lit(eid_value(*GENERATED.anchor1)), "customer", customer)
+    triples = triples.union(edges(GENERATED.relation2, "nation", F.lit(eid_value(*GENERATED.anchor2)), "customer", customer))
+    triples = triples.union(edges(GENERATED.relation3, "customer", customer, "supplier", eid("supplier", F.col("id") % max(1, members // 5))))
+
+    def vector(key: str):
+        cells = [F.pmod(F.xxhash64(key, F.lit(i)), F.lit(2**22)) - 2**21 for i in range(dim)]
+        return F.array(*(cells if numeric.mode == "fixed" else [c / Numeric().unit for c in cells]))
+
+    vectors = entities_of(triples).select("eid", vector("eid").alias("vec"))
+    relations = spark.createDataFrame([(r,) for r in GENERATED.relations()], "r string").select("r", vector("r").alias("vec"))
+    path = scratch_path(spark, "generated")
+    save_graph(KnowledgeGraph(triples, vectors, relations, dim, numeric), path)
+    return load_graph(spark, path, dim, numeric)
+
+
 #: Graphs built in this process, by session and parameters.
 _built: dict[tuple, KnowledgeGraph] = {}
 

@@ -187,3 +187,12 @@ def test_tree_cuts_in_the_task(spark, sf):
     assert plan.count("Exchange") == 4 and "Partial" in plan.split("Exchange")[-1]
     native = sorted(map(tuple, topk_grouped(df, 10, ["head"]).collect()))
     assert native == sorted((r["head"], r["eid"], r["score"], r["rank"]) for r in topk_grouped(df, 10, ["head"], "heap_tree", 2, 8).collect())
+
+
+@pytest.mark.parametrize("members", [1, 7, 400])
+def test_generated_roles(spark, members):
+    kg = w.generated_graph(spark, members)
+    assert kg.role("generated_first").count() == members and kg.role("generated_third").count() == max(1, members // 5)
+    plain = rows_of(three_hop(kg, w.GENERATED))
+    assert plain == rows_of(three_hop_simple(kg, w.GENERATED)) == rows_of(three_hop(kg, replace(w.GENERATED, bound_share=0.2)))
+    assert len(plain) == min(members, 10) * min(max(1, members // 5), 10)
