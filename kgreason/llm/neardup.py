@@ -37,6 +37,8 @@ THRESHOLD = 75  # in hundredths
 CELLS = 1024  # of the sketch that bounds intersections
 BUCKET = 1024  # members from which on a bucket is dealt to blocks
 BLOCK = 4096  # members of a block, about
+SIEVE_BITS = 16  # for each row wanted, in the bit table that rows meet before their texts move
+SIEVE_WORDS = 1 << 21  # of 64 bits, at most: about 80 MB broadcast; more rows wanted then share the bits
 
 _WORD_FACTOR = int(mix64(np.ones(1, dtype=np.uint64), 7)[0] | np.uint64(1))
 
@@ -121,6 +123,18 @@ def signatures(docs: DataFrame, bands: int = BANDS, rows: int = ROWS) -> DataFra
 # ---------------------------------------------------------------- exact confirmation
 
 
+def sifted(own: DataFrame, wanted: DataFrame, bits: int = SIEVE_BITS, most: int = SIEVE_WORDS) -> DataFrame:
+    """The rows of own, (doc_id, text_hash, ...), that a broadcast bit table does not rule out: all rows wanted, (__id, __hash), and few others.
+
+    A row's bit goes by id and hash, so that copies of a wanted text are ruled out too.
+    """
+    words = min(most, wanted.count() * bits // 64 + 1)
+    place = lambda key, doc: F.pmod(F.xxhash64(key, doc), F.lit(64 * words))
+    sieve = wanted.select(place("__hash", "__id").alias("__at")).groupBy(F.expr("__at div 64").alias("__word")).agg(F.expr("bit_or(shiftleft(1L, cast(__at % 64 as int)))").alias("__bits"))
+    met = own.withColumn("__at", place("text_hash", "doc_id")).withColumn("__word", F.expr("__at div 64")).join(F.broadcast(sieve), "__word")
+    return met.where("bit_get(__bits, cast(__at % 64 as int)) = 1").select(*own.columns)
+
+
 def _sets(docs: DataFrame, wanted: DataFrame, repeated: bool) -> DataFrame:
     """(id, set, bits, over) of the rows wanted, (__id, __hash, id): sets as bytes of sorted 64-bit hashes, and their sketches.
 
@@ -137,7 +151,7 @@ def _sets(docs: DataFrame, wanted: DataFrame, repeated: bool) -> DataFrame:
                     ["id", "set", "bits", "over"],
                 )
 
-    own = keyed(docs)
+    own = sifted(keyed(docs), wanted)  # where the join shuffles, it moves the texts wanted, not all of them
     texts = own.join(wanted, same_row(own, wanted)).select("id", "text")
     return arrow(texts.dropDuplicates(["id"]) if repeated else texts, scan, "id bigint, set binary, bits array<bigint>, over bigint")
 
@@ -277,10 +291,12 @@ def _linked(docs: DataFrame, work: Scratch, bands: int, rows: int, threshold: in
     classes = work.write(stands.select("s1", "s2", F.col("one.doc_id").alias("__id"), F.col("one.text_hash").alias("__hash"), F.monotonically_increasing_id().alias("id")), "classes")
     named = classes.select("__id", "__hash", "id")
     buckets = real.join(named, same_row(real, named)).select("id", F.col("n_shingles").alias("n"), F.explode("bands").alias("key"))
-    shared = buckets.groupBy("key").agg(F.min("id").alias("lo"), F.max("id").alias("hi")).where("lo <> hi").select("key")
-    members = work.write(buckets.join(shared, "key").select("key", "id", "n").distinct(), "members")
+    # by window, so that band keys move once, and not for an aggregate and again for a join with it
+    bucket_of = Window.partitionBy("key")
+    shared = buckets.withColumns({"lo": F.min("id").over(bucket_of), "hi": F.max("id").over(bucket_of)}).where("lo <> hi")
+    members = work.write(shared.select("key", "id", "n").distinct(), "members")
     labels = work.write(members.select("id").distinct().withColumn("label", F.col("id")), "labels")
-    # written, so that its size is known before the texts are joined with it
+    # written, as the sieve and the join both read it, and so that the join knows its size
     wanted = work.write(named.join(labels.select("id"), "id", "left_semi"), "wanted")
     sets = work.write(_sets(docs, wanted, repeated), "sets")
     # First each member with one partner: the smallest id that it shares a bucket with.

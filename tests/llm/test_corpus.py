@@ -185,6 +185,37 @@ def test_blocks_of_a_bucket(spark, make):
     assert {r["doc_id"]: (r["n_shingles"], r["component_id"], r["kept"]) for r in neardup.near_duplicates(make(rows), bucket=1, block=3).collect()} == brute_components(rows)
 
 
+def test_texts_without_a_partner_stay_where_they_are(spark, make):
+    """Where the join with the rows wanted shuffles, it moves their texts, not those of the whole table."""
+    from kgreason.plans.measures import moved
+
+    rng = random.Random(13)
+    rows = [(i, " ".join("".join(rng.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(60)) for _ in range(330))) for i in range(300)]
+    rows.append((900, rows[7][1] + " end"))
+    docs, own, limit = make(rows), {}, spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        bytes_ = moved(spark, lambda: own.update({r["doc_id"]: r["component_id"] for r in neardup.near_duplicates(docs).collect()}))["shuffle_bytes"]
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", limit)
+    assert {i for i, c in own.items() if c != i} == {900} and own[900] == 7
+    assert bytes_ < sum(len(t) for _, t in rows) / 3
+
+
+def test_sieve_keeps_rows_wanted(spark, make):
+    rows = make([(i % 50 or None, f"text {i}") for i in range(400)] + [(None, None)])
+    own = neardup.keyed(rows)
+    wanted = neardup.row_keys(own.where("text_hash % 5 = 0 or text is null"))
+    for bits, most in ((16, 1 << 21), (1, 1)):  # one word: every row wanted shares its bits
+        left = neardup.sifted(own, wanted, bits, most)
+        assert left.columns == own.columns
+        kept, all_ = ([tuple(r) for r in df.collect()] for df in (left, own))
+        assert len(kept) == len(set(kept)) and set(kept) <= set(all_)
+        assert {(r["__id"], r["__hash"]) for r in wanted.collect()} <= {(r[0], r[2]) for r in kept}
+        assert most == 1 or len(kept) < 200
+    assert neardup.sifted(own, wanted.limit(0)).count() == 0
+
+
 def test_bands_find_pairs_at_the_threshold():
     """Pairs of exactly the least similarity that links, of small and large sets."""
     rng = np.random.default_rng(5)
