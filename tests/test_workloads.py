@@ -173,6 +173,13 @@ def test_queries_against_sql(spark, sf, name):
     assert rows_of(queries()[name](spark, sf)) == duck_rows(duck(sf), oracle_sql()[name])
 
 
+def test_relation_vectors_come_from_the_tables(spark, sf):
+    """Also in a session that has built the graph, whose own file of relation vectors has a row for each relation."""
+    w.workload_graph(spark, sf, "w1")
+    read = {f.rsplit("/", 1)[-1] for f in queries()["relation_vectors_mean"](spark, sf).inputFiles()}
+    assert {"customer.parquet", "orders.parquet", "lineitem.parquet", "embeddings.parquet"} <= read
+
+
 def test_keys_of_strings_with_one_prefix(spark):
     words = [f"https://example.com/{i:05d}" for i in range(3000)]
     df = spark.createDataFrame([(x,) for x in words + words[:500] + [None]], "word string").repartition(7)
