@@ -6,7 +6,7 @@ import numpy as np
 import pytest
 from helpers import hand_graph
 
-from kgreason.operators.paths import exact_paths, frontier_bound, frontier_limit, k_best_paths, k_best_paths_many
+from kgreason.operators.paths import exact_paths, frontier_bound, frontier_limit, frontier_sizes, k_best_paths, k_best_paths_many
 
 S, A, B, T = 1, 2, 3, 4
 EDGES = [("e", S, A), ("e", A, T), ("e", S, T), ("e", A, B), ("e", B, S), ("e", B, T), ("e", S, B)]
@@ -90,6 +90,20 @@ def test_bounds():
         frontier_bound(5, 3, "none")
 
 
+def test_sizes_of_every_width(spark):
+    widths = spark.createDataFrame([(1, 4), (2, 1), (50, 7), (3000, 1)], "k bigint, entities bigint")
+    own = {(r["k"], r["entities"], r["hops"], r["policy"]): (r["bound"], r["level_limit"]) for r in frontier_sizes(widths, [1, 2, 3, 4]).collect()}
+    assert own == {(k, n, h, p): (frontier_bound(k, h, p), frontier_limit(k, h, p)) for k, n in ((1, 4), (2, 1), (50, 7), (3000, 1)) for h in (1, 2, 3, 4) for p in ("per_path", "global")}
+
+
+def test_bounds_come_from_the_tables(spark, sf):
+    from kgreason.registry import queries
+
+    own = queries()["frontier_bounds"](spark, sf)
+    assert {"orders.parquet", "lineitem.parquet"} <= {f.rsplit("/", 1)[-1] for f in own.inputFiles()}
+    assert own.where("hops = 1 and policy = 'global'").agg({"entities": "sum"}).first()[0] == spark.read.parquet(f"{sf}/orders.parquet").select("o_custkey").distinct().count()
+
+
 def test_many_and_roles(spark, kg):
     pairs = spark.createDataFrame([(S, T), (A, T), (A, T), (T, A)], "source bigint, target bigint")
     for prune in ("per_path", "global", "none"):
