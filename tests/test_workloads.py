@@ -180,6 +180,19 @@ def test_relation_vectors_come_from_the_tables(spark, sf):
     assert {"customer.parquet", "orders.parquet", "lineitem.parquet", "embeddings.parquet"} <= read
 
 
+def test_merge_cost_of_a_role(spark, sf):
+    from kgreason.operators.topk import merge_cost
+
+    assert "customer.parquet" in {f.rsplit("/", 1)[-1] for f in queries()["merge_cost_table"](spark, sf).inputFiles()}
+    ids = spark.range(0, 64 * 50, 1, 5).toDF("eid")  # 50 for each of 64 workers: all lists are full
+    for r in measures.merge_cost_table(ids, [2, 16, 64], [2, 4, 64]).collect():
+        assert r.asDict() == merge_cost(r["workers"], 50, r["fan_in"])
+    few = {r["workers"]: (r["rounds"], r["rows_moved"], r["rows_in_a_task"]) for r in measures.merge_cost_table(ids.where("eid < 5"), [2, 4], [2], 2).collect()}
+    assert few == {2: (1, 4, 4), 4: (2, 2 + 1 + 1 + 1 + 2 + 2, 4)}
+    none = measures.merge_cost_table(ids.where("eid < 0"), [2, 4], [2], 2).collect()
+    assert {(r["workers"], r["rounds"], r["rows_moved"], r["rows_in_a_task"]) for r in none} == {(2, 1, 0, 0), (4, 2, 0, 0)}
+
+
 def test_keys_of_strings_with_one_prefix(spark):
     words = [f"https://example.com/{i:05d}" for i in range(3000)]
     df = spark.createDataFrame([(x,) for x in words + words[:500] + [None]], "word string").repartition(7)
